@@ -2,8 +2,10 @@
 
 from __future__ import annotations
 
+from .bpe import op4_bpe
 from .simhash import op10_simhash
+from .token_shards import op8_token_shards
 
-QUERIES = {"op10_simhash": op10_simhash}
+QUERIES = {"op4_bpe": op4_bpe, "op8_token_shards": op8_token_shards, "op10_simhash": op10_simhash}
 
 ORACLES: dict[str, str] = {}
