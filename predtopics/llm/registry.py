@@ -2,10 +2,12 @@
 
 from __future__ import annotations
 
+from . import decontaminate
 from .bpe import op4_bpe
+from .secrets import op6_secrets
 from .simhash import op10_simhash
 from .token_shards import op8_token_shards
 
-QUERIES = {"op4_bpe": op4_bpe, "op8_token_shards": op8_token_shards, "op10_simhash": op10_simhash}
+QUERIES = {"op3_decontaminate": decontaminate.op3_decontaminate, "op4_bpe": op4_bpe, "op6_secrets": op6_secrets, "op8_token_shards": op8_token_shards, "op10_simhash": op10_simhash}
 
-ORACLES: dict[str, str] = {}
+ORACLES: dict[str, str] = {"op3_decontaminate": decontaminate.ORACLE}
