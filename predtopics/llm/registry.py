@@ -6,10 +6,11 @@ from . import decontaminate
 from .bpe import op4_bpe
 from .html_text import op9_html_text
 from .language import op5_language
+from .neighbours import op7_neighbours
 from .secrets import op6_secrets
 from .simhash import op10_simhash
 from .token_shards import op8_token_shards
 
-QUERIES = {"op3_decontaminate": decontaminate.op3_decontaminate, "op4_bpe": op4_bpe, "op5_language": op5_language, "op6_secrets": op6_secrets, "op8_token_shards": op8_token_shards, "op9_html_text": op9_html_text, "op10_simhash": op10_simhash}
+QUERIES = {"op3_decontaminate": decontaminate.op3_decontaminate, "op4_bpe": op4_bpe, "op5_language": op5_language, "op6_secrets": op6_secrets, "op8_token_shards": op8_token_shards, "op7_neighbours": op7_neighbours, "op9_html_text": op9_html_text, "op10_simhash": op10_simhash}
 
 ORACLES: dict[str, str] = {"op3_decontaminate": decontaminate.ORACLE}
