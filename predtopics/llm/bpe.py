@@ -30,6 +30,8 @@ from .memo import Memo
 #: Fixed values of byte-level BPE: white space as its pattern has it, and the pattern itself.
 WHITE = "\t-\r \x85\xa0\u1680\u2000-\u200a\u2028\u2029\u202f\u205f\u3000"
 PIECES = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
+#: Repeated parts of texts that a worker remembers.
+MEMO = 1_000_000
 #: Below this code point all Unicode versions agree on letters and numbers; others are left to the library's own splitter.
 AGREED = "\u0557"
 
@@ -48,7 +50,7 @@ def byte_alphabet() -> dict[str, int]:
 
 
 class ByteBpe:
-    def __init__(self, path: str, memo: int = 500_000) -> None:
+    def __init__(self, path: str, memo: int = MEMO) -> None:
         with open(path, encoding="utf-8") as f:
             spec = json.load(f)
         self.alphabet = byte_alphabet()
@@ -62,51 +64,64 @@ class ByteBpe:
             self.words[i] = word.encode()
         stand_in = {b: c for c, b in self.alphabet.items()}
         self.byte_id = [vocab[stand_in[b]] for b in range(256)]
-        self.merges: dict[int, tuple[int, int]] = {}
+        self.rank: dict[int, int] = {}
+        self.merged: list[int] = []
         for rank, pair in enumerate(spec["model"]["merges"]):
             left, right = pair.split(" ") if isinstance(pair, str) else pair
-            self.merges[vocab[left] << 32 | vocab[right]] = (rank, vocab[left + right])
+            self.rank[vocab[left] << 32 | vocab[right]] = rank
+            self.merged.append(vocab[left + right])
+        ids = self.byte_id
+        self.byte_rank = [self.rank.get(ids[a] << 32 | ids[b], -1) for a in range(256) for b in range(256)]
         self.cut = re.compile("(" + "|".join(map(re.escape, sorted(special, key=len, reverse=True))) + ")") if special else None
         self.coarse = re.compile(f" ?[^{WHITE}]+|[{WHITE}]+(?![^{WHITE}])|[{WHITE}]+").findall
         self.fine = regex.compile(PIECES).findall
         self.library = Tokenizer.from_file(path).pre_tokenizer
+        self.pieces = Memo(self._piece, memo // 2)
         self.memo = Memo(self._chunk, memo)
 
     def merge(self, piece: bytes) -> list[int]:
-        """Ids of one piece."""
-        n, merges = len(piece), self.merges
-        symbol = [self.byte_id[b] for b in piece]
-        if n == 1:
+        """Ids of one piece. now[i] is the rank of the pair that begins at symbol i, so an entry that differs from it is stale."""
+        n, byte_id, byte_rank = len(piece), self.byte_id, self.byte_rank
+        symbol = [byte_id[b] for b in piece]
+        now = [byte_rank[a << 8 | b] for a, b in zip(piece, piece[1:])]
+        queue = [r << 32 | i for i, r in enumerate(now) if r >= 0]
+        if not queue:
             return symbol
-        after, before = [*range(1, n), -1], [-1, *range(n - 1)]
-        queue = [(found[0] << 32 | i) for i in range(n - 1) if (found := merges.get(symbol[i] << 32 | symbol[i + 1]))]
+        now.append(-1)
+        after, before = list(range(1, n + 1)), list(range(-1, n - 1))
+        rank, merged, pop, push = self.rank.get, self.merged, heapq.heappop, heapq.heappush
         heapq.heapify(queue)
         while queue:
-            entry = heapq.heappop(queue)
+            entry = pop(queue)
             i = entry & 0xFFFFFFFF
-            j = after[i]
-            if j < 0 or symbol[i] < 0:
-                continue
-            found = merges.get(symbol[i] << 32 | symbol[j])
-            if not found or found[0] != entry >> 32:  # the pair queued here has changed since
+            if now[i] != entry >> 32:
                 continue
-            symbol[i], symbol[j] = found[1], -1
+            s = symbol[i] = merged[entry >> 32]
+            j = after[i]
+            symbol[j] = now[j] = -1
             k = after[i] = after[j]
-            if k >= 0:
+            r = -1
+            if k < n:
                 before[k] = i
-                if found := merges.get(symbol[i] << 32 | symbol[k]):
-                    heapq.heappush(queue, found[0] << 32 | i)
+                r = rank(s << 32 | symbol[k], -1)
+                if r >= 0:
+                    push(queue, r << 32 | i)
+            now[i] = r
             h = before[i]
-            if h >= 0 and (found := merges.get(symbol[h] << 32 | symbol[i])):
-                heapq.heappush(queue, found[0] << 32 | h)
+            if h >= 0:
+                r = now[h] = rank(symbol[h] << 32 | s, -1)
+                if r >= 0:
+                    push(queue, r << 32 | h)
         return [s for s in symbol if s >= 0]
 
+    def _piece(self, piece: str) -> bytes:
+        return array("i", self.merge(piece.encode())).tobytes()
+
     def _chunk(self, chunk: str) -> bytes:
         if max(chunk) <= AGREED:
-            pieces = [p.encode() for p in self.fine(chunk)]
-        else:
-            pieces = [bytes(self.alphabet[c] for c in p) for p, _ in self.library.pre_tokenize_str(chunk)]
-        return array("i", [i for p in pieces for i in self.merge(p)]).tobytes()
+            pieces = self.fine(chunk)
+            return self.pieces[pieces[0]] if len(pieces) == 1 else b"".join(map(self.pieces.__getitem__, pieces))
+        return b"".join(array("i", self.merge(bytes(self.alphabet[c] for c in p))).tobytes() for p, _ in self.library.pre_tokenize_str(chunk))
 
     def encode(self, text: str) -> np.ndarray:
         parts = self.cut.split(text) if self.cut and "<|" in text else [text]
@@ -155,7 +170,7 @@ def _decoder(path: str):  # noqa: ANN202
             for at in range(0, len(batch), 512):
                 part = batch.slice(at, 512)
                 ids = part.column(1)
-                flat, ends = ids.flatten().to_pylist(), np.cumsum([0, *((x or 0) for x in pc.list_value_length(ids).to_pylist())]).tolist()
+                flat, ends = ids.flatten().to_numpy(zero_copy_only=False).tolist(), np.cumsum([0, *((x or 0) for x in pc.list_value_length(ids).to_pylist())]).tolist()
                 texts = [bpe.decode(flat[a:b]) for a, b in zip(ends, ends[1:])]
                 yield pa.RecordBatch.from_arrays([part.column(0), ids, pa.array(texts, pa.string())], names=["doc_id", "ids", "text"])
 
