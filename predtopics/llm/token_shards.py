@@ -13,8 +13,10 @@ shards of bounded size, so no shard or task holds more than ``SHARD_IDS`` ids be
 
 from __future__ import annotations
 
+import re
 import uuid
 import zlib
+from array import array
 from collections.abc import Iterator
 from functools import lru_cache
 
@@ -26,9 +28,13 @@ from pyspark.sql import functions as F
 from pyspark.sql import Window as W
 from tokenizers import Tokenizer
 
-from .common import shared_dir, table
+from .common import shared_dir, sized, table
 from .memo import Memo
 
+#: Repeated parts of texts that a worker remembers.
+MEMO = 1_200_000
+#: A part that is a word with marks behind it; no token crosses from an ASCII letter to an ASCII mark other than an apostrophe.
+MARKED = re.compile(rb"([a-z\x80-\xff]*[a-z])([!-&(-/:-@\[-`{-~]+)")
 #: Ids after which a shard is closed.
 SHARD_IDS = 2_000_000
 #: Bits of a level for each key that has come to it.
@@ -43,21 +49,30 @@ def default_vocabulary() -> str:
 
 
 class LibraryIds:
-    """The library's ids of whole texts, by way of their parts between ASCII white space, which no token crosses."""
+    """The library's ids of whole texts, by way of their parts between ASCII white space, which no token crosses.
 
-    def __init__(self, path: str, end_id: int | None, memo: int = 500_000) -> None:
+    For a tokenizer that lower-cases and drops white space, as the default one does.
+    """
+
+    def __init__(self, path: str, end_id: int | None, memo: int = MEMO) -> None:
         self.library = Tokenizer.from_file(path)
         self.library.no_truncation()
         self.library.no_padding()
         self.width = 2 if self.library.get_vocab_size(with_added_tokens=True) <= 1 << 16 else 4
         self.end = b"" if end_id is None else np.array([end_id], f"<u{self.width}").tobytes()
+        self.kind = "H" if self.width == 2 else "I"
         self.memo = Memo(self._one, memo)
 
     def _one(self, part: bytes) -> bytes:
-        return np.array(self.library.encode(part.decode(), add_special_tokens=False).ids, f"<u{self.width}").tobytes()
+        if cut := MARKED.fullmatch(part):
+            return self.memo[cut[1]] + self.memo[cut[2]]
+        return array(self.kind, self.library.encode(part.decode(), add_special_tokens=False).ids).tobytes()
 
     def encode(self, text: str) -> bytes:
-        return b"".join(map(self.memo.__getitem__, text.encode().split())) + self.end
+        data = text.encode()
+        if b"<|" not in data:  # the tokenizer's own lower-casing comes after it has looked for special tokens
+            data = data.lower()
+        return b"".join(map(self.memo.__getitem__, data.split())) + self.end
 
 
 @lru_cache(maxsize=2)
@@ -236,7 +251,7 @@ def _reader(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 def read_all(spark: SparkSession, path: str) -> DataFrame:
     """Every document of the shards by way of their indexes: (doc_id, start, n_tokens, ids_crc32, ids as little-endian 32-bit)."""
     shards = spark.read.parquet(path)
-    placed = shards.join(shard_starts(shards), ["part", "seq"])
+    placed = shards.join(sized(shard_starts(shards)), ["part", "seq"])
     return placed.mapInArrow(_reader, "doc_id long, start long, n_tokens long, ids_crc32 long, ids binary")
 
 
