@@ -40,7 +40,7 @@ class QueryGraph:
     types: tuple[tuple[str, str], ...] = ()  # (variable, concept)
     filters: tuple[Filter, ...] = ()
     distinct: bool = True
-    order: tuple[str, ...] = ()
+    order: tuple[str, ...] = ()  # ?variable, or -?variable for falling order
     limit: int | None = None
     count: str | None = field(default=None)  # alias of count(*), instead of rows
 
@@ -153,7 +153,7 @@ def evaluate(facts: DataFrame, q: QueryGraph, types: DataFrame | None = None, al
         return out.agg(F.count("*").alias(q.count))
     out = out.select(*[v[1:] for v in q.select])
     out = out.distinct() if q.distinct else out
-    out = out.orderBy(*[F.desc(v[1:]) if v[0] == "-" else F.col(v[1:]) for v in q.order]) if q.order else out
+    out = out.orderBy(*[F.desc(v[2:]) if v[0] == "-" else F.col(v[1:]) for v in q.order]) if q.order else out
     return out.limit(q.limit) if q.limit is not None else out
 
 
