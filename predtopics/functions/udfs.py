@@ -8,20 +8,21 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.functions import pandas_udf, udtf
+from pyspark.sql.types import DoubleType, IntegerType, StringType, StructField, StructType
 
 
-@pandas_udf("double")
+@pandas_udf(DoubleType())
 def share_udf(a: pd.Series, b: pd.Series) -> pd.Series:
     """Share score of two arrays of distinct concepts."""
     return pd.Series([len(set(x) & set(y)) ** 2 / (len(x) * len(y)) for x, y in zip(a, b)])
 
 
-@pandas_udf("double")
+@pandas_udf(DoubleType())
 def mean_udaf(v: pd.Series) -> float:
     return float(v.mean())
 
 
-@udtf(returnType="step int, p string")
+@udtf(returnType=StructType([StructField("step", IntegerType()), StructField("p", StringType())]))
 class WalkSteps:
     """Steps of a walk written as p1>p2>p3."""
 

@@ -103,18 +103,18 @@ query("agg_bool", "SELECT conv_id, bool_and(length(text) > 20) AS every_long, bo
 
 # windows, order, sets -----------------------------------------------------------------------------------------------------------
 
-_w = W.orderBy(F.desc("io"), "p")
+_w = lambda: W.orderBy(F.desc("io"), "p")
 query(
     "win_rank_family", m.sql("SELECT p, CAST(row_number() OVER w AS INT) AS rn, CAST(rank() OVER (ORDER BY io DESC) AS INT) AS rk, CAST(dense_rank() OVER (ORDER BY io DESC) AS INT) AS dr, round(percent_rank() OVER (ORDER BY io DESC), 6) AS pr, CAST(ntile(4) OVER w AS INT) AS nt FROM pdeg WINDOW w AS (ORDER BY io DESC, p)", m.PDEG),
-    lambda s, d: m.graph.predicate_degree(m.edges(s, d)).select("p", F.row_number().over(_w).alias("rn"), F.rank().over(W.orderBy(F.desc("io"))).alias("rk"), F.dense_rank().over(W.orderBy(F.desc("io"))).alias("dr"), F.round(F.percent_rank().over(W.orderBy(F.desc("io"))), 6).alias("pr"), F.ntile(4).over(_w).alias("nt")),
+    lambda s, d: m.graph.predicate_degree(m.edges(s, d)).select("p", F.row_number().over(_w()).alias("rn"), F.rank().over(W.orderBy(F.desc("io"))).alias("rk"), F.dense_rank().over(W.orderBy(F.desc("io"))).alias("dr"), F.round(F.percent_rank().over(W.orderBy(F.desc("io"))), 6).alias("pr"), F.ntile(4).over(_w()).alias("nt")),
 )
-_u = W.partitionBy("user_id").orderBy("ts", "event_id")
-query("win_lag_lead", "SELECT event_id, lag(event_id) OVER w AS before, lead(event_id) OVER w AS behind FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)", lambda s, d: load(s, d, "events").select("event_id", F.lag("event_id").over(_u).alias("before"), F.lead("event_id").over(_u).alias("behind")))
-_o = W.partitionBy("o_custkey").orderBy("o_orderdate", "o_orderkey")
-query("win_running_rows", "SELECT o_orderkey, round(sum(o_totalprice) OVER (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey ROWS UNBOUNDED PRECEDING), 2) AS total FROM orders", lambda s, d: load(s, d, "orders").select("o_orderkey", F.round(F.sum("o_totalprice").over(_o.rowsBetween(W.unboundedPreceding, W.currentRow)), 2).alias("total")))
+_u = lambda: W.partitionBy("user_id").orderBy("ts", "event_id")
+query("win_lag_lead", "SELECT event_id, lag(event_id) OVER w AS before, lead(event_id) OVER w AS behind FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)", lambda s, d: load(s, d, "events").select("event_id", F.lag("event_id").over(_u()).alias("before"), F.lead("event_id").over(_u()).alias("behind")))
+_o = lambda: W.partitionBy("o_custkey").orderBy("o_orderdate", "o_orderkey")
+query("win_running_rows", "SELECT o_orderkey, round(sum(o_totalprice) OVER (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey ROWS UNBOUNDED PRECEDING), 2) AS total FROM orders", lambda s, d: load(s, d, "orders").select("o_orderkey", F.round(F.sum("o_totalprice").over(_o().rowsBetween(W.unboundedPreceding, W.currentRow)), 2).alias("total")))
 query("win_range_frame", "SELECT o_orderkey, count(*) OVER (PARTITION BY o_custkey ORDER BY epoch(o_orderdate) RANGE BETWEEN 2592000 PRECEDING AND CURRENT ROW) AS n FROM orders", lambda s, d: load(s, d, "orders").withColumn("e", F.unix_seconds(C("o_orderdate").cast("timestamp"))).select("o_orderkey", F.count("*").over(W.partitionBy("o_custkey").orderBy("e").rangeBetween(-2592000, 0)).alias("n")))
-_all = _o.rowsBetween(W.unboundedPreceding, W.unboundedFollowing)
-query("win_first_last_nth", "SELECT o_orderkey, first_value(o_orderkey) OVER w AS f, last_value(o_orderkey) OVER w AS l, nth_value(o_orderkey, 2) OVER w AS n FROM orders WINDOW w AS (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey ROWS BETWEEN UNBOUNDED PRECEDING AND UNBOUNDED FOLLOWING)", lambda s, d: load(s, d, "orders").select("o_orderkey", F.first("o_orderkey").over(_all).alias("f"), F.last("o_orderkey").over(_all).alias("l"), F.nth_value("o_orderkey", 2).over(_all).alias("n")))
+_all = lambda: _o().rowsBetween(W.unboundedPreceding, W.unboundedFollowing)
+query("win_first_last_nth", "SELECT o_orderkey, first_value(o_orderkey) OVER w AS f, last_value(o_orderkey) OVER w AS l, nth_value(o_orderkey, 2) OVER w AS n FROM orders WINDOW w AS (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey ROWS BETWEEN UNBOUNDED PRECEDING AND UNBOUNDED FOLLOWING)", lambda s, d: load(s, d, "orders").select("o_orderkey", F.first("o_orderkey").over(_all()).alias("f"), F.last("o_orderkey").over(_all()).alias("l"), F.nth_value("o_orderkey", 2).over(_all()).alias("n")))
 query("win_share_total", m.sql("SELECT topic, p, round(1.0 / count(*) OVER (PARTITION BY topic), 6) AS share FROM fixed", m.FIXED), lambda s, d: m.fixed(s, d).select("topic", "p", F.round(1 / F.count("*").over(W.partitionBy("topic")), 6).alias("share")))
 query("sort_global", "SELECT p_partkey, CAST(row_number() OVER (ORDER BY p_retailprice DESC, p_partkey) AS INT) AS pos FROM part QUALIFY pos <= 50", lambda s, d: load(s, d, "part").orderBy(F.desc("p_retailprice"), "p_partkey").limit(50).select("p_partkey", F.row_number().over(W.orderBy(F.desc("p_retailprice"), "p_partkey")).alias("pos")))
 query("sort_limit_offset", "SELECT p_partkey FROM part ORDER BY p_retailprice, p_partkey LIMIT 10 OFFSET 20", lambda s, d: load(s, d, "part").orderBy("p_retailprice", "p_partkey").offset(20).limit(10).select("p_partkey"))
