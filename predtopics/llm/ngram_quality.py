@@ -231,8 +231,11 @@ def perplexity(docs: DataFrame, model: Model, keep: tuple[str, ...] = ("doc_id",
     rows = docs.select(*keep, F.col(text_col).cast("string").alias("__text"))
     schema = ", ".join(f"`{k}` {docs.schema[k].dataType.simpleString()}" for k in keep) + ", n_bytes long, log_sum double"
     if known.limit(most + 1).count() <= most:
-        got = known.toPandas().sort_values("gram")
-        held = spark.sparkContext.broadcast((got["gram"].to_numpy(np.int64), got["logp"].to_numpy(np.float32)))
+        got = known.toArrow()  # 12 bytes an n-gram
+        keys, logs = got["gram"].to_numpy(), got["logp"].to_numpy().astype(np.float32)
+        order_of = np.argsort(keys)
+        held = spark.sparkContext.broadcast((keys[order_of], logs[order_of]))
+        del got, keys, logs
         scored = rows.mapInArrow(_scorer(held, order, list(keep)), schema)
     else:
         blocks = max(1, int((rows.agg(F.sum(F.octet_length("__text"))).first()[0] or 0) / (4 * CHUNK)))
