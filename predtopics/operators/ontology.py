@@ -52,6 +52,8 @@ RULES = (
     Rule("pages", "Page", "web", "page_id", {"url": ("Url", "url"), "html": ("Html", "html"), "lang": ("Lang", "nullif(regexp_extract(html, 'lang=\"([^\"]*)\"', 1), '')"), "host": ("Host", "regexp_extract(url, '^[a-z]+://([^/]+)', 1)"), "link": ("Path", "regexp_extract_all(html, 'href=\"([^\"]*)\"', 1)")}, "nullif(regexp_extract(html, 'lang=\"([^\"]*)\"', 1), '')", {}, ("link",)),
     Rule("conversations", "Turn", "chat", "concat(conv_id, '/', turn)", {"conv": ("Conversation", "conv_id"), "turn": ("Ordinal", "turn"), "role": ("Role", "role"), "text": ("Text", "text")}, "role"),
 )
+#: Columns that are there exactly if the SQL of an object is.
+PRESENT = {"to_json(embedding)": "embedding"}
 #: Predicates of the fact model itself, which no topic needs.
 BUILTINS = ("is_a", "same_as", "see_also")
 UNIVERSAL = "Thing"
@@ -85,6 +87,29 @@ def build_facts(spark: SparkSession, sf_dir: str, rules: tuple[Rule, ...] = RULE
     return reduce(DataFrame.unionByName, parts)
 
 
+def fact_kinds(spark: SparkSession, sf_dir: str, rules: tuple[Rule, ...] = RULES) -> DataFrame:
+    """(p, s_class, s_sub, o_class, o_sub, ns, n): how many facts of each kind, counted in columns of the tables without making a fact."""
+    parts = []
+    for r in rules:
+        df = load_table(spark, sf_dir, r.table)
+        kind, keys, subs = (F.expr(r.kind).cast("string") if r.kind else F.lit(None).cast("string")), [], {}
+        for n, (p, (far, there, here, sub)) in enumerate(r.far.items()):
+            side = load_table(spark, sf_dir, far, [there, sub]).select(F.col(there).alias(f"__k{n}"), F.col(sub).alias(f"__v{n}"))
+            df = df.join(side, F.col(here) == F.col(f"__k{n}"), "inner" if p == "*" else "left")
+            if p == "*":
+                kind = F.col(f"__v{n}")
+            else:
+                subs[p] = f"__v{n}"
+                keys.append(F.col(f"__v{n}"))
+        count = {p: F.coalesce(F.sum(F.size(F.expr(q))), F.lit(0)) if p in r.many else F.count(F.expr(PRESENT.get(q, q))) for p, (_, q) in r.links.items()}
+        wide = df.groupBy(kind.alias("s_sub"), *keys).agg(*[c.cast("long").alias(f"__n_{p}") for p, c in count.items()])
+        none = F.lit(None).cast("string")
+        each = F.array(*[F.struct(F.lit(p).alias("p"), F.lit(o).alias("o_class"), (F.col(subs[p]) if p in subs else none).alias("o_sub"), F.col(f"__n_{p}").alias("n")) for p, (o, _) in r.links.items()])
+        rows = wide.select("s_sub", F.explode(each).alias("l"))
+        parts.append(rows.where("l.n > 0").select("l.p", F.lit(r.concept).alias("s_class"), "s_sub", "l.o_class", "l.o_sub", F.lit(r.ns).alias("ns"), "l.n"))
+    return reduce(DataFrame.unionByName, parts)
+
+
 def _subjects(rules: tuple[Rule, ...]) -> list[str]:
     return sorted({r.concept for r in rules})
 
@@ -127,6 +152,11 @@ def instance_neighbourhood(facts: DataFrame) -> DataFrame:
     return facts.select("p", F.explode(F.array("s", "o")).alias("concept")).distinct()
 
 
+def schema_of_kinds(kinds: DataFrame, refine: bool = False, include_root: bool = False) -> DataFrame:
+    """The schema graph from counts of kinds; the same as from facts."""
+    return type_terms(kinds, refine, include_root).groupBy("sc", "p", "oc").agg(F.min("ns").alias("ns"), F.sum("n").alias("n_facts"))
+
+
 _SCHEMAS: dict[tuple, DataFrame] = {}
 
 
@@ -134,7 +164,7 @@ def schema(spark: SparkSession, sf_dir: str, kind: str = "base") -> DataFrame:
     """The schema graph of the given tables: base, refined (with subclasses) or rooted (with the universal concept); made once a session."""
     key = (spark.sparkContext.applicationId, sf_dir, kind)
     if key not in _SCHEMAS:
-        _SCHEMAS[key] = settle(induce_schema(build_facts(spark, sf_dir), kind == "refined", kind == "rooted").coalesce(1))
+        _SCHEMAS[key] = settle(schema_of_kinds(fact_kinds(spark, sf_dir), kind == "refined", kind == "rooted").coalesce(1))
     return _SCHEMAS[key]
 
 

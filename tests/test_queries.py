@@ -64,3 +64,12 @@ def test_rest_does_not_know_the_llm_subpackage():
         if "/llm/" not in f:
             assert ".llm" not in open(f).read(), f
     assert sys.modules
+
+
+@pytest.mark.parametrize("kind", ["base", "refined", "rooted"])
+def test_counting_columns_gives_the_schema_of_the_facts(spark, sf_dir, kind):
+    from predtopics.operators import ontology
+
+    facts = ontology.build_facts(spark, sf_dir)
+    want = ontology.induce_schema(facts, kind == "refined", kind == "rooted")
+    assert sorted(map(tuple, ontology.schema(spark, sf_dir, kind).collect())) == sorted(map(tuple, want.collect()))
