@@ -31,7 +31,7 @@ from .memo import Memo
 WHITE = "\t-\r \x85\xa0\u1680\u2000-\u200a\u2028\u2029\u202f\u205f\u3000"
 PIECES = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
 #: Repeated parts of texts that a worker remembers.
-MEMO = 700_000
+MEMO = 600_000
 #: Below this code point all Unicode versions agree on letters and numbers; others are left to the library's own splitter.
 AGREED = "\u0557"
 
@@ -49,6 +49,22 @@ def byte_alphabet() -> dict[str, int]:
     return {chr(b): b for b in shown} | {chr(256 + i): b for i, b in enumerate(hidden)}
 
 
+def vocabulary_strings(spec: dict) -> list[bytes]:
+    """Bytes of each id."""
+    alphabet, vocab = byte_alphabet(), spec["model"]["vocab"]
+    special = {t["content"]: t["id"] for t in spec.get("added_tokens", [])}
+    words = [b""] * (max([*vocab.values(), *special.values()]) + 1)
+    for word, i in vocab.items():
+        words[i] = word.encode() if word in special else bytes(alphabet[c] for c in word)
+    for word, i in special.items():
+        words[i] = word.encode()
+    return words
+
+
+def joined(words: list[bytes], ids: list[int]) -> str:
+    return b"".join(map(words.__getitem__, ids)).decode("utf-8", "replace")
+
+
 class ByteBpe:
     def __init__(self, path: str, memo: int = MEMO) -> None:
         with open(path, encoding="utf-8") as f:
@@ -57,11 +73,7 @@ class ByteBpe:
         vocab = spec["model"]["vocab"]
         special = {t["content"]: t["id"] for t in spec.get("added_tokens", [])}
         self.special = {k: np.array([v], "<i4").tobytes() for k, v in special.items()}
-        self.words = [b""] * (max([*vocab.values(), *special.values()]) + 1)
-        for word, i in vocab.items():
-            self.words[i] = word.encode() if word in special else bytes(self.alphabet[c] for c in word)
-        for word, i in special.items():
-            self.words[i] = word.encode()
+        self.words = vocabulary_strings(spec)
         stand_in = {b: c for c, b in self.alphabet.items()}
         self.byte_id = [vocab[stand_in[b]] for b in range(256)]
         self.rank: dict[int, int] = {}
@@ -130,7 +142,7 @@ class ByteBpe:
         return np.frombuffer(b"".join(out), "<i4")
 
     def decode(self, ids: list[int]) -> str:
-        return b"".join(map(self.words.__getitem__, ids)).decode("utf-8", "replace")
+        return joined(self.words, ids)
 
 
 @lru_cache(maxsize=2)
@@ -138,6 +150,13 @@ def tokenizer(path: str) -> ByteBpe:
     return ByteBpe(path)
 
 
+@lru_cache(maxsize=2)
+def strings(path: str) -> list[bytes]:
+    """What decoding needs, without the rest of a tokenizer."""
+    with open(path, encoding="utf-8") as f:
+        return vocabulary_strings(json.load(f))
+
+
 def _encoder(path: str):  # noqa: ANN202
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         bpe = tokenizer(path)
@@ -148,6 +167,8 @@ def _encoder(path: str):  # noqa: ANN202
                 ends = np.cumsum([0, *map(len, ids)]).astype(np.int32)
                 lists = pa.ListArray.from_arrays(pa.array(ends), pa.array(np.concatenate(ids) if ids else np.zeros(0, "<i4"), pa.int32()))
                 yield pa.RecordBatch.from_arrays([part.column(0), lists], names=["doc_id", "ids"])
+        bpe.memo.forget()  # a worker goes on to other tasks, and its memory to them
+        bpe.pieces.forget()
 
     return run
 
@@ -165,13 +186,13 @@ def encode(docs: DataFrame, path: str | None = None, id_col: str = "doc_id", tex
 
 def _decoder(path: str):  # noqa: ANN202
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        bpe = tokenizer(path)
+        words = strings(path)
         for batch in batches:
             for at in range(0, len(batch), 512):
                 part = batch.slice(at, 512)
                 ids = part.column(1)
                 flat, ends = ids.flatten().to_numpy(zero_copy_only=False).tolist(), np.cumsum([0, *((x or 0) for x in pc.list_value_length(ids).to_pylist())]).tolist()
-                texts = [bpe.decode(flat[a:b]) for a, b in zip(ends, ends[1:])]
+                texts = [joined(words, flat[a:b]) for a, b in zip(ends, ends[1:])]
                 yield pa.RecordBatch.from_arrays([part.column(0), ids, pa.array(texts, pa.string())], names=["doc_id", "ids", "text"])
 
     return run

@@ -21,3 +21,7 @@ class Memo(dict):
             self.clear()
         self[piece] = value
         return value
+
+    def forget(self) -> None:
+        self.clear()
+        self.old = {}
