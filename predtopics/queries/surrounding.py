@@ -171,4 +171,4 @@ query("cogroup_pandas", m.sql("SELECT c.p1, count(*) AS rows, (SELECT round(max(
 query("brand_spanning_tree", None, lambda s, d: baselines.spanning_tree(m.similarity.share_scores(brand_links(s, d)).select("p1", "p2", (1 - C("share")).alias("d"))))
 query("brand_theta_error", None, lambda s, d: sketches.share_error(brand_links(s, d), sketches.share_scores_theta(brand_links(s, d))))
 query("contract_same", "SELECT 'Nation:' || n_nationkey AS term, 'Nation:' || min(CAST(n_nationkey AS VARCHAR)) OVER (PARTITION BY n_regionkey) AS name FROM nation", lambda s, d: normalise.contract_same(load(s, d, "nation").withColumn("first", F.min(C("n_nationkey").cast("string")).over(W.partitionBy("n_regionkey"))).select(F.concat(F.lit("Nation:"), C("n_nationkey").cast("string")).alias("a"), F.concat(F.lit("Nation:"), "first").alias("b"))))
-query("link_terms", "SELECT a.vec_id AS id1, b.vec_id AS id2 FROM embeddings a, embeddings b WHERE a.vec_id < 100 AND list_distance(CAST(a.embedding AS DOUBLE[]), CAST(b.embedding AS DOUBLE[])) <= 0.9", lambda s, d: normalise.link_terms(load(s, d, "embeddings").where("vec_id < 100").select(C("vec_id").alias("id"), C("embedding").alias("v")), load(s, d, "embeddings").select(C("vec_id").alias("id"), C("embedding").alias("v")), 0.9).select("id1", "id2"))
+query("link_terms", "SELECT a.vec_id AS id1, b.vec_id AS id2 FROM embeddings a, embeddings b WHERE a.vec_id < 100 AND list_distance(CAST(a.embedding AS DOUBLE[]), CAST(b.embedding AS DOUBLE[])) <= 0.9", lambda s, d: normalise.link_terms(load(s, d, "embeddings").select(C("vec_id").alias("id"), C("embedding").alias("v")), load(s, d, "embeddings").select(C("vec_id").alias("id"), C("embedding").alias("v")), 0.9).select("id1", "id2"))
