@@ -17,3 +17,24 @@ def test_link_terms_links_every_row(spark, sf_dir):
     assert np.abs(d - 0.9).min() > 1e-9
     assert got == {(int(ids[i]), int(ids[j])) for i, j in np.argwhere(d <= 0.9)}
     assert {a for a, _ in got} == set(ids.tolist())
+
+
+def test_vector_cosine_measures_every_pair_of_a_label(spark, sf_dir):
+    ids, x, label = vectors(spark, sf_dir)
+    u = x / np.sqrt((x * x).sum(axis=1, keepdims=True))
+    cos = u @ u.T
+    got = {(r.a, r.b): r.cos for r in own.QUERIES["fn_vector_cosine"](spark, sf_dir).collect()}
+    want = {(int(ids[i]), int(ids[j])): cos[i, j] for i, j in np.argwhere((label[:, None] == label[None, :]) & (ids[:, None] < ids[None, :]))}
+    assert got.keys() == want.keys()
+    assert max(abs(got[k] - want[k]) for k in want) < 1e-5
+
+
+def test_vector_nearest_gives_five_in_the_label_of_every_row(spark, sf_dir):
+    ids, x, label = vectors(spark, sf_dir)
+    u = x / np.sqrt((x * x).sum(axis=1, keepdims=True))
+    cos = u @ u.T
+    got = {(r.a, r["rank"]): r.cos for r in own.QUERIES["fn_vector_nearest"](spark, sf_dir).collect()}
+    for i in range(len(ids)):
+        others = np.sort(cos[i, (label == label[i]) & (ids != ids[i])])[::-1][:5]
+        assert np.allclose([got.pop((int(ids[i]), k + 1)) for k in range(len(others))], others, atol=1e-5)
+    assert not got
