@@ -10,8 +10,9 @@ log-probability of every n-gram that occurs. If these are at most ``MOST`` (thei
 sorted arrays and reads the documents where they are. Beyond that, each block of documents asks for its own n-grams by a join, and is
 scored next to the answers. A text begins behind ORDER-1 zero bytes.
 
-Thresholds are quantiles by language over trusted texts that the model has not seen: of every ``HELD`` trusted documents, by a
-hash of the id, one is held back for them.
+Thresholds are quantiles by language over all trusted texts, each scored by a model that has not seen it: trusted documents are dealt
+to ``HELD`` folds by a hash of the id, and each fold is scored by the model of the others. All other documents are scored by the
+model that does without the first fold, so they and the trusted ones stand behind models of the same share of trusted text.
 """
 
 from __future__ import annotations
@@ -30,10 +31,8 @@ ORDER = 5
 MOST, CHUNK = 6_000_000, 8 << 20
 #: Quantile of trusted text's perplexity, by language, up to which a document is kept.
 QUANTILE = 0.995
-#: One of so many trusted documents sets thresholds and is not trained on; languages with fewer than FEW of these take at least the threshold of all.
-HELD, FEW = 3, 50
-#: What a threshold is multiplied by: room for texts just beyond the quantile, which a small calibration set does not reach.
-ROOM = 1.2
+#: Folds of trusted documents; a model is trained on all but one.
+HELD = 3
 
 
 def grams(data: bytes, order: int = ORDER) -> np.ndarray:
@@ -245,10 +244,10 @@ def perplexity(docs: DataFrame, model: Model, keep: tuple[str, ...] = ("doc_id",
     return scored.withColumn("perplexity", F.when(F.col("n_bytes") > 0, F.exp(-F.col("log_sum") / F.col("n_bytes")))).drop("log_sum")
 
 
-def thresholds(scored: DataFrame, by: str = "held", lang: str = "lang", quantile: float = QUANTILE) -> DataFrame:
+def thresholds(scored: DataFrame, by: str = "trusted", lang: str = "lang", quantile: float = QUANTILE) -> DataFrame:
     """(lang, threshold, n): by language, and a row of null language for all rows of ``by`` together."""
     rows = scored.where(F.col(by) & F.col("perplexity").isNotNull())
-    value = [(F.percentile_approx("perplexity", quantile, 10_000) * ROOM).alias("threshold"), F.count("*").alias("n")]
+    value = [F.percentile_approx("perplexity", quantile, 10_000).alias("threshold"), F.count("*").alias("n")]
     each = rows.where(F.col(lang).isNotNull()).groupBy(F.col(lang).alias("lang")).agg(*value)
     return each.unionByName(rows.agg(*value).select(F.lit(None).cast("string").alias("lang"), "threshold", "n"))
 
@@ -257,19 +256,23 @@ def classify(docs: DataFrame, trusted_ids: DataFrame, id_col: str = "doc_id", te
     """(doc_id, lang, trusted, n_bytes, perplexity, threshold, keep) of every row.
 
     Trained on the rows whose id is in ``trusted_ids`` (its first column). A language without trusted text, and a null one, has
-    the threshold of all trusted text; null and empty texts have no perplexity and are not kept; if nothing is held back there is no threshold
+    the threshold of all trusted text; null and empty texts have no perplexity and are not kept; without trusted text there is no threshold
     and every text is kept. Repeated rows and null ids stay; an empty frame gives an empty one. Other columns are ignored.
     """
     ids = trusted_ids.select(F.col(trusted_ids.columns[0]).alias("__id")).where("__id is not null").distinct()
     rows = docs.select(F.col(id_col).alias("doc_id"), F.col(lang_col).cast("string").alias("lang"), F.col(text_col).cast("string").alias("text"))
     marked = rows.join(sized(ids.withColumn("__in", F.lit(True)), 2_000_000), F.col("doc_id") == F.col("__id"), "left").select("doc_id", "lang", "text", F.coalesce("__in", F.lit(False)).alias("trusted"))
-    marked = marked.withColumn("held", F.col("trusted") & (F.pmod(F.xxhash64(F.col("doc_id").cast("string")), F.lit(HELD)) == 0))
-    model = train(marked.where("trusted and not held"))
-    scored = checkpoint(perplexity(marked, model, ("doc_id", "lang", "trusted", "held"), "text", most))
-    limit = thresholds(scored, quantile=quantile).select(F.col("lang").alias("__lang"), "threshold", "n")
+    fold = F.pmod(F.xxhash64(F.col("doc_id").cast("string")), F.lit(HELD))
+    marked = marked.withColumn("fold", F.when(F.col("trusted"), fold).otherwise(F.lit(0)).cast("int"))
+    scored = None
+    for k in range(HELD):
+        model = train(marked.where((F.col("fold") != k) & F.col("trusted")))
+        some = checkpoint(perplexity(marked.where(F.col("fold") == k), model, ("doc_id", "lang", "trusted"), "text", most))
+        scored = some if scored is None else scored.unionByName(some)
+    limit = thresholds(scored, quantile=quantile).select(F.col("lang").alias("__lang"), "threshold")
     every = limit.where("__lang is null").select(F.col("threshold").alias("__every"))
     out = scored.join(F.broadcast(limit.where("__lang is not null")), F.col("lang") == F.col("__lang"), "left").crossJoin(F.broadcast(every))
-    out = out.withColumn("threshold", F.coalesce(F.when(F.col("n") < FEW, F.greatest("threshold", "__every")).otherwise(F.col("threshold")), F.col("__every")))
+    out = out.withColumn("threshold", F.coalesce("threshold", "__every"))
     keep = F.col("perplexity").isNotNull() & (F.col("threshold").isNull() | (F.col("perplexity") <= F.col("threshold")))
     return out.select("doc_id", "lang", "trusted", "n_bytes", "perplexity", "threshold", keep.alias("keep"))
 

@@ -80,3 +80,19 @@ def test_edges(spark):
     assert all(r.keep for r in nq.classify(frame, ids.limit(0)).collect() if r.n_bytes)
     assert nq.classify(frame.limit(0), ids).count() == 0
     assert np.array(nq.grams(b"")).size == 0
+
+
+def test_thresholds_are_the_plain_quantile_of_all_trusted_texts_unseen(spark, sf_dir):
+    docs = spark.read.parquet(f"{sf_dir}/documents.parquet").where("doc_id < 60").select("doc_id", "lang", "text")
+    ids = docs.where("doc_id % 3 > 0").select("doc_id")
+    got = {r.doc_id: r for r in nq.classify(docs, ids, quantile=0.8).collect()}
+    fold = {r.doc_id: r.f for r in docs.selectExpr("doc_id", f"pmod(xxhash64(cast(doc_id as string)), {nq.HELD}) as f").collect()}
+    text = {r.doc_id: r.text for r in docs.collect()}
+    for k in range(nq.HELD):
+        trained = [t for i, t in text.items() if i % 3 and fold[i] != k]
+        judged = [i for i in text if (fold[i] == k if i % 3 else k == 0)]
+        for i, want in zip(judged, brute(trained, [text[i] for i in judged], nq.ORDER)):
+            assert got[i].perplexity is None if want is None else got[i].perplexity == pytest.approx(want, rel=1e-4)
+    for lang in {r.lang for r in got.values()}:
+        own = sorted(r.perplexity for r in got.values() if r.lang == lang and r.trusted and r.perplexity is not None)
+        assert own and {r.threshold for r in got.values() if r.lang == lang} == {own[math.ceil(0.8 * len(own)) - 1]}
