@@ -12,7 +12,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from predtopics.llm import bpe, decontaminate, language, secrets, simhash
-from predtopics.llm.common import shared_dir, table
+from predtopics.llm.common import checkpoint, shared_dir, table
 
 COLUMNS = ("doc_id", "text", "lang", "source", "n_chars")
 
@@ -29,15 +29,22 @@ def identify_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Data
 
 
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One row of each SimHash class: that of the smallest doc_id, of repeated ids the one with the least text. Rows without id stay."""
-    found = simhash.near_duplicates(docs.select("doc_id", "text").where("doc_id is not null"))
-    kept = found.where("doc_id = component_id").select("doc_id").distinct()
-    once = docs.where("doc_id is not null").join(kept, "doc_id", "left_semi")
-    repeated = docs.groupBy("doc_id").count().where("count > 1 and doc_id is not null").select("doc_id")
-    alone = once.join(repeated, "doc_id", "left_anti")
-    rest = [c for c in COLUMNS if c != "doc_id"]
-    least = once.join(repeated, "doc_id", "left_semi").groupBy("doc_id").agg(F.min(F.struct(*rest)).alias("r")).select("doc_id", "r.*")
-    return _documents(alone).unionByName(_documents(least)).unionByName(_documents(docs.where("doc_id is null")))
+    """One row of each SimHash class: that of the smallest doc_id, rows without id last; of repeated ids the one with the least text.
+
+    Rows are told apart by a key of their own, written once, so that each of repeated or missing ids is classed by its own text.
+    """
+    at = f"{shared_dir(spark)}/rows-{uuid.uuid4().hex}"
+    docs.select(F.monotonically_increasing_id().alias("row"), *COLUMNS).write.parquet(at)
+    rows = spark.read.parquet(at)
+    ident = F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "row")
+    found = simhash.near_duplicates(rows.select(ident.alias("id"), "text"), "id")
+    first = found.where(F.col("doc_id.doc_id").eqNullSafe(F.col("component_id.doc_id"))).select("component_id.row", F.col("doc_id.row").alias("own"))
+    first = checkpoint(first.withColumnRenamed("row", "class"))
+    several = first.groupBy("class").count().where("count > 1").select("class")
+    tied = first.join(several, "class").join(rows.withColumnRenamed("row", "own"), "own")
+    least = tied.groupBy("class").agg(F.min(F.struct("text", "lang", "source", "n_chars", "own")).alias("r")).select(F.col("r.own").alias("row"))
+    kept = first.join(several, "class", "left_anti").select(F.col("own").alias("row")).unionByName(least)
+    return _documents(rows.join(kept, "row", "left_semi"))
 
 
 def drop_contaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -51,3 +51,17 @@ def test_stages_keep_columns_and_survive_odd_rows(spark, sf_dir):
             assert (None, "the and of [SECRET]") in got and (None, None) in got or (None, "") in got
         assert stage(spark, docs.limit(0), sf_dir).count() == 0
     assert F is not None
+
+
+def test_one_row_of_each_class_stays_whatever_its_id(spark):
+    words = ["alpha beta gamma delta epsilon zeta eta theta", "one two three four five six seven eight nine", "red green blue black white brown pink grey", "north south east west up down left right"]
+    a, b, c, d = words
+    rows = [(1, a), (2, a), (2, b), (2, c), (2, c), (None, c), (None, d), (None, d), (None, d), (5, "apple " + b), (None, None), (7, "")]
+    docs = spark.createDataFrame([(i, t, "en", "s", len(t or "")) for i, t in rows], "doc_id long, text string, lang string, source string, n_chars long")
+    got = sorted(((r.doc_id, r.text) for r in cp.drop_near_duplicates(spark, docs.repartition(3), "").collect()), key=str)
+    prints = dict(enumerate(plain_fingerprint(t or "") for _, t in rows))
+    classes = {}
+    for k, root in brute_components(prints).items():
+        classes.setdefault(root, []).append(rows[k])
+    want = [min(members, key=lambda r: (r[0] is None, r[0] or 0, r[1] or "")) for members in classes.values()]
+    assert got == sorted(want, key=str) and (2, b) in got and got.count((None, d)) == 1
