@@ -5,7 +5,8 @@ Gaussian projections, shifted and cut into cells of ``CELL``; their cell numbers
 ``TABLES`` tables, its own bucket and perturbed ones (a projection moved to the next cell on either side), in the order
 of estimated success: the sum of squared distances to the cell walls that are crossed, least first. How many are visited is
 fitted on a bounded sample (``SAMPLE`` rows, ``TRIALS`` queries) so that the sample's own neighbours are found with ``RECALL``;
-all rows are indexed.
+all rows are indexed. Queries that find fewer than ``k`` rows so, though more exist, go on with every perturbation, and those that
+still do are compared with all rows.
 
 Buckets are dealt to shards by hash; a shard that holds more than ``BLOCK`` rows is split by vector, and its queries go
 to every part. In a shard, rows are held (at most about a block) while queries stream past; for each query the best ``k`` of the rows
@@ -16,7 +17,7 @@ from __future__ import annotations
 
 import itertools
 from collections.abc import Iterator
-from dataclasses import dataclass
+from dataclasses import dataclass, replace
 from functools import lru_cache
 
 import numpy as np
@@ -159,6 +160,7 @@ def _query_rows(h: Hashing, shards: int):  # noqa: ANN202
 def _best(q_id: np.ndarray, q: np.ndarray, buckets: list[np.ndarray], codes: np.ndarray, ids: np.ndarray, x: np.ndarray, k: int) -> tuple[list, list, list]:
     """Best k rows of a shard for each of some queries, among the rows in its buckets."""
     known, inverse = np.unique(codes, return_inverse=True)
+    names, owner = np.unique(ids, return_inverse=True)
     visited = np.zeros((len(q), len(known)), bool)
     for i, b in enumerate(buckets):
         at = np.searchsorted(known, b)
@@ -174,10 +176,16 @@ def _best(q_id: np.ndarray, q: np.ndarray, buckets: list[np.ndarray], codes: np.
         some = int((r > -np.inf).sum())
         if not some:
             continue
-        least = np.partition(r, len(r) - min(k, some))[len(r) - min(k, some)]
+        best = r
+        if len(names) < len(ids):  # repeated ids count once
+            best = np.full(len(names), -np.inf)
+            np.maximum.at(best, owner, r)
+            some = int((best > -np.inf).sum())
+        least = np.partition(best, len(best) - min(k, some))[len(best) - min(k, some)]
         near = np.flatnonzero(r >= least - 1e-9)
         exact = cosines(q[i], x[near])
-        order = np.lexsort((ids[near], -exact))[:k]
+        order = np.lexsort((ids[near], -exact))
+        order = order[np.sort(np.unique(ids[near][order], return_index=True)[1])][:k]
         out_q += [q_id[i]] * len(order)
         out_v += ids[near][order].tolist()
         out_s += exact[order].tolist()
@@ -241,19 +249,50 @@ def nearest(vectors: DataFrame, is_query: Column, k: int = 5, id_col: str = "vec
     sample = rows.where(spread < share).orderBy(spread, "vec_id").limit(SAMPLE).collect()
     h = fitted(np.array([r["vec"] for r in sample], np.float64).reshape(-1, dim), dim, k)
     shards = max(1, -(-n // BLOCK))
+    found = _visit(rows, rows.where(is_query), h, shards, k)
+    exist = rows.select("vec_id").distinct().limit(k + 1).count() - 1  # others of a query, as far as k
+    for wider in (replace(h, probes=len(moves(h.hashes)[0])), None):
+        if wider == h:
+            continue
+        full = found.groupBy("query_id").count().where(F.col("count") >= exist).select(F.col("query_id").alias("vec_id"))
+        lack = checkpoint(rows.where(is_query).join(full, "vec_id", "left_anti"))
+        if exist < 1 or lack.isEmpty():
+            break
+        more = _visit(rows, lack, wider, shards, k) if wider else _compare(rows, lack, shards, k, dim)
+        rest = found.join(lack.select(F.col("vec_id").alias("query_id")).distinct(), "query_id", "left_anti")
+        found = rest.unionByName(more)
+    return found
+
+
+def _ranked(found: DataFrame, k: int) -> DataFrame:
+    """The k best of what shards have found, written to the shared folder."""
+    once = found.groupBy("query_id", "vec_id").agg(F.max("score").alias("score"))
+    rank = F.row_number().over(W.partitionBy("query_id").orderBy(F.desc("score"), "vec_id"))
+    return checkpoint(once.withColumn("rank", rank).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score"))
+
+
+def _visit(rows: DataFrame, queries: DataFrame, h: Hashing, shards: int, k: int) -> DataFrame:
+    """What queries find in the buckets that they visit."""
     index = rows.mapInArrow(_index_rows(h, shards), "shard long, bucket long, vec_id long, vec array<double>")
     parts = checkpoint(index.groupBy("shard").count().select("shard", F.ceil(F.col("count") / F.lit(1.5 * BLOCK)).cast("int").alias("parts")))
     split = parts.where("parts > 1")
     part = F.when(F.col("parts").isNotNull(), F.pmod(F.xxhash64("vec_id"), F.col("parts")).cast("int")).otherwise(F.lit(0))
     none = F.lit(None).cast("array<bigint>")
     stored = index.join(sized(split), "shard", "left").select("shard", part.alias("part"), F.lit(0).alias("kind"), "bucket", none.alias("buckets"), "vec_id", "vec")
-    asked = rows.where(is_query).mapInArrow(_query_rows(h, shards), "shard long, buckets array<bigint>, vec_id long, vec array<double>").join(sized(parts), "shard")
+    asked = queries.mapInArrow(_query_rows(h, shards), "shard long, buckets array<bigint>, vec_id long, vec array<double>").join(sized(parts), "shard")
     asked = asked.select("shard", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)).alias("part"), F.lit(1).alias("kind"), F.lit(0).cast("long").alias("bucket"), "buckets", "vec_id", "vec")
     placed = stored.unionByName(asked).repartition("shard", "part").sortWithinPartitions("shard", "part", "kind")
-    found = placed.mapInArrow(_search(dim, k), "query_id long, vec_id long, score double")
-    once = found.groupBy("query_id", "vec_id").agg(F.max("score").alias("score"))
-    rank = F.row_number().over(W.partitionBy("query_id").orderBy(F.desc("score"), "vec_id"))
-    return once.withColumn("rank", rank).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
+    return _ranked(placed.mapInArrow(_search(h.dim, k), "query_id long, vec_id long, score double"), k)
+
+
+def _compare(rows: DataFrame, queries: DataFrame, shards: int, k: int, dim: int) -> DataFrame:
+    """What queries find among all rows, block by block."""
+    zero = F.lit(0).cast("long")
+    stored = rows.select(F.pmod(F.xxhash64("vec_id"), F.lit(shards)).alias("shard"), F.lit(0).alias("part"), F.lit(0).alias("kind"), zero.alias("bucket"), F.lit(None).cast("array<bigint>").alias("buckets"), "vec_id", "vec")
+    every = F.explode(F.sequence(zero, F.lit(shards - 1).cast("long")))
+    asked = queries.select(every.alias("shard"), F.lit(0).alias("part"), F.lit(1).alias("kind"), zero.alias("bucket"), F.array(zero).alias("buckets"), "vec_id", "vec")
+    placed = stored.unionByName(asked).repartition("shard", "part").sortWithinPartitions("shard", "part", "kind")
+    return _ranked(placed.mapInArrow(_search(dim, k), "query_id long, vec_id long, score double"), k)
 
 
 def op7_neighbours(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -69,3 +69,27 @@ def test_many_copies_of_one_vector(spark, monkeypatch):
     frame = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "vec_id long, embedding array<float>")
     got = collected(nb.nearest(frame, F.col("vec_id") % 50 == 0))
     assert [v for v, _ in got[0]] == [3, 6, 9, 12, 15] and [v for v, _ in got[150]] == [0, 3, 6, 9, 12]
+
+
+def test_isolated_queries_find_k_rows(spark, monkeypatch):
+    rng = np.random.default_rng(5)
+    centres = rng.normal(size=(40, 64))
+    x = centres[rng.integers(0, 40, 4000)] + 0.02 * rng.normal(size=(4000, 64))
+    lone = rng.choice(4000, 60, replace=False)
+    x[lone] = rng.normal(size=(60, 64))
+    x = x.astype(np.float32)
+    monkeypatch.setattr(nb, "BLOCK", 1500)
+    frame = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "vec_id long, embedding array<float>")
+    asked = [int(i) for i in [*lone, *range(0, 4000, 100)]]
+    got = collected(nb.nearest(frame, F.col("vec_id").isin(asked)))
+    assert set(got) == set(asked) and all(len(v) == 5 for v in got.values())
+    double = x.astype(np.float64)
+    monkeypatch.setattr(nb, "fitted", lambda sample, dim, k: nb.Hashing(dim, cell=1e-3, probes=1))  # buckets of one row: all are compared with all
+    got = collected(nb.nearest(frame, F.col("vec_id").isin(asked[:20])))
+    assert got == brute(np.arange(4000), double, asked[:20])
+
+
+def test_repeated_ids_do_not_push_out_others(spark):
+    rows = [(0, [1.0, 0.0])] + [(1, [1.0, 0.01])] * 20 + [(i, [1.0, 0.1 * i]) for i in range(2, 9)]
+    frame = spark.createDataFrame(rows, "vec_id long, embedding array<double>")
+    assert [v for v, _ in collected(nb.nearest(frame, F.col("vec_id") == 0))[0]] == [1, 2, 3, 4, 5]
