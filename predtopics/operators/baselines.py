@@ -52,6 +52,23 @@ def width_curve(features: DataFrame, algorithms: tuple[str, ...] = ALGORITHMS, k
     return clusterings(features, algorithms, ks, dissimilarity).groupBy("algorithm", "k").agg(F.count_distinct("cluster").alias("clusters"), F.avg("sw").alias("sw"))
 
 
+def node_curves(members: DataFrame, features: DataFrame, algorithms: tuple[str, ...] = ALGORITHMS, ks: tuple[int, ...] = tuple(range(2, 17)), dissimilarity: str = "row_sqeuclid", seed: int = 7) -> DataFrame:
+    """(topic, algorithm, k, clusters, sw): width_curve of the predicates of each topic in members (topic, p); each topic, algorithm and k is a task of its own."""
+    names = features.agg(F.array_sort(F.collect_list("p")).alias("names"))
+    grid = features.sparkSession.createDataFrame([(a, k) for a in algorithms for k in ks], "algorithm string, k int")
+    rows = members.join(features, "p").crossJoin(F.broadcast(names)).withColumn("at", F.array_position("names", F.col("p")) - 1).drop("names").crossJoin(F.broadcast(grid))
+
+    def run(key, pdf: pd.DataFrame) -> pd.DataFrame:  # noqa: ANN001
+        topic, algorithm, k = key
+        pdf = pdf.sort_values("p")
+        x, at = np.stack(pdf["features"].to_numpy()), pdf["at"].to_numpy()
+        d = local.dissimilarities(x, at, dissimilarity)
+        labels = np.unique(_labels(algorithm, x, d, min(k, len(x)), seed), return_inverse=True)[1]
+        return pd.DataFrame({"topic": [topic], "algorithm": [algorithm], "k": [k], "clusters": [len(np.unique(labels))], "sw": [float(local.silhouette(d, labels).mean())]})
+
+    return rows.groupBy("topic", "algorithm", "k").applyInPandas(run, "topic string, algorithm string, k int, clusters long, sw double")
+
+
 def stability(curve: DataFrame) -> DataFrame:
     """(algorithm, best, span, sd): how an algorithm's width varies over k."""
     return curve.groupBy("algorithm").agg(F.max("sw").alias("best"), (F.max("sw") - F.min("sw")).alias("span"), F.stddev("sw").alias("sd"))

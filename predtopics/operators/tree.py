@@ -80,6 +80,12 @@ def leaves(tree: Tree) -> DataFrame:
     return tree.members.join(parents, "topic_id", "left_anti").select(F.col("topic_id").alias("topic"), "p")
 
 
+def inner_nodes(tree: Tree) -> DataFrame:
+    """(topic, p) of the topics that are split, the root among them."""
+    parents = tree.topics.where("parent_id is not null").select(F.col("parent_id").alias("topic_id")).distinct()
+    return tree.members.join(parents, "topic_id", "left_semi").select(F.col("topic_id").alias("topic"), "p")
+
+
 def tree_shape(topics: DataFrame) -> DataFrame:
     """(level, topics, frontier, predicates): topics made at a level, and with the unsplit ones of the levels above."""
     parents = topics.where("parent_id is not null").select(F.col("parent_id").alias("topic_id")).distinct()

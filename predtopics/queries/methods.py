@@ -264,6 +264,7 @@ query("silhouette_fast")(lambda s, d: s.createDataFrame([(sil.silhouette_fast(fe
 query("silhouette_sample")(lambda s, d: sil.silhouette_sample(similarity.dissimilarity(matrix(s, d), preds(s, d)), fixed(s, d).select("p", F.col("topic").alias("cluster"), F.lit("root").alias("parent")), 0.5))
 query("ml_kmeans")(lambda s, d: kmeans.ml_kmeans(features(s, d, "refined"), 8))
 query("width_curve")(lambda s, d: once(s, (d, "curve"), lambda: settle(baselines.width_curve(features(s, d, "refined")))))
+query("width_curve_nodes")(lambda s, d: baselines.node_curves(tree.inner_nodes(built_tree(s, d)), features(s, d, "refined")))
 query("width_stability")(lambda s, d: baselines.stability(QUERIES["width_curve"](s, d)))
 for _a in ("kmeans", "medoids", "sampled_medoids", "single", "complete", "average", "ward", "divisive"):
     query({"kmeans": "flat_kmeans", "medoids": "pam", "sampled_medoids": "clara", "divisive": "divisive"}.get(_a, f"agglomerative_{_a}"))(lambda s, d, a=_a: baselines.clusterings(features(s, d, "refined"), (a,), (8,)))

@@ -38,3 +38,20 @@ def test_vector_nearest_gives_five_in_the_label_of_every_row(spark, sf_dir):
         others = np.sort(cos[i, (label == label[i]) & (ids != ids[i])])[::-1][:5]
         assert np.allclose([got.pop((int(ids[i]), k + 1)) for k in range(len(others))], others, atol=1e-5)
     assert not got
+
+
+def test_width_curves_of_every_inner_node(spark, sf_dir):
+    inner = {r.parent_id for r in own.QUERIES["topic_tree"](spark, sf_dir).collect() if r.parent_id}
+    got = {(r.topic, r.algorithm, r.k): r for r in own.QUERIES["width_curve_nodes"](spark, sf_dir).collect()}
+    whole = own.QUERIES["width_curve"](spark, sf_dir).collect()
+    assert got.keys() == {(t, r.algorithm, r.k) for t in inner for r in whole}
+    root = next(r.topic_id for r in own.QUERIES["topic_tree"](spark, sf_dir).collect() if r.parent_id is None)
+    assert all(abs(got[root, r.algorithm, r.k].sw - r.sw) < 1e-9 and got[root, r.algorithm, r.k].clusters == r.clusters for r in whole)
+
+
+def test_composites_are_of_brand_type_and_size(spark, sf_dir):
+    part, line = (spark.read.parquet(f"{sf_dir}/{n}.parquet") for n in ("part", "lineitem"))
+    sold = {r.l_partkey for r in line.select("l_partkey").distinct().collect()}
+    want = {f"{r.p_brand}/{r.p_type}/{r.p_size}" for r in part.collect() if r.p_partkey in sold}
+    got = own.QUERIES["share_composite_theta"](spark, sf_dir).select("p1", "p2").collect()
+    assert got and {p for r in got for p in r} <= want
