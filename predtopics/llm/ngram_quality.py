@@ -6,29 +6,31 @@ behind (its continuations), and each order's discounts come from its counts of c
 by joins of the sharded tables on n-grams and contexts.
 
 For scoring, the n-grams of all documents are counted the same way and joined with the sharded tables: that gives the
-log-probability of every n-gram that occurs. If these are at most ``MOST`` (their size is known then) every worker gets them as two
+log-probability of every n-gram that occurs. If these are at most ``MOST`` (their size is known then) every worker gets them as
 sorted arrays and reads the documents where they are. Beyond that, each block of documents asks for its own n-grams by a join, and is
 scored next to the answers. A text begins behind ORDER-1 zero bytes.
 
 Thresholds are quantiles by language over all trusted texts, each scored by a model that has not seen it: trusted documents are dealt
 to ``HELD`` folds by a hash of the id, and each fold is scored by the model of the others. All other documents are scored by the
-model that does without the first fold, so they and the trusted ones stand behind models of the same share of trusted text.
+model that does without the first fold, so they and the trusted ones stand behind models of the same share of trusted text. These models are
+trained at once: each sharded table has a column for each of them, as the counts without a fold are all counts less that fold's.
 """
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import checkpoint, sized, table
+from .common import checkpoint, shared_dir, sized, table
 
 ORDER = 5
-#: Distinct n-grams that workers may hold (12 bytes each), and bytes of text that are sorted at once.
-MOST, CHUNK = 6_000_000, 8 << 20
+#: Distinct n-grams that workers may hold (8 bytes, and 4 for each model), and bytes of text that are sorted at once.
+MOST, CHUNK = 4_000_000, 8 << 20
 #: Quantile of trusted text's perplexity, by language, up to which a document is kept.
 QUANTILE = 0.995
 #: Folds of trusted documents; a model is trained on all but one.
@@ -57,39 +59,49 @@ def _add(held: tuple[np.ndarray, np.ndarray] | None, new: np.ndarray) -> tuple[n
 
 def _count(order: int):  # noqa: ANN202
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held, waiting, size = None, [], 0
+        held: dict[int, tuple] = {}
+        waiting: dict[int, list[np.ndarray]] = {}
+        size = 0
 
-        def out(held: tuple) -> pa.RecordBatch:
-            return pa.RecordBatch.from_arrays([pa.array(held[0]), pa.array(held[1].astype(np.int64))], names=["gram", "c"])
+        def add() -> None:
+            for fold, new in waiting.items():
+                held[fold] = _add(held.get(fold), np.concatenate(new))
+            waiting.clear()
+
+        def out() -> Iterator[pa.RecordBatch]:
+            for fold, (keys, counts) in held.items():
+                if len(keys):
+                    yield pa.RecordBatch.from_arrays([pa.array(np.full(len(keys), fold, np.int32)), pa.array(keys), pa.array(counts.astype(np.int64))], names=["fold", "gram", "c"])
+            held.clear()
 
         for batch in batches:
-            for text in batch.column(0):
+            for fold, text in zip(batch.column(0).to_pylist(), batch.column(1)):
                 data = (text.as_py() or "").encode()
                 for at in range(0, len(data), CHUNK):
                     g = grams(data[max(0, at - order + 1) : at + CHUNK], order)
-                    waiting.append(g if not at else g[order - 1 :])
+                    waiting.setdefault(fold, []).append(g if not at else g[order - 1 :])
                 size += len(data)
                 if size >= CHUNK:
-                    held, waiting, size = _add(held, np.concatenate(waiting)), [], 0
-                    if len(held[0]) > 3_000_000:
-                        yield out(held)
-                        held = None
-        if waiting:
-            held = _add(held, np.concatenate(waiting))
-        if held is not None and len(held[0]):
-            yield out(held)
+                    add()
+                    size = 0
+                    if sum(len(k) for k, _ in held.values()) > 3_000_000:
+                        yield from out()
+        add()
+        yield from out()
 
     return run
 
 
-def counted(texts: DataFrame, order: int = ORDER, text_col: str = "text") -> DataFrame:
-    """(gram, c) over all texts."""
-    some = texts.select(F.col(text_col).cast("string")).where(F.col(text_col).isNotNull()).mapInArrow(_count(order), "gram long, c long")
-    return some.groupBy("gram").agg(F.sum("c").cast("long").alias("c"))
+def counted(texts: DataFrame, order: int = ORDER, text_col: str = "text", fold: Column | None = None, folds: int = 1) -> DataFrame:
+    """(gram, f0, f1, ...) over all texts: counts by fold, a whole number below ``folds``; without it, all are in the first."""
+    number = F.lit(0) if fold is None else fold
+    some = texts.where(F.col(text_col).isNotNull()).select(number.cast("int").alias("fold"), F.col(text_col).cast("string").alias("text"))
+    found = some.mapInArrow(_count(order), "fold int, gram long, c long")
+    return found.groupBy("gram").agg(*[F.sum(F.when(F.col("fold") == k, F.col("c")).otherwise(0)).cast("long").alias(f"f{k}") for k in range(folds)])
 
 
 def discounts(ones: int, twos: int, threes: int, fours: int) -> tuple[float, float, float]:
-    """Discounts of counts 1, 2 and 3 or more, from how many n-grams have counts 1 to 4; 0.5, 1 and 1.5 times 1/2 where these are too few."""
+    """Discounts of counts 1, 2 and 3 or more, from how many n-grams have counts 1 to 4; 0.5, 0.75 and 0.9 where any of these is none."""
     if min(ones, twos, threes, fours) <= 0:
         return 0.5, 0.75, 0.9
     y = ones / (ones + 2 * twos)
@@ -98,91 +110,111 @@ def discounts(ones: int, twos: int, threes: int, fours: int) -> tuple[float, flo
 
 
 class Model:
-    """Sharded tables by order: probabilities of seen n-grams (gram, p), and what contexts give back (context, gamma)."""
+    """Sharded tables by order, with a column for each of ``n`` models: probabilities of n-grams (gram, p0, ...) that any has seen, and what contexts give back (context, gamma0, ...)."""
 
-    def __init__(self, probs: dict[int, DataFrame], gammas: dict[int, DataFrame], order: int) -> None:
-        self.probs, self.gammas, self.order = probs, gammas, order
+    def __init__(self, probs: dict[int, DataFrame], gammas: dict[int, DataFrame], order: int, n: int) -> None:
+        self.probs, self.gammas, self.order, self.n = probs, gammas, order, n
 
 
 def _tail(gram, k: int):  # noqa: ANN001, ANN202
     return F.col(gram).bitwiseAND(F.lit((1 << 8 * k) - 1))
 
 
-def train(trusted: DataFrame, order: int = ORDER, text_col: str = "text") -> Model:
-    """The model of trusted texts. Null and empty texts add nothing; without any text all bytes are equally likely."""
-    counts = {order: checkpoint(counted(trusted, order, text_col))}
+def train(trusted: DataFrame, order: int = ORDER, text_col: str = "text", fold: Column | None = None, folds: int = 1) -> Model:
+    """The model of trusted texts; given folds, for each of them the model of all others, or its own if the others have no text.
+
+    Null and empty texts add nothing; without any text all bytes are equally likely.
+    """
+    raw = checkpoint(counted(trusted, order, text_col, fold, folds))
+    sums = [x or 0 for x in raw.agg(*[F.sum(f"f{k}") for k in range(folds)]).first()]
+    columns = []
+    for k in range(folds):
+        others = [f"f{j}" for j in range(folds) if j != k] if sum(sums) > sums[k] else [f"f{j}" for j in range(folds)]
+        columns.append(sum((F.col(f) for f in others[1:]), F.col(others[0])).alias(f"n{k}"))
+    models = range(folds)
+    counts = {order: raw.select("gram", *columns)}
     for k in range(order - 1, 0, -1):
-        counts[k] = counts[k + 1].groupBy(_tail("gram", k).alias("gram")).agg(F.count("*").alias("c"))
+        counts[k] = counts[k + 1].groupBy(_tail("gram", k).alias("gram")).agg(*[F.count_if(F.col(f"n{i}") > 0).alias(f"n{i}") for i in models])
         if k == order - 1:
             counts[k] = checkpoint(counts[k])
     probs, gammas, lower = {}, {}, None
     for k in range(1, order + 1):
         c = counts[k].withColumn("context", F.shiftright("gram", 8))
-        n = c.agg(*[F.count_if(F.col("c") == i).alias(f"n{i}") for i in (1, 2, 3, 4)]).first()
-        d = discounts(*n)
-        cut = F.when(F.col("c") == 1, d[0]).when(F.col("c") == 2, d[1]).otherwise(d[2])
-        gammas[k] = checkpoint(c.groupBy("context").agg(F.sum("c").alias("total"), F.sum(cut).alias("cut")).select("context", "total", (F.col("cut") / F.col("total")).alias("gamma")))
-        base = F.lit(1 / 256) if lower is None else F.col("below")
-        seen = c.join(gammas[k], "context")
+        of = c.agg(*[F.count_if(F.col(f"n{i}") == x).alias(f"n{i}_{x}") for i in models for x in (1, 2, 3, 4)]).first()
+        cut = []
+        for i in models:
+            d, n = discounts(*of[4 * i : 4 * i + 4]), F.col(f"n{i}")
+            cut.append(F.when(n == 0, 0.0).when(n == 1, d[0]).when(n == 2, d[1]).otherwise(d[2]))
+        total = c.groupBy("context").agg(*[F.sum(f"n{i}").alias(f"total{i}") for i in models], *[F.sum(cut[i]).alias(f"cut{i}") for i in models])
+        gammas[k] = checkpoint(total.select("context", *[f"total{i}" for i in models], *[F.when(F.col(f"total{i}") > 0, F.col(f"cut{i}") / F.col(f"total{i}")).alias(f"gamma{i}") for i in models]))
+        seen = c.join(sized(gammas[k]), "context")
         if lower is not None:
-            seen = seen.join(lower.select(F.col("gram").alias("tail"), F.col("p").alias("below")), _tail("gram", k - 1) == F.col("tail"))
-        probs[k] = lower = checkpoint(seen.select("gram", ((F.col("c") - cut) / F.col("total") + F.col("gamma") * base).alias("p")))
-    return Model(probs, gammas, order)
+            seen = seen.join(sized(lower.select(F.col("gram").alias("tail"), *[F.col(f"p{i}").alias(f"below{i}") for i in models])), _tail("gram", k - 1) == F.col("tail"))
+        p = []
+        for i in models:
+            below = F.lit(1 / 256) if lower is None else F.col(f"below{i}")
+            p.append(F.when(F.col(f"total{i}") > 0, (F.col(f"n{i}") - cut[i]) / F.col(f"total{i}") + F.col(f"gamma{i}") * below).otherwise(below).alias(f"p{i}"))
+        probs[k] = lower = checkpoint(seen.select("gram", *p))
+    return Model(probs, gammas, order, folds)
 
 
 def log_probs(model: Model, wanted: DataFrame) -> DataFrame:
-    """(gram, logp) of distinct n-grams of the model's order, seen or not."""
-    p = F.lit(1 / 256)
+    """(gram, logp, logp1, ...) of distinct n-grams of the model's order, seen or not, by each of its models."""
+    models = range(model.n)
+    p = [F.lit(1 / 256)] * model.n
     cur = wanted.select("gram")
     for k in range(1, model.order + 1):
-        seen = model.probs[k].select(F.col("gram").alias(f"g{k}"), F.col("p").alias(f"p{k}"))
-        back = model.gammas[k].select(F.col("context").alias(f"h{k}"), F.col("gamma").alias(f"b{k}"))
-        cur = cur.join(sized(seen), _tail("gram", k) == F.col(f"g{k}"), "left").join(sized(back), F.shiftright(_tail("gram", k), 8) == F.col(f"h{k}"), "left")
-        p = F.coalesce(F.col(f"p{k}"), F.coalesce(F.col(f"b{k}"), F.lit(1.0)) * p)
-        cur = cur.select("gram", p.alias(f"q{k}"))
-        p = F.col(f"q{k}")
-    return cur.select("gram", F.log(p).cast("float").alias("logp"))
+        seen = model.probs[k].select(F.col("gram").alias("g"), *[F.col(f"p{i}").alias(f"s{i}") for i in models])
+        back = model.gammas[k].select(F.col("context").alias("h"), *[F.col(f"gamma{i}").alias(f"b{i}") for i in models])
+        cur = cur.join(sized(seen), _tail("gram", k) == F.col("g"), "left").join(sized(back), F.shiftright(_tail("gram", k), 8) == F.col("h"), "left")
+        cur = cur.select("gram", *[F.coalesce(F.col(f"s{i}"), F.coalesce(F.col(f"b{i}"), F.lit(1.0)) * p[i]).alias(f"q{i}") for i in models])
+        p = [F.col(f"q{i}") for i in models]
+    return cur.select("gram", *[F.log(p[i]).cast("float").alias(f"logp{i or ''}") for i in models])
 
 
-def _sums(texts: list[bytes], keys: np.ndarray, logs: np.ndarray, order: int) -> list[float]:
-    """Sum of log-probabilities of each text."""
+def _sums(texts: list[bytes], which: np.ndarray, keys: np.ndarray, logs: np.ndarray, order: int) -> list[float]:
+    """Sum of log-probabilities of each text by the model that ``which`` gives it."""
     out = []
-    for data in texts:
+    for data, model in zip(texts, which):
         total = 0.0
         for at in range(0, len(data), CHUNK):
             g = grams(data[max(0, at - order + 1) : at + CHUNK], order)
-            total += float(logs[np.searchsorted(keys, g if not at else g[order - 1 :])].sum(dtype=np.float64))
+            total += float(logs[model][np.searchsorted(keys, g if not at else g[order - 1 :])].sum(dtype=np.float64))
         out.append(total)
     return out
 
 
-def _packed(column: pa.Array, keys: np.ndarray, logs: np.ndarray, order: int) -> list[float]:
+def _packed(texts: list[bytes], which: np.ndarray, keys: np.ndarray, logs: np.ndarray, order: int) -> list[float]:
     """As _sums, for many texts at once: the n-grams of some megabytes are made distinct before they are looked up."""
     out: list[float] = []
-    texts: list[bytes] = []
-
-    def settle() -> None:
-        g = [grams(t, order) for t in texts]
-        ends = np.cumsum([0, *map(len, g)])
-        seen, inverse = np.unique(np.concatenate(g), return_inverse=True) if ends[-1] else (np.zeros(0, np.int64), np.zeros(0, np.int64))
-        values = np.concatenate([[0.0], np.cumsum(logs[np.searchsorted(keys, seen)].astype(np.float64)[inverse])])
-        out.extend((values[ends[1:]] - values[ends[:-1]]).tolist())
-        texts.clear()
+    first = 0
+
+    def settle(last: int) -> None:
+        nonlocal first
+        g = [grams(t, order) for t in texts[first:last]]
+        size = np.array([len(x) for x in g], np.int64)
+        if size.sum():
+            seen, inverse = np.unique(np.concatenate(g), return_inverse=True)
+            found = logs[np.repeat(which[first:last], size), np.searchsorted(keys, seen)[inverse]]
+            values = np.concatenate([[0.0], np.cumsum(found, dtype=np.float64)])
+            ends = np.cumsum(size)
+            out.extend((values[ends] - values[ends - size]).tolist())
+        else:
+            out.extend([0.0] * len(size))
+        first = last
 
     size = 0
-    for text in column:
-        data = (text.as_py() or "").encode()
+    for n, data in enumerate(texts):
         if len(data) > CHUNK:
-            settle()
-            out.extend(_sums([data], keys, logs, order))
-            size = 0
+            settle(n)
+            out.extend(_sums([data], which[n : n + 1], keys, logs, order))
+            first, size = n + 1, 0
             continue
-        texts.append(data)
         size += len(data)
         if size > CHUNK // 8:
-            settle()
+            settle(n + 1)
             size = 0
-    settle()
+    settle(len(texts))
     return out
 
 
@@ -190,10 +222,13 @@ def _scorer(held, order: int, names: list[str]):  # noqa: ANN001, ANN202
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         keys, logs = held.value
         for batch in batches:
-            text = batch.column(batch.num_columns - 1)
-            size = np.array([len((t.as_py() or "").encode()) for t in text], np.int64)
-            sums = np.array(_packed(text, keys, logs, order))
-            yield pa.RecordBatch.from_arrays([*batch.columns[:-1], pa.array(size), pa.array(sums, pa.float64())], names=[*names, "n_bytes", "log_sum"])
+            for at in range(0, len(batch), 2048):
+                part = batch.slice(at, 2048)
+                texts = [(t.as_py() or "").encode() for t in part.column(part.num_columns - 1)]
+                which = part.column(part.num_columns - 2).to_numpy(zero_copy_only=False)
+                size = np.array([len(t) for t in texts], np.int64)
+                sums = np.array(_packed(texts, which, keys, logs, order))
+                yield pa.RecordBatch.from_arrays([*part.columns[:-2], pa.array(size), pa.array(sums, pa.float64())], names=[*names, "n_bytes", "log_sum"])
 
     return run
 
@@ -211,36 +246,45 @@ def _ask(order: int):  # noqa: ANN202
     return run
 
 
-def _near(order: int, names: list[str]):  # noqa: ANN202
+def _near(order: int, names: list[str], columns: list[str]):  # noqa: ANN202
     def run(key, docs, answers):  # noqa: ANN001, ANN202
         import pandas as pd
 
         answers = answers.sort_values("gram")
         data = [(t or "").encode() for t in docs["__text"]]
-        sums = _sums(data, answers["gram"].to_numpy(), answers["logp"].to_numpy(), order)
+        logs = answers[columns].to_numpy(np.float32).T
+        sums = _sums(data, docs["__model"].to_numpy(), answers["gram"].to_numpy(), logs, order)
         return pd.concat([docs[names].reset_index(drop=True), pd.DataFrame({"n_bytes": np.array([len(d) for d in data], np.int64), "log_sum": sums})], axis=1)
 
     return run
 
 
-def perplexity(docs: DataFrame, model: Model, keep: tuple[str, ...] = ("doc_id",), text_col: str = "text", most: int = MOST) -> DataFrame:
-    """The ``keep`` columns with n_bytes and perplexity (per byte) of every whole text; null for null and empty texts."""
+def perplexity(docs: DataFrame, model: Model, keep: tuple[str, ...] = ("doc_id",), text_col: str = "text", most: int = MOST, which: Column | None = None) -> DataFrame:
+    """The ``keep`` columns with n_bytes and perplexity (per byte) of every whole text; null for null and empty texts.
+
+    ``which`` tells by which of the model's models a row is scored; without it, by the first.
+    """
     spark, order = docs.sparkSession, model.order
     known = checkpoint(log_probs(model, counted(docs, order, text_col).select("gram")))
-    rows = docs.select(*keep, F.col(text_col).cast("string").alias("__text"))
+    columns = [c for c in known.columns if c != "gram"]
+    number = (F.lit(0) if which is None else which).cast("int").alias("__model")
+    rows = docs.select(*keep, number, F.col(text_col).cast("string").alias("__text"))
     schema = ", ".join(f"`{k}` {docs.schema[k].dataType.simpleString()}" for k in keep) + ", n_bytes long, log_sum double"
     if known.limit(most + 1).count() <= most:
-        got = known.toArrow()  # 12 bytes an n-gram
-        keys, logs = got["gram"].to_numpy(), got["logp"].to_numpy().astype(np.float32)
+        got = known.toArrow()  # 8 bytes an n-gram and 4 for each model
+        keys = got["gram"].to_numpy()
         order_of = np.argsort(keys)
-        held = spark.sparkContext.broadcast((keys[order_of], logs[order_of]))
+        logs = np.stack([got[c].to_numpy().astype(np.float32)[order_of] for c in columns]) if len(keys) else np.zeros((len(columns), 0), np.float32)
+        held = spark.sparkContext.broadcast((keys[order_of], logs))
         del got, keys, logs
         scored = rows.mapInArrow(_scorer(held, order, list(keep)), schema)
     else:
         blocks = max(1, int((rows.agg(F.sum(F.octet_length("__text"))).first()[0] or 0) / (4 * CHUNK)))
-        placed = rows.withColumn("block", F.pmod(F.xxhash64(F.monotonically_increasing_id()), F.lit(blocks)))
+        at = f"{shared_dir(spark)}/blocks-{uuid.uuid4().hex}"  # written, so that a row's block stays the same
+        rows.withColumn("block", F.pmod(F.xxhash64(F.monotonically_increasing_id()), F.lit(blocks))).write.parquet(at)
+        placed = spark.read.parquet(at)
         answers = placed.select("block", "__text").mapInArrow(_ask(order), "block long, gram long").distinct().join(known, "gram")
-        scored = placed.groupBy("block").cogroup(answers.select(F.col("block").alias("at"), "gram", "logp").groupBy("at")).applyInPandas(_near(order, list(keep)), schema)
+        scored = placed.groupBy("block").cogroup(answers.select(F.col("block").alias("at"), "gram", *columns).groupBy("at")).applyInPandas(_near(order, list(keep), columns), schema)
     return scored.withColumn("perplexity", F.when(F.col("n_bytes") > 0, F.exp(-F.col("log_sum") / F.col("n_bytes")))).drop("log_sum")
 
 
@@ -255,7 +299,8 @@ def thresholds(scored: DataFrame, by: str = "trusted", lang: str = "lang", quant
 def classify(docs: DataFrame, trusted_ids: DataFrame, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang", quantile: float = QUANTILE, most: int = MOST) -> DataFrame:
     """(doc_id, lang, trusted, n_bytes, perplexity, threshold, keep) of every row.
 
-    Trained on the rows whose id is in ``trusted_ids`` (its first column). A language without trusted text, and a null one, has
+    Trained on the rows whose id is in ``trusted_ids`` (its first column); if all of them fall into one fold, its own text is what there is to
+    train on. A language without trusted text, and a null one, has
     the threshold of all trusted text; null and empty texts have no perplexity and are not kept; without trusted text there is no threshold
     and every text is kept. Repeated rows and null ids stay; an empty frame gives an empty one. Other columns are ignored.
     """
@@ -264,15 +309,13 @@ def classify(docs: DataFrame, trusted_ids: DataFrame, id_col: str = "doc_id", te
     marked = rows.join(sized(ids.withColumn("__in", F.lit(True)), 2_000_000), F.col("doc_id") == F.col("__id"), "left").select("doc_id", "lang", "text", F.coalesce("__in", F.lit(False)).alias("trusted"))
     fold = F.pmod(F.xxhash64(F.col("doc_id").cast("string")), F.lit(HELD))
     marked = marked.withColumn("fold", F.when(F.col("trusted"), fold).otherwise(F.lit(0)).cast("int"))
-    scored = None
-    for k in range(HELD):
-        model = train(marked.where((F.col("fold") != k) & F.col("trusted")))
-        some = checkpoint(perplexity(marked.where(F.col("fold") == k), model, ("doc_id", "lang", "trusted"), "text", most))
-        scored = some if scored is None else scored.unionByName(some)
-    limit = thresholds(scored, quantile=quantile).select(F.col("lang").alias("__lang"), "threshold")
-    every = limit.where("__lang is null").select(F.col("threshold").alias("__every"))
-    out = scored.join(F.broadcast(limit.where("__lang is not null")), F.col("lang") == F.col("__lang"), "left").crossJoin(F.broadcast(every))
-    out = out.withColumn("threshold", F.coalesce("threshold", "__every"))
+    model = train(marked.where("trusted"), fold=F.col("fold"), folds=HELD)
+    scored = checkpoint(perplexity(marked, model, ("doc_id", "lang", "trusted"), "text", most, F.col("fold")))
+    limit = checkpoint(thresholds(scored, quantile=quantile))
+    every = limit.where("lang is null").first()["threshold"]
+    own = limit.where("lang is not null").select(F.col("lang").alias("__lang"), "threshold")
+    out = scored.join(sized(own), F.col("lang") == F.col("__lang"), "left")
+    out = out.withColumn("threshold", F.coalesce("threshold", F.lit(every).cast("double")))
     keep = F.col("perplexity").isNotNull() & (F.col("threshold").isNull() | (F.col("perplexity") <= F.col("threshold")))
     return out.select("doc_id", "lang", "trusted", "n_bytes", "perplexity", "threshold", keep.alias("keep"))
 
