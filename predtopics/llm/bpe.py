@@ -4,7 +4,7 @@ A text is cut at special tokens, then into pieces. Every piece is a list of byte
 the queue holds (rank, position) of adjacent pairs, the lowest rank first and the leftmost among equals.
 Popping an entry whose pair is no longer there skips it; otherwise the right symbol is joined into the left one and
 the two new neighbours are queued. A piece of n bytes takes O(n log n), so very long pieces are no trouble.
-Values of repeated pieces come from a bounded memo.
+Values of repeated pieces come from a memo that is bounded in bytes. A worker encodes and decodes in one pass.
 """
 
 from __future__ import annotations
@@ -30,8 +30,8 @@ from .memo import Memo
 #: Fixed values of byte-level BPE: white space as its pattern has it, and the pattern itself.
 WHITE = "\t-\r \x85\xa0\u1680\u2000-\u200a\u2028\u2029\u202f\u205f\u3000"
 PIECES = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
-#: Repeated parts of texts that a worker remembers.
-MEMO = 600_000
+#: Bytes in which a worker remembers repeated parts of texts, and those of them that are pieces.
+MEMO, PIECE_MEMO = 96 << 20, 40 << 20
 #: Below this code point all Unicode versions agree on letters and numbers; others are left to the library's own splitter.
 AGREED = "\u0557"
 
@@ -66,7 +66,7 @@ def joined(words: list[bytes], ids: list[int]) -> str:
 
 
 class ByteBpe:
-    def __init__(self, path: str, memo: int = MEMO) -> None:
+    def __init__(self, path: str, memo: int = MEMO, piece_memo: int = PIECE_MEMO) -> None:
         with open(path, encoding="utf-8") as f:
             spec = json.load(f)
         self.alphabet = byte_alphabet()
@@ -87,8 +87,9 @@ class ByteBpe:
         self.cut = re.compile("(" + "|".join(map(re.escape, sorted(special, key=len, reverse=True))) + ")") if special else None
         self.coarse = re.compile(f" ?[^{WHITE}]+|[{WHITE}]+(?![^{WHITE}])|[{WHITE}]+").findall
         self.fine = regex.compile(PIECES).findall
-        self.library = Tokenizer.from_file(path).pre_tokenizer
-        self.pieces = Memo(self._piece, memo // 2)
+        bare = spec | {"model": spec["model"] | {"vocab": {}, "merges": []}, "added_tokens": [], "post_processor": None}
+        self.library = Tokenizer.from_str(json.dumps(bare)).pre_tokenizer  # the splitter without the vocabulary
+        self.pieces = Memo(self._piece, piece_memo)
         self.memo = Memo(self._chunk, memo)
 
     def merge(self, piece: bytes) -> list[int]:
@@ -157,31 +158,48 @@ def strings(path: str) -> list[bytes]:
         return vocabulary_strings(json.load(f))
 
 
-def _encoder(path: str):  # noqa: ANN202
+def parts(batch: pa.RecordBatch, rows: int = 512, most: int = 4 << 20) -> Iterator[pa.RecordBatch]:
+    """A batch in slices of a bounded number of rows and, besides the first row's, of characters in the last column."""
+    size = pc.fill_null(pc.binary_length(batch.column(batch.num_columns - 1)), 0).to_numpy(zero_copy_only=False)
+    end = np.cumsum(size)
+    at = 0
+    while at < len(batch):
+        held = int(np.searchsorted(end, (end[at - 1] if at else 0) + most, side="right"))
+        n = min(max(1, held - at), rows)
+        yield batch.slice(at, n)
+        at += n
+
+
+def _lists(ids: list[np.ndarray]) -> pa.ListArray:
+    ends = np.cumsum([0, *map(len, ids)]).astype(np.int32)
+    return pa.ListArray.from_arrays(pa.array(ends), pa.array(np.concatenate(ids) if ids else np.zeros(0, "<i4"), pa.int32()))
+
+
+def _encoder(path: str, names: list[str], back: bool):  # noqa: ANN202
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         bpe = tokenizer(path)
         for batch in batches:
-            for at in range(0, len(batch), 512):  # a bounded number of ids at once
-                part = batch.slice(at, 512)
+            for part in parts(batch):
                 ids = [bpe.encode(x.as_py() or "") for x in part.column(part.num_columns - 1)]
-                ends = np.cumsum([0, *map(len, ids)]).astype(np.int32)
-                lists = pa.ListArray.from_arrays(pa.array(ends), pa.array(np.concatenate(ids) if ids else np.zeros(0, "<i4"), pa.int32()))
-                yield pa.RecordBatch.from_arrays([part.column(0), lists], names=["doc_id", "ids"])
-        bpe.memo.forget()  # a worker goes on to other tasks, and its memory to them
-        bpe.pieces.forget()
+                columns = [*part.columns[:-1], _lists(ids)]
+                if back:
+                    columns.append(pa.array([bpe.decode(x.tolist()) for x in ids], pa.string()))
+                yield pa.RecordBatch.from_arrays(columns, names=names)
 
     return run
 
 
-def encode(docs: DataFrame, path: str | None = None, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """(doc_id, ids array<int>) of every whole text.
+def encode(docs: DataFrame, path: str | None = None, id_col: str = "doc_id", text_col: str = "text", back: bool = False) -> DataFrame:
+    """(doc_id, ids array<int>) of every whole text; with ``back`` also text, what the ids decode to, made by the same worker.
 
     Special tokens written in a text get their own ids. Null and empty texts have no ids; ids of documents may be
     null or repeat; an empty frame gives an empty one. Other columns are ignored.
     """
     kind = docs.schema[id_col].dataType.simpleString()
-    run = _encoder(path or default_vocabulary())
-    return docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).cast("string").alias("text")).mapInArrow(run, f"doc_id {kind}, ids array<int>")
+    names = ["doc_id", "ids", "text"] if back else ["doc_id", "ids"]
+    run = _encoder(path or default_vocabulary(), names, back)
+    schema = f"doc_id {kind}, ids array<int>" + (", text string" if back else "")
+    return docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).cast("string").alias("text")).mapInArrow(run, schema)
 
 
 def _decoder(path: str):  # noqa: ANN202
@@ -214,4 +232,4 @@ def digests(decoded: DataFrame) -> DataFrame:
 
 
 def op4_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return digests(decode(encode(table(spark, sf_dir, "documents", "doc_id", "text"))))
+    return digests(encode(table(spark, sf_dir, "documents", "doc_id", "text"), back=True))

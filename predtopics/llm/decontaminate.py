@@ -7,7 +7,9 @@ that word alone. The place of the word in the window and in the document gives t
 the window must fit between start and the document's end (length bound), and what is left is verified word by word.
 
 Documents are read twice (counting, joining) and never shuffled as texts. The windows are broadcast if
-they are at most ``most``; more of them are joined by shuffle, with the neighbourhood of each word.
+they are at most ``most``; more of them are joined by shuffle, with the neighbourhood of each word, and the occurrences of words that are
+frequent in the documents are dealt to several tasks. Windows with the same items share a number, and an occurrence carries only that;
+the items come to the documents at the end.
 """
 
 from __future__ import annotations
@@ -15,7 +17,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import BROADCAST_ROWS, checkpoint, sized, table
+from .common import BROADCAST_ROWS, HOT_PART, checkpoint, join_unique, sized, table
 
 SIZE = 10
 #: What stands between words, once A-Z are lower-cased.
@@ -39,45 +41,61 @@ def windows(items: DataFrame, size: int = SIZE, id_col: str = "item_id", text_co
 
 
 def anchors(wins: DataFrame, docs_words: DataFrame, most: int = BROADCAST_ROWS) -> DataFrame:
-    """Windows with their rarest word and its place: (token, offset, len, win, items)."""
+    """(token, offset, len, win, set, salts): windows with their rarest word, its place, and to how many tasks its occurrences are dealt."""
     vocabulary = wins.select(F.explode("win").alias("token")).distinct()
-    counts = docs_words.select(F.explode("w").alias("token")).join(sized(vocabulary, most), "token").groupBy("token").count()
-    keyed = wins.withColumn("win_id", F.xxhash64(F.concat_ws(" ", "win")))
-    placed = keyed.select("win", "win_id", "len", "items", F.posexplode("win").alias("offset", "token"))
+    counts = checkpoint(docs_words.select(F.explode("w").alias("token")).join(sized(vocabulary, most), "token").groupBy("token").count())
+    keyed = wins.select("win", "len", "set", F.monotonically_increasing_id().alias("key"))
+    placed = checkpoint(keyed.select("*", F.posexplode("win").alias("offset", "token")))
     rarity = F.coalesce("count", F.lit(0))
-    return (
-        placed.join(counts, "token", "left")
-        .groupBy("win", "len")
-        .agg(F.min_by(F.struct("token", "offset"), F.struct(rarity, F.col("token"), F.col("offset"))).alias("rare"), F.first("items").alias("items"))
-        .select("rare.token", "rare.offset", "len", "win", "items")
-    )
+    rare = F.min(F.struct(rarity.alias("count"), "token", "offset", "win", "len", "set")).alias("rare")
+    found = join_unique(placed, counts, ["token"], "left", most).groupBy("key").agg(rare).select("rare.*")
+    part = F.greatest(F.lit(1.0), counts.agg(F.sum("count")).first()[0] / F.lit(float(HOT_PART))) if counts.limit(1).count() else F.lit(1.0)
+    return found.select("token", "offset", "len", "win", "set", F.greatest(F.lit(1), F.ceil(F.col("count") / part)).cast("int").alias("salts"))
+
+
+#: Marks that documents leave where windows are joined by shuffle, so that no task gets those of all documents.
+MARKS = 4096
 
 
-def matches(docs: DataFrame, items: DataFrame, size: int = SIZE, id_col: str = "doc_id", text_col: str = "text", most: int = BROADCAST_ROWS, item_id: str = "item_id", item_text: str = "text") -> DataFrame:
-    """(row, doc_id, n_words, start, len, items): each occurrence of a window, and for each document one row with len 0.
+def matches(docs: DataFrame, items: DataFrame, size: int = SIZE, id_col: str = "doc_id", text_col: str = "text", most: int = BROADCAST_ROWS, item_id: str = "item_id", item_text: str = "text") -> tuple[DataFrame, DataFrame]:
+    """(row, doc_id, n_words, start, len, set): each occurrence of a window, and for each document one row with len 0; and (set, items).
 
-    ``row`` tells repeated rows and ids apart. The result is in the shared folder, so it is made once.
+    ``row`` tells repeated rows and ids apart. Both are in the shared folder, so they are made once.
     """
     split = docs.select(F.monotonically_increasing_id().alias("row"), F.col(id_col).alias("doc_id"), words(F.col(text_col)).alias("w"))
     wins = checkpoint(windows(items, size, item_id, item_text))
-    marked = anchors(wins, split, most)
-    mark = docs.sparkSession.createDataFrame([("", 0, 0, [""], [])], "token string, offset int, len int, win array<string>, items array<string>")
-    marked = checkpoint(mark.unionByName(marked))
+    sets = checkpoint(wins.select("items").distinct().select(F.monotonically_increasing_id().alias("set"), "items"))
+    marked = checkpoint(anchors(checkpoint(wins.join(sized(sets), "items").select("win", "len", "set")), split, most))
     few = marked.limit(most + 1).count() <= most
-    ended = split.select("row", "doc_id", F.size("w").alias("n_words"), "w", F.array_append("w", F.lit("")).alias("all"))
+    # a document's mark is no word, as words hold no such character
+    mark = F.concat(F.lit("\0"), F.pmod(F.col("row"), F.lit(1 if few else MARKS)).cast("string"))
+    marks = docs.sparkSession.range(1 if few else MARKS).select(F.concat(F.lit("\0"), F.col("id").cast("string")).alias("token"), F.lit(0).alias("offset"), F.lit(0).alias("len"), F.array(F.lit("")).alias("win"), F.lit(-1).cast("long").alias("set"), F.lit(1).alias("salts"))
+    known = marks.unionByName(marked)
+    ended = split.select("row", "doc_id", F.size("w").alias("n_words"), "w", F.array_append("w", mark).alias("all"))
     at = ended.select("row", "doc_id", "n_words", "w", F.posexplode("all").alias("pos", "token"))
     start = F.col("pos") - F.col("offset")
     fits = (start >= 0) & (start + F.col("len") <= F.col("n_words"))
     if few:
         same = F.slice("w", start + 1, F.col("len")) == F.col("win")
-        found = at.join(F.broadcast(marked), "token")
+        found = at.join(F.broadcast(known), "token")
     else:
         low = F.greatest(F.col("pos") - size + 1, F.lit(0))
-        near = at.select("row", "doc_id", "n_words", "pos", "token", low.alias("low"), F.when(F.col("token") != "", F.slice("w", low + 1, F.lit(2 * size))).alias("near"))
+        is_mark = F.col("pos") == F.col("n_words")
+        near = at.select("row", F.when(is_mark, F.col("doc_id")).alias("doc_id"), "n_words", "pos", "token", low.alias("low"), F.when(~is_mark, F.slice("w", low + 1, F.lit(2 * size))).alias("near"))
+        dealt = known.where("salts > 1").select("token", "salts").distinct()  # at most HOT_PART tokens
+        near = near.join(F.broadcast(dealt), "token", "left").withColumn("salt", F.when(F.col("salts") > 1, F.pmod(F.xxhash64("row", "pos"), F.col("salts"))).otherwise(F.lit(0)).cast("int")).drop("salts")
+        spread = known.select("*", F.explode(F.sequence(F.lit(0), F.col("salts") - 1)).alias("salt")).drop("salts")
         same = F.slice("near", start - F.col("low") + 1, F.col("len")) == F.col("win")
-        found = near.join(marked, "token")
+        found = near.join(spread, ["token", "salt"])
     found = found.where((F.col("len") == 0) | (F.when(fits, same).otherwise(F.lit(False))))
-    return checkpoint(found.select("row", "doc_id", "n_words", start.alias("start"), "len", "items"))
+    return checkpoint(found.select("row", F.when(F.col("len") == 0, F.col("doc_id")).alias("doc_id"), "n_words", start.alias("start"), "len", "set")), sets
+
+
+def contaminated(docs: DataFrame, items: DataFrame, size: int = SIZE, id_col: str = "doc_id", text_col: str = "text", most: int = BROADCAST_ROWS, item_id: str = "item_id", item_text: str = "text") -> DataFrame:
+    """(doc_id) of the document rows, told apart by their ids, that have any word of a window, each once. Edge cases as in ``decontaminate``."""
+    found, _ = matches(docs, items, size, id_col, text_col, most, item_id, item_text)
+    hit = found.groupBy("row").agg(F.max("len").alias("len"), F.first("doc_id", ignorenulls=True).alias("doc_id"))
+    return hit.where("len > 0").select("doc_id").distinct()
 
 
 def decontaminate(docs: DataFrame, items: DataFrame, size: int = SIZE, id_col: str = "doc_id", text_col: str = "text", most: int = BROADCAST_ROWS, item_id: str = "item_id", item_text: str = "text") -> DataFrame:
@@ -87,10 +105,15 @@ def decontaminate(docs: DataFrame, items: DataFrame, size: int = SIZE, id_col: s
     words and no hits; items without id or words take no part; repeated document rows stay repeated; ids
     may be null; empty frames give empty results or no hits. Other columns are ignored.
     """
-    found = matches(docs, items, size, id_col, text_col, most, item_id, item_text)
+    found, sets = matches(docs, items, size, id_col, text_col, most, item_id, item_text)
     hits = found.where("len > 0")
-    covered = hits.select("row", F.explode(F.sequence(F.col("start"), F.col("start") + F.col("len") - 1)).alias("p")).distinct().groupBy("row").agg(F.count("*").alias("n_hit"))
-    named = hits.select("row", F.explode("items").alias("item")).distinct().groupBy("row").agg(F.sort_array(F.collect_list("item")).alias("item_ids"))
+    # words of a document that occurrences cover: each adds what reaches beyond those before it
+    before = F.struct(F.lit(0).alias("end"), F.lit(0).alias("n"))
+    reach = lambda acc, x: F.struct(F.greatest(acc["end"], x["start"] + x["len"]).alias("end"), (acc["n"] + F.greatest(F.lit(0), x["start"] + x["len"] - F.greatest(acc["end"], x["start"]))).alias("n"))
+    places = F.sort_array(F.collect_set(F.struct("start", "len")))
+    covered = hits.groupBy("row").agg(F.aggregate(places, before, reach, lambda acc: acc["n"]).alias("n_hit"))
+    of_row = checkpoint(hits.select("row", "set").distinct())
+    named = join_unique(of_row, sets, ["set"]).groupBy("row").agg(F.sort_array(F.array_distinct(F.flatten(F.collect_list("items")))).alias("item_ids"))
     base = found.where("len = 0").select("row", "doc_id", F.col("n_words").cast("long").alias("n_words"))
     out = base.join(covered, "row", "left").join(named, "row", "left")
     ids = F.coalesce("item_ids", F.array().cast("array<string>"))

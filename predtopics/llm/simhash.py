@@ -21,7 +21,7 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import checkpoint, components, table
+from .common import checkpoint, components, join_unique, table
 
 #: Members of a bucket that one task compares with each other.
 BLOCK = 2048
@@ -201,11 +201,11 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     """
     prints = checkpoint(fingerprints(docs, id_col, text_col))
     distinct = checkpoint(prints.groupBy("fp").agg(F.min("doc_id").alias("least")))
-    roots = components(links(distinct))
-    classed = distinct.join(roots, distinct["fp"] == roots["node"], "left").select("fp", "least", F.coalesce("root", "fp").alias("root"))
-    ids = classed.groupBy("root").agg(F.min("least").alias("component_id"))
-    named = classed.join(ids, "root").select("fp", "component_id")
-    return prints.join(named, "fp").select("doc_id", "fp", "component_id")
+    roots = checkpoint(components(links(distinct)).select(F.col("node").alias("fp"), "root"))
+    linked = checkpoint(join_unique(distinct, roots, ["fp"], "left"))  # root is null for a fingerprint without links
+    ids = checkpoint(linked.where("root is not null").groupBy("root").agg(F.min("least").alias("of_class")))
+    named = join_unique(linked, ids, ["root"], "left").select("fp", F.when(F.col("root").isNull(), F.col("least")).otherwise(F.col("of_class")).alias("component_id"))
+    return join_unique(prints, checkpoint(named), ["fp"]).select("doc_id", "fp", "component_id")
 
 
 def op10_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -31,8 +31,8 @@ from tokenizers import Tokenizer
 from .common import shared_dir, sized, table
 from .memo import Memo
 
-#: Repeated parts of texts that a worker remembers.
-MEMO = 1_200_000
+#: Bytes in which a worker remembers repeated parts of texts.
+MEMO = 192 << 20
 #: A part that is a word with marks behind it; no token crosses from an ASCII letter to an ASCII mark other than an apostrophe.
 MARKED = re.compile(rb"([a-z\x80-\xff]*[a-z])([!-&(-/:-@\[-`{-~]+)")
 #: Ids after which a shard is closed.
