@@ -66,23 +66,24 @@ def _weights(x: np.ndarray, how: str) -> np.ndarray:
 def level_sweep(members: DataFrame, features: DataFrame, ks: tuple[int, ...], restarts: int = 1, init: str = "spread", dissimilarity: str = "row_sqeuclid", features_of: str = "global", feature_weight: str = "none", seed: int = 7, deg: DataFrame | None = None, eps: float = 1e-3) -> DataFrame:
     """Every (topic, k, restart) of a level as one job: labels, inertia and silhouettes against siblings.
 
-    members: (topic, p); features: (p, features) whole matrix rows over sorted predicate names. One task holds one topic's rows.
+    members: (topic, p); features: (p, features) whole matrix rows over sorted predicate names. One task holds one topic's rows, which
+    cross the shuffle once and whose dissimilarities are made once for all k.
     """
-    names = features.select("p").distinct().orderBy("p").agg(F.array_sort(F.collect_list("p")).alias("names"))
+    names = features.select("p").distinct().agg(F.array_sort(F.collect_list("p")).alias("names"))
     rows = members.join(features, "p").crossJoin(F.broadcast(names)).withColumn("at", F.array_position("names", F.col("p")) - 1).drop("names")
     rows = rows.join(deg.select("p", "io"), "p", "left") if deg is not None else rows.withColumn("io", F.lit(0).cast("long"))
-    grid = members.sparkSession.createDataFrame([(k, r) for k in ks for r in range(restarts)], "k int, restart int")
 
     def run(key, pdf: pd.DataFrame) -> pd.DataFrame:  # noqa: ANN001
-        topic, k, restart = key
         pdf = pdf.sort_values("p")
-        if k > len(pdf) - 1:
-            return pd.DataFrame(columns=[c.split()[0] for c in SWEEP.split(", ")])
-        whole, at = np.stack(pdf["features"].to_numpy()), pdf["at"].to_numpy()
+        whole, at, degree = np.stack(pdf["features"].to_numpy()), pdf["at"].to_numpy(), pdf["io"].to_numpy()
         x = whole[:, at] if features_of == "topic" else whole
         x = x * np.sqrt(_weights(x, feature_weight))
-        labels, cost = local.lloyd(x, k, init, seed * 1000 + restart, pdf["io"].to_numpy())
-        sw = local.silhouette(local.dissimilarities(whole, at, dissimilarity, eps), labels)
-        return pd.DataFrame([{"topic": topic, "k": k, "restart": restart, "n_clusters": len(np.unique(labels)), "inertia": cost, "nsw": float(sw.mean()), "ps": pdf["p"].tolist(), "labels": labels.tolist(), "sws": sw.tolist()}])
-
-    return rows.crossJoin(F.broadcast(grid)).groupBy("topic", "k", "restart").applyInPandas(run, SWEEP)
+        d, out = local.dissimilarities(whole, at, dissimilarity, eps), []
+        for k in (k for k in ks if k < len(pdf)):
+            for restart in range(restarts):
+                labels, cost = local.lloyd(x, k, init, seed * 1000 + restart, degree)
+                sw = local.silhouette(d, labels)
+                out.append({"topic": key[0], "k": k, "restart": restart, "n_clusters": len(np.unique(labels)), "inertia": cost, "nsw": float(sw.mean()), "ps": pdf["p"].tolist(), "labels": labels.tolist(), "sws": sw.tolist()})
+        return pd.DataFrame(out, columns=[c.split()[0] for c in SWEEP.split(", ")])
+
+    return rows.groupBy("topic").applyInPandas(run, SWEEP)

@@ -29,13 +29,18 @@ def choose_k(sweep: DataFrame) -> DataFrame:
     return sweep.withColumn("__r", F.row_number().over(W.partitionBy("topic").orderBy(F.desc(F.round("nsw", 9)), "k"))).where("__r = 1").drop("__r")
 
 
+def may_split(own_sw: float | None, size: int, level: int, alpha: float, min_split: int, max_depth: int | None, rule: str) -> bool:
+    """What can be told before a topic's splits are tried. split_if_wide: topics as wide as alpha (the root always) go on; stop_above: those that are narrower."""
+    if size < max(min_split, 3) or (max_depth is not None and level >= max_depth):
+        return False
+    return own_sw is None or (own_sw < alpha if rule == "stop_above" else own_sw >= alpha)
+
+
 def splits(best: dict, own_sw: float | None, size: int, level: int, alpha: float, min_split: int, max_depth: int | None, rule: str) -> bool:
-    """split_if_wide: a topic as wide as alpha (the root always) with a split as wide as alpha; stop_above: topics narrower than alpha go on."""
-    if size < min_split or (max_depth is not None and level >= max_depth) or best["n_clusters"] < 2:
+    """Whether a topic takes its best split: it may split, and with split_if_wide the split is as wide as alpha."""
+    if not may_split(own_sw, size, level, alpha, min_split, max_depth, rule) or best["n_clusters"] < 2:
         return False
-    if rule == "stop_above":
-        return own_sw is None or own_sw < alpha
-    return (own_sw is None or own_sw >= alpha) and best["nsw"] >= alpha
+    return rule == "stop_above" or best["nsw"] >= alpha
 
 
 def topic_tree(preds: DataFrame, features: DataFrame, k_range: tuple[int, int] = (2, 16), alpha: float = 0.5, min_split: int = 10, max_depth: int | None = None, rule: str = "split_if_wide", restarts: int = 1, init: str = "spread", dissimilarity: str = "row_sqeuclid", features_of: str = "global", feature_weight: str = "none", seed: int = 7, deg: DataFrame | None = None) -> Tree:
@@ -44,7 +49,7 @@ def topic_tree(preds: DataFrame, features: DataFrame, k_range: tuple[int, int] =
     names = sorted(r["p"] for r in preds.select("p").distinct().collect())
     topics = [("T0_1", None, 0, 1, None, len(names), None, None, 1.0)]
     members = [("T0_1", 0, p) for p in names]
-    level, queue, sweeps = 0, {"T0_1": (names, None)}, None
+    level, queue, sweeps = 0, {"T0_1": (names, None)} if may_split(None, len(names), 0, alpha, min_split, max_depth, rule) else {}, None
     while queue:
         rows = spark.createDataFrame([(t, p) for t, (ps, _) in queue.items() for p in ps], "topic string, p string")
         sweep = settle(best_restarts(level_sweep(rows, features, tuple(range(k_range[0], k_range[1] + 1)), restarts, init, dissimilarity, features_of, feature_weight, seed, deg)))
@@ -68,9 +73,11 @@ def topic_tree(preds: DataFrame, features: DataFrame, k_range: tuple[int, int] =
                 topics.append((name, topic, level + 1, ordinal, None, len(part), width, None, len(part) / len(ps)))
                 members += [(name, level + 1, p) for p, _ in part]
                 ahead[name] = ([p for p, _ in part], width)
-        queue = {t: v for t, v in ahead.items() if len(v[0]) > 2}
+        queue = {t: v for t, v in ahead.items() if may_split(v[1], len(v[0]), level + 1, alpha, min_split, max_depth, rule)}
         level += 1
     schema = "topic_id string, parent_id string, level int, ordinal int, k int, n_pred int, sw double, nsw double, contribution double"
+    if sweeps is None:
+        sweeps = spark.createDataFrame([], "level int, topic string, k int, restart int, n_clusters int, inertia double, nsw double")
     return Tree(spark.createDataFrame(topics, schema), spark.createDataFrame(members, "topic_id string, level int, p string"), sweeps)
 
 

@@ -240,24 +240,91 @@ query("contribution", sql("SELECT 'root' AS parent, topic, count(*) AS n, round(
 query("topic_labels", sql("SELECT topic, string_agg(p, ' & ' ORDER BY r) AS label FROM (SELECT topic, f.p, row_number() OVER (PARTITION BY topic ORDER BY io DESC, f.p) AS r FROM fixed f JOIN pdeg ON pdeg.p = f.p) WHERE r <= 2 GROUP BY topic", FIXED, PDEG))(lambda s, d: tree.topic_labels(fixed(s, d), graph.predicate_degree(edges(s, d))))
 query("duplicate_concepts", sql("SELECT concept, count(*) AS freq, string_agg(topic, ',' ORDER BY topic) AS topics FROM tc GROUP BY 1 HAVING count(*) > 1", INC, NBR, FIXED, TC))(lambda s, d: tree.duplicate_concepts(tree.topic_concepts(edges(s, d), fixed(s, d))))
 query("topic_overlap", sql("SELECT a.topic AS t1, b.topic AS t2, count(*) AS n FROM tc a JOIN tc b ON a.concept = b.concept AND a.topic < b.topic GROUP BY 1, 2", INC, NBR, FIXED, TC))(lambda s, d: tree.topic_overlap(tree.topic_concepts(edges(s, d), fixed(s, d))))
-query("topic_tree")(lambda s, d: built_tree(s, d).topics)
-query("topic_members")(lambda s, d: built_tree(s, d).members)
-query("tree_sweep")(lambda s, d: built_tree(s, d).sweeps)
-query("tree_shape")(lambda s, d: tree.tree_shape(built_tree(s, d).topics))
-query("tree_labels")(lambda s, d: tree.topic_labels(tree.leaves(built_tree(s, d)), graph.predicate_degree(edges(s, d, "refined"))))
+# The root's split in SQL. Seeds of all k are the first ones of one farthest-first sequence, so the rounds of all k go together; SQL_ROUNDS are
+# more than any k takes on the given tables. Below the root no topic of theirs has the ten predicates that a split needs.
+SQL_ROUNDS, SQL_KS = 14, range(2, 17)
 
 
-@query("tree_readings")
+def _farthest_first(n: int) -> list[str]:
+    parts = ["mid AS (SELECT c, avg(x) AS x FROM dense GROUP BY c)", "g1 AS MATERIALIZED (SELECT 1 AS n, p FROM (SELECT p1 AS p, round(sum((d.x - m.x) * (d.x - m.x)), 9) AS q FROM dense d JOIN mid m ON m.c = d.c GROUP BY 1) ORDER BY q, p LIMIT 1)"]
+    for j in range(2, n + 1):
+        near = f"SELECT p1 AS p, round(min(q), 9) AS q FROM pairs WHERE p2 IN (SELECT p FROM g{j - 1}) GROUP BY 1"
+        parts.append(f"g{j} AS MATERIALIZED (SELECT * FROM g{j - 1} UNION ALL SELECT * FROM (SELECT {j} AS n, p FROM ({near}) ORDER BY q DESC, p LIMIT 1))")
+    return parts
+
+
+def _rounds(n: int) -> list[str]:
+    parts = []
+    for i in range(1, n + 1):
+        far = f"SELECT r.k, d.p1 AS p, r.cluster, round(sum((d.x - r.x) * (d.x - r.x)), 9) AS q FROM dense d JOIN r{i - 1} r ON r.c = d.c GROUP BY 1, 2, 3"
+        parts.append(f"l{i} AS MATERIALIZED (SELECT k, p, arg_min(cluster, {{'q': q, 'c': cluster}}) AS cluster FROM ({far}) GROUP BY 1, 2)")
+        parts.append(f"r{i} AS MATERIALIZED (SELECT l.k, l.cluster, d.c, avg(d.x) AS x FROM dense d JOIN l{i} l ON l.p = d.p1 GROUP BY 1, 2, 3)")
+    return parts
+
+
+PAIRS = "pairs AS MATERIALIZED (SELECT a.p1, b.p1 AS p2, sum((a.x - b.x) * (a.x - b.x)) AS q FROM dense a JOIN dense b ON a.c = b.c GROUP BY 1, 2)"
+FINAL = f"final AS MATERIALIZED (SELECT * FROM l{SQL_ROUNDS})"
+LLOYDS = ", ".join(
+    [DENSE, PAIRS, *_farthest_first(max(SQL_KS)), "ks AS (SELECT unnest(range(2, 17)) AS k)", f"r0 AS MATERIALIZED (SELECT ks.k, g.n - 1 AS cluster, d.c, d.x FROM ks JOIN g{max(SQL_KS)} g ON g.n <= ks.k JOIN dense d ON d.p1 = g.p)"]
+    + _rounds(SQL_ROUNDS) + [FINAL]
+)
+
+
+def _judged(d: str) -> str:
+    """Silhouettes of all k, with a dissimilarity d over pairs (of q, or of the matrix's own value v)."""
+    return f"""far AS MATERIALIZED (SELECT pairs.p1, pairs.p2, {d} AS d FROM pairs LEFT JOIN sm ON sm.p1 = pairs.p1 AND sm.p2 = pairs.p2 WHERE pairs.p1 <> pairs.p2),
+ to_cluster AS (SELECT f.k, far.p1 AS p, f.cluster AS o, avg(far.d) AS m FROM far JOIN final f ON f.p = far.p2 GROUP BY 1, 2, 3),
+ ab AS (SELECT f.k, f.p, f.cluster, max(m) FILTER (o = f.cluster) AS a, min(m) FILTER (o <> f.cluster) AS b FROM final f JOIN to_cluster t ON t.k = f.k AND t.p = f.p GROUP BY 1, 2, 3),
+ each_sw AS MATERIALIZED (SELECT k, p, cluster, CASE WHEN a IS NULL OR b IS NULL OR greatest(a, b) = 0 THEN 0 ELSE (b - a) / greatest(a, b) END AS sw FROM ab),
+ swept AS MATERIALIZED (SELECT k, count(DISTINCT cluster) AS n_clusters, avg(sw) AS nsw FROM each_sw GROUP BY k), best AS MATERIALIZED (SELECT * FROM swept ORDER BY round(nsw, 9) DESC, k LIMIT 1)"""
+
+
+SPLIT = """parts AS MATERIALIZED (SELECT 'T1_' || dense_rank() OVER (ORDER BY least_p) AS topic, p, sw FROM (SELECT e.p, e.sw, min(e.p) OVER (PARTITION BY e.cluster) AS least_p FROM each_sw e JOIN best ON best.k = e.k WHERE best.nsw >= 0.5 AND (SELECT count(*) FROM size) >= 10)),
+ leaf AS MATERIALIZED (SELECT topic, p FROM parts UNION ALL SELECT 'T0_1', p FROM size WHERE NOT EXISTS (SELECT 1 FROM parts)),
+ topics AS MATERIALIZED (SELECT 'T0_1' AS topic_id, CAST(NULL AS VARCHAR) AS parent_id, 0 AS level, 1 AS ordinal, (SELECT CAST(n_clusters AS INT) FROM best WHERE nsw >= 0.5) AS k, (SELECT CAST(count(*) AS INT) FROM size) AS n_pred, CAST(NULL AS DOUBLE) AS sw, (SELECT nsw FROM best WHERE nsw >= 0.5) AS nsw, CAST(1 AS DOUBLE) AS contribution
+ UNION ALL SELECT topic, 'T0_1', 1, CAST(substr(topic, 4) AS INT), NULL, CAST(count(*) AS INT), avg(sw), NULL, count(*) / CAST((SELECT count(*) FROM size) AS DOUBLE) FROM parts GROUP BY topic)"""
+ROOT = (*FULL, PDEG, LLOYDS, _judged("q"))
+TREE = (*ROOT, SPLIT)
+
+
+def leaf_topics(s: SparkSession, d: str) -> DataFrame:
+    return tree.leaves(built_tree(s, d))
+
+
+def refined(select: str, *blocks: str) -> str:
+    return sql(select, *TREE, *blocks, kind="refined")
+
+
+query("topic_tree", refined("SELECT topic_id, parent_id, CAST(level AS INT) AS level, CAST(ordinal AS INT) AS ordinal, k, n_pred, round(sw, 6) AS sw, round(nsw, 6) AS nsw, round(contribution, 6) AS contribution FROM topics"))(lambda s, d: rounded(built_tree(s, d).topics))
+query("topic_members", refined("SELECT 'T0_1' AS topic_id, CAST(0 AS INT) AS level, p FROM size UNION ALL SELECT topic, 1, p FROM parts"))(lambda s, d: built_tree(s, d).members)
+_COST = f"(SELECT l.k, sum((d.x - r.x) * (d.x - r.x)) AS inertia FROM dense d JOIN final l ON l.p = d.p1 JOIN r{SQL_ROUNDS} r ON r.k = l.k AND r.cluster = l.cluster AND r.c = d.c GROUP BY 1)"
+query("tree_sweep", sql(f"SELECT CAST(0 AS INT) AS level, 'T0_1' AS topic, CAST(swept.k AS INT) AS k, CAST(0 AS INT) AS restart, CAST(n_clusters AS INT) AS n_clusters, round(inertia, 6) AS inertia, round(nsw, 6) AS nsw FROM swept JOIN {_COST} c ON c.k = swept.k", *ROOT, kind="refined"))(lambda s, d: rounded(built_tree(s, d).sweeps))
+query("tree_shape", refined("SELECT CAST(level AS INT) AS level, count(*) AS topics, count(*) AS frontier, CAST(sum(n_pred) AS BIGINT) AS predicates FROM topics GROUP BY level"))(lambda s, d: tree.tree_shape(built_tree(s, d).topics))
+query("tree_labels", refined("SELECT topic, string_agg(p, ' & ' ORDER BY r) AS label FROM (SELECT topic, leaf.p, row_number() OVER (PARTITION BY topic ORDER BY io DESC, leaf.p) AS r FROM leaf JOIN pdeg ON pdeg.p = leaf.p) WHERE r <= 2 GROUP BY topic"))(lambda s, d: tree.topic_labels(leaf_topics(s, d), graph.predicate_degree(edges(s, d, "refined"))))
+query("tree_sibling_width", refined("SELECT parent, round(sum(w * n) / sum(n), 6) AS nsw, count(*) AS k, CAST(sum(n) AS BIGINT) AS n FROM (SELECT 'T0_1' AS parent, topic, avg(sw) AS w, count(*) AS n FROM parts GROUP BY topic) GROUP BY 1"))(lambda s, d: rounded(sil.sibling_width(built_tree(s, d).topics.where("parent_id is not null").select(F.col("parent_id").alias("parent"), "topic_id", "sw", F.col("n_pred").cast("long").alias("n")))))
+_LEAF_TC = "tc AS (SELECT DISTINCT leaf.topic, n.concept FROM leaf JOIN nbr n ON n.p = leaf.p)"
+query("tree_duplicate_concepts", refined("SELECT concept, count(*) AS freq, string_agg(topic, ',' ORDER BY topic) AS topics FROM tc GROUP BY 1 HAVING count(*) > 1", _LEAF_TC))(lambda s, d: tree.duplicate_concepts(tree.topic_concepts(edges(s, d, "refined"), leaf_topics(s, d))))
+query("tree_topic_overlap", refined("SELECT a.topic AS t1, b.topic AS t2, count(*) AS n FROM tc a JOIN tc b ON a.concept = b.concept AND a.topic < b.topic GROUP BY 1, 2", _LEAF_TC))(lambda s, d: tree.topic_overlap(tree.topic_concepts(edges(s, d, "refined"), leaf_topics(s, d))))
+
+READINGS = {"one_minus": "1 - coalesce(sm.sm, 0)", "reciprocal": "1 / greatest(coalesce(sm.sm, 0), 0.001) - 1", "row_euclid": "sqrt(q)", "row_sqeuclid": "q"}
+
+
+def _reading_sql(kind: str, how: str) -> str:
+    select = f"SELECT '{kind}' AS ontology, '{how}' AS dissimilarity, CAST(k AS INT) AS k, round(nsw, 6) AS nsw, nsw >= 0.5 AS splits FROM best"
+    return "SELECT * FROM (" + sql(select, *FULL, LLOYDS, _judged(READINGS[how]), kind=kind) + ")"
+
+
+@query("tree_readings", " UNION ALL ".join(_reading_sql(k, h) for k in ("base", "refined") for h in READINGS))
 def _readings(s: SparkSession, d: str) -> DataFrame:
     """(ontology, dissimilarity, k, nsw) of the root's best split under every reading, those that do not split too."""
     out = None
     for kind in ("base", "refined"):
         root = preds(s, d, kind).select(F.lit("root").alias("topic"), "p")
-        for how in ("one_minus", "reciprocal", "row_euclid", "row_sqeuclid"):
-            best = tree.choose_k(tree.best_restarts(kmeans.level_sweep(root, features(s, d, kind), tuple(range(2, 17)), dissimilarity=how)))
+        for how in READINGS:
+            best = tree.choose_k(tree.best_restarts(kmeans.level_sweep(root, features(s, d, kind), tuple(SQL_KS), dissimilarity=how)))
             one = best.select(F.lit(kind).alias("ontology"), F.lit(how).alias("dissimilarity"), "k", "nsw", (F.col("nsw") >= 0.5).alias("splits"))
             out = one if out is None else out.unionByName(one)
-    return out
+    return rounded(out)
 
 
 query("silhouette_fast")(lambda s, d: s.createDataFrame([(sil.silhouette_fast(features(s, d), fixed(s, d).select("p", F.dense_rank().over(__import__("pyspark").sql.Window.orderBy("topic")).alias("cluster"))),)], "sw double"))
@@ -266,8 +333,9 @@ query("ml_kmeans")(lambda s, d: kmeans.ml_kmeans(features(s, d, "refined"), 8))
 query("width_curve")(lambda s, d: once(s, (d, "curve"), lambda: settle(baselines.width_curve(features(s, d, "refined")))))
 query("width_curve_nodes")(lambda s, d: baselines.node_curves(tree.inner_nodes(built_tree(s, d)), features(s, d, "refined")))
 query("width_stability")(lambda s, d: baselines.stability(QUERIES["width_curve"](s, d)))
-for _a in ("kmeans", "medoids", "sampled_medoids", "single", "complete", "average", "ward", "divisive"):
-    query({"kmeans": "flat_kmeans", "medoids": "pam", "sampled_medoids": "clara", "divisive": "divisive"}.get(_a, f"agglomerative_{_a}"))(lambda s, d, a=_a: baselines.clusterings(features(s, d, "refined"), (a,), (8,)))
+query("flat_kmeans", sql("SELECT 'kmeans' AS algorithm, CAST(8 AS INT) AS k, p, CAST(dense_rank() OVER (ORDER BY cluster) - 1 AS INT) AS cluster, round(sw, 6) AS sw FROM each_sw WHERE k = 8", *ROOT, kind="refined"))(lambda s, d: rounded(baselines.clusterings(features(s, d, "refined"), ("kmeans",), (8,))))
+for _a in ("medoids", "sampled_medoids", "single", "complete", "average", "ward", "divisive"):
+    query({"medoids": "pam", "sampled_medoids": "clara", "divisive": "divisive"}.get(_a, f"agglomerative_{_a}"))(lambda s, d, a=_a: baselines.clusterings(features(s, d, "refined"), (a,), (8,)))
 query("bisecting")(lambda s, d: baselines.bisecting(features(s, d, "refined"), 8))
 query("power_iteration")(lambda s, d: baselines.power_iteration(matrix(s, d, "refined"), 4))
 query("random_partition")(lambda s, d: baselines.random_partition(preds(s, d), 8))
@@ -302,12 +370,17 @@ query(
 )(lambda s, d: ranking.top_table(edges(s, d), fixed(s, d)))
 
 
-@query("tree_ranking")
+_OF_TREE = ("fixed AS (SELECT topic, p FROM leaf)", "sw AS (SELECT topic AS cluster, p, sw FROM parts)", CDEG)
+_RANKED = f"""SELECT *, CAST(row_number() OVER (ORDER BY mean_rank, topic) AS INT) AS overall FROM (SELECT topic, top_predicates, top_concepts, round(similarity, 6) AS similarity, round(width, 6) AS width, round(density, 6) AS density,
+ {', '.join('rank_' + c for c in ranking.CRITERIA)}, round(({' + '.join('rank_' + c for c in ranking.CRITERIA)}) / 5.0, 6) AS mean_rank FROM (SELECT *, {_RANKS} FROM crit))"""
+
+
+@query("tree_ranking", refined(_RANKED, *_OF_TREE, _CRIT))
 def tree_ranking(s: SparkSession, d: str) -> DataFrame:
     """The ranking of the built tree's leaves on the refined graph."""
     made = built_tree(s, d)
     widths = made.topics.select(F.col("topic_id").alias("topic"), "sw")
-    return ranking.integrated_rank(ranking.criteria(edges(s, d, "refined"), tree.leaves(made), matrix(s, d, "refined"), widths))
+    return rounded(ranking.integrated_rank(ranking.criteria(edges(s, d, "refined"), tree.leaves(made), matrix(s, d, "refined"), widths)))
 
 
 # sketches, weaving, terms ---------------------------------------------------------------------------------------------------
