@@ -89,7 +89,7 @@ def power_iteration(sm: DataFrame, k: int) -> DataFrame:
 
 def random_partition(preds: DataFrame, k: int, seed: int = 0) -> DataFrame:
     """Parts of equal size by hash order."""
-    rank = F.row_number().over(W.orderBy(F.xxhash64("p", F.lit(seed)), "p"))
+    rank = F.row_number().over(W.orderBy(F.md5(F.concat("p", F.lit(f"/{seed}")).cast("binary")), "p"))
     return preds.select("p").distinct().select("p", F.pmod(rank - 1, F.lit(k)).alias("cluster"))
 
 

@@ -160,6 +160,11 @@ def schema_of_kinds(kinds: DataFrame, refine: bool = False, include_root: bool =
 _SCHEMAS: dict[tuple, DataFrame] = {}
 
 
+def forget() -> None:
+    """Drop the schema graphs that the session has made."""
+    _SCHEMAS.clear()
+
+
 def schema(spark: SparkSession, sf_dir: str, kind: str = "base") -> DataFrame:
     """The schema graph of the given tables: base, refined (with subclasses) or rooted (with the universal concept); made once a session."""
     key = (spark.sparkContext.applicationId, sf_dir, kind)

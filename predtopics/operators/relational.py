@@ -53,7 +53,7 @@ def multi_group(df: DataFrame, keys: list[str], how: str, *aggs: Column) -> Data
 
 def sample_hash(df: DataFrame, key: str, frac: float, seed: int = 0) -> DataFrame:
     """A share of the rows that is the same on every run and in every partitioning."""
-    return df.where(F.pmod(F.xxhash64(F.col(key), F.lit(seed)), F.lit(1_000_000)) < int(frac * 1_000_000))
+    return df.where(F.substring(F.md5(F.concat(F.col(key).cast("string"), F.lit(f"/{seed}")).cast("binary")), 1, 8) < f"{min(int(frac * 2**32), 2**32 - 1):08x}")
 
 
 def setop(left: DataFrame, right: DataFrame, how: str) -> DataFrame:

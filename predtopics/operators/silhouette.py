@@ -56,7 +56,7 @@ def silhouette_fast(features: DataFrame, assign: DataFrame) -> float:
 
 def silhouette_sample(dis: DataFrame, assign: DataFrame, frac: float, seed: int = 0) -> DataFrame:
     """(n, sw, half): mean sw over a share of the predicates, by hash, and half its 95 % interval."""
-    pick = (F.pmod(F.xxhash64("p", F.lit(seed)), F.lit(1_000_000)) < int(frac * 1_000_000))
+    pick = F.substring(F.md5(F.concat("p", F.lit(f"/{seed}")).cast("binary")), 1, 8) < f"{min(int(frac * 2**32), 2**32 - 1):08x}"
     chosen = assign.where(pick).select(F.col("p").alias("p1"))
     rows = silhouette(dis.join(chosen, "p1", "left_semi"), assign).join(chosen, F.col("p") == F.col("p1"), "left_semi")
     return rows.agg(F.count("*").alias("n"), F.avg("sw").alias("sw"), (1.96 * F.stddev("sw") / F.sqrt(F.count("*"))).alias("half"))

@@ -5,9 +5,10 @@ from __future__ import annotations
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from ..operators import baselines, graph, kmeans, normalise, ranking, similarity, sketches, tree
+from ..operators import baselines, graph, kmeans, normalise, ontology, ranking, similarity, sketches, tree
 from ..operators import silhouette as sil
 from ..operators.ontology import incidence, neighbourhood, schema, schema_sql
 from ..plans import weaver
@@ -36,6 +37,12 @@ def once(spark: SparkSession, key: tuple, make: Callable):  # noqa: ANN201
     return _MADE[key]
 
 
+def forget() -> None:
+    """Drop what ``once`` and the schema hold, so that the next query makes it anew."""
+    _MADE.clear()
+    ontology.forget()
+
+
 def edges(s: SparkSession, d: str, kind: str = "base") -> DataFrame:
     return schema(s, d, kind)
 
@@ -327,8 +334,20 @@ def _readings(s: SparkSession, d: str) -> DataFrame:
     return rounded(out)
 
 
-query("silhouette_fast")(lambda s, d: s.createDataFrame([(sil.silhouette_fast(features(s, d), fixed(s, d).select("p", F.dense_rank().over(__import__("pyspark").sql.Window.orderBy("topic")).alias("cluster"))),)], "sw double"))
-query("silhouette_sample")(lambda s, d: sil.silhouette_sample(similarity.dissimilarity(matrix(s, d), preds(s, d)), fixed(s, d).select("p", F.col("topic").alias("cluster"), F.lit("root").alias("parent")), 0.5))
+_ROWDIS = "dis AS MATERIALIZED (SELECT p1, p2, q AS d FROM rowd)"
+
+
+@query("silhouette_fast", sql("SELECT round(avg(sw), 6) AS sw FROM sw", *TOPICS, DENSE, _ROWS, _ROWDIS, SIL))
+def _fast(s: SparkSession, d: str) -> DataFrame:
+    assign = fixed(s, d).select("p", F.dense_rank().over(W.orderBy("topic")).alias("cluster"))
+    return rounded(s.createDataFrame([(sil.silhouette_fast(features(s, d), assign),)], "sw double"))
+
+
+query("silhouette_cases", ORACLES["silhouette_fixed"])(lambda s, d: rounded(sil.silhouette(similarity.dissimilarity(matrix(s, d), preds(s, d)), fixed(s, d).select("p", F.col("topic").alias("cluster"), F.lit("root").alias("parent")), "cases")))
+query("silhouette_sample", sql("SELECT count(*) AS n, round(avg(sw), 6) AS sw, round(1.96 * stddev_samp(sw) / sqrt(count(*)), 6) AS half FROM sw WHERE substr(md5(p || '/0'), 1, 8) < '80000000'", *JUDGED))(lambda s, d: rounded(sil.silhouette_sample(similarity.dissimilarity(matrix(s, d), preds(s, d)), fixed(s, d).select("p", F.col("topic").alias("cluster"), F.lit("root").alias("parent")), 0.5)))
+query("tree_stop_above", sql("SELECT topic_id, parent_id, CAST(level AS INT) AS level, CAST(ordinal AS INT) AS ordinal, k, n_pred, round(sw, 6) AS sw, round(nsw, 6) AS nsw, round(contribution, 6) AS contribution FROM topics", *ROOT, SPLIT.replace("nsw >= 0.5", "n_clusters >= 2"), kind="refined"))(lambda s, d: rounded(tree.topic_tree(preds(s, d, "refined"), features(s, d, "refined"), rule="stop_above").topics))
+query("tree_random_start")(lambda s, d: rounded(tree.topic_tree(preds(s, d, "refined"), features(s, d, "refined"), init="random", restarts=8).topics))
+query("tree_weighted_features")(lambda s, d: rounded(tree.topic_tree(preds(s, d, "refined"), features(s, d, "refined"), features_of="topic", feature_weight="variance").topics))
 query("ml_kmeans")(lambda s, d: kmeans.ml_kmeans(features(s, d, "refined"), 8))
 query("width_curve")(lambda s, d: once(s, (d, "curve"), lambda: settle(baselines.width_curve(features(s, d, "refined")))))
 query("width_curve_nodes")(lambda s, d: baselines.node_curves(tree.inner_nodes(built_tree(s, d)), features(s, d, "refined")))
@@ -338,11 +357,10 @@ for _a in ("medoids", "sampled_medoids", "single", "complete", "average", "ward"
     query({"medoids": "pam", "sampled_medoids": "clara", "divisive": "divisive"}.get(_a, f"agglomerative_{_a}"))(lambda s, d, a=_a: baselines.clusterings(features(s, d, "refined"), (a,), (8,)))
 query("bisecting")(lambda s, d: baselines.bisecting(features(s, d, "refined"), 8))
 query("power_iteration")(lambda s, d: baselines.power_iteration(matrix(s, d, "refined"), 4))
-query("random_partition")(lambda s, d: baselines.random_partition(preds(s, d), 8))
+query("random_partition", sql("SELECT p, CAST((row_number() OVER (ORDER BY md5(p || '/0'), p) - 1) % 8 AS INT) AS cluster FROM (SELECT DISTINCT p FROM edges)"))(lambda s, d: baselines.random_partition(preds(s, d), 8))
 query("concept_topics")(lambda s, d: baselines.concept_topics(neighbourhood(edges(s, d)), 6))
 query("spanning_tree")(lambda s, d: baselines.spanning_tree(similarity.dissimilarity(matrix(s, d), preds(s, d))))
 query("permutation_test")(lambda s, d: baselines.permutation_test(features(s, d), fixed(s, d).select("p", F.col("topic").alias("cluster"))))
-query("baseline_agreement")(lambda s, d: baselines.agreement(baselines.clusterings(features(s, d), ("kmeans",), (8,)), fixed(s, d).select("p", F.col("topic").alias("cluster"))))
 
 # ranking -----------------------------------------------------------------------------------------------------------------
 
@@ -364,6 +382,11 @@ query(
     "topic_ranking",
     sql(f"SELECT *, CAST(row_number() OVER (ORDER BY mean_rank, topic) AS INT) AS overall FROM (SELECT topic, top_predicates, top_concepts, round(similarity, 6) AS similarity, round(width, 6) AS width, round(density, 6) AS density, {', '.join('rank_' + c for c in ranking.CRITERIA)}, round(({' + '.join('rank_' + c for c in ranking.CRITERIA)}) / 5.0, 6) AS mean_rank FROM (SELECT *, {_RANKS} FROM crit))", *JUDGED, PDEG, CDEG, _CRIT),
 )(lambda s, d: rounded(fixed_ranking(s, d)))
+_WEIGHTS = {"density": 2.0, "width": 0.5}
+_WEIGHED = " + ".join(f"{_WEIGHTS.get(c, 1.0)} * rank_{c}" for c in ranking.CRITERIA)
+query("topic_ranking_weighted", sql(f"SELECT topic, round(mean_rank, 6) AS mean_rank, CAST(row_number() OVER (ORDER BY mean_rank, topic) AS INT) AS overall FROM (SELECT topic, round(({_WEIGHED}) / {sum(_WEIGHTS.get(c, 1.0) for c in ranking.CRITERIA)}, 9) AS mean_rank FROM (SELECT *, {_RANKS} FROM crit))", *JUDGED, PDEG, CDEG, _CRIT))(
+    lambda s, d: rounded(ranking.integrated_rank(ranking.criteria(edges(s, d), fixed(s, d), matrix(s, d), sil.topic_width(fixed_silhouette(s, d)).select("topic", "sw")), _WEIGHTS).select("topic", "mean_rank", "overall"))
+)
 query(
     "top_table",
     sql("""SELECT r.rank, r.p, r.io, f.topic, c.concept, c.concept_rank FROM (SELECT CAST(row_number() OVER (ORDER BY io DESC, p) AS INT) AS rank, p, io FROM pdeg QUALIFY rank <= 20) r LEFT JOIN fixed f ON f.p = r.p LEFT JOIN (SELECT concept, CAST(rank() OVER (ORDER BY io DESC) AS INT) AS concept_rank FROM cdeg) c ON lower(c.concept) = lower(r.p)""", INC, PDEG, CDEG, FIXED),
@@ -386,6 +409,7 @@ def tree_ranking(s: SparkSession, d: str) -> DataFrame:
 # sketches, weaving, terms ---------------------------------------------------------------------------------------------------
 
 query("share_theta")(lambda s, d: sketches.share_scores_theta(neighbourhood(edges(s, d))))
+query("share_lsh_near", sql(_SH + " AND n12 / CAST(n1 + n2 - n12 AS DOUBLE) >= 0.5", *GRAPH))(lambda s, d: rounded(sketches.share_scores_lsh(neighbourhood(edges(s, d))).where(F.col("n12") / (F.col("n1") + F.col("n2") - F.col("n12")) >= 0.5).select("p1", "p2", "n1", "n2", "n12", "share")))
 query("share_lsh")(lambda s, d: sketches.share_scores_lsh(neighbourhood(edges(s, d))))
 query("share_theta_error")(lambda s, d: sketches.share_error(neighbourhood(edges(s, d)), sketches.share_scores_theta(neighbourhood(edges(s, d)))))
 query("topic_graph", sql("SELECT DISTINCT topic, sc, e.p, oc FROM edges e JOIN fixed f ON f.p = e.p", FIXED))(lambda s, d: weaver.topic_graph(edges(s, d), fixed(s, d)))

@@ -12,6 +12,7 @@ from predtopics import queries as own
 
 SOME = """ontology_stats schema_edges_refined incidence share_patterns connection_patterns_l2 top_predicates density_printed share_scores share_hub_cut chain_scores chain_directed chain_best_path similarity_matrix
 dissimilarity_row_euclid neighbours lloyd_fixed silhouette_fixed sibling_width topic_ranking top_table duplicate_concepts weave_fixed share_hosts q1_strict q2_literal q3 q4_strict endpoint_query optional_left
+topic_tree tree_sweep tree_ranking tree_readings flat_kmeans q4_pruned_equals_full scale_sweep agg_hll
 src_facts_text join_asof join_interval join_range agg_cube win_range_frame fn_array udf_sql cogroup_pandas contract_same stream_session stream_interval_join stream_stateful_degree""".split()
 NAMES = list(own.QUERIES) if os.environ.get("TEST_QUERIES") == "all" else SOME
 
@@ -73,3 +74,12 @@ def test_counting_columns_gives_the_schema_of_the_facts(spark, sf_dir, kind):
     facts = ontology.build_facts(spark, sf_dir)
     want = ontology.induce_schema(facts, kind == "refined", kind == "rooted")
     assert sorted(map(tuple, ontology.schema(spark, sf_dir, kind).collect())) == sorted(map(tuple, want.collect()))
+
+
+def test_costs_are_counted(spark, sf_dir):
+    from predtopics.plans import cost
+
+    orders = spark.read.parquet(f"{sf_dir}/orders.parquet")
+    told = dict(zip([c.split()[0] for c in cost.SCHEMA.split(", ")], cost.measured(spark, "x", lambda: orders.select("o_custkey").repartition(3).groupBy("o_custkey").count())))
+    assert told["rows_read"] == orders.count() and told["rows_shuffled"] >= told["rows_read"] and told["bytes_shuffled"] > 0 and told["jobs"] >= 1 and told["tasks"] >= 3
+    assert {r.name for r in own.QUERIES["method_costs"](spark, sf_dir).collect()} == {"schema_edges", "share_scores", "chain_scores", "similarity_matrix", "topic_tree", "tree_ranking"}
