@@ -14,7 +14,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..settle import settle
-from ..sources.tables import load_table
+from ..sources.tables import load_table, stamp
 
 
 @dataclass(frozen=True)
@@ -166,10 +166,10 @@ def forget() -> None:
 
 
 def schema(spark: SparkSession, sf_dir: str, kind: str = "base") -> DataFrame:
-    """The schema graph of the given tables: base, refined (with subclasses) or rooted (with the universal concept); made once a session."""
-    key = (spark.sparkContext.applicationId, sf_dir, kind)
+    """The schema graph of the given tables: base, refined (with subclasses) or rooted (with the universal concept); made once a session and state of the tables."""
+    key = (spark.sparkContext.applicationId, sf_dir, stamp(spark, sf_dir), kind)
     if key not in _SCHEMAS:
-        _SCHEMAS[key] = settle(schema_of_kinds(fact_kinds(spark, sf_dir), kind == "refined", kind == "rooted").coalesce(1))
+        _SCHEMAS[key] = settle(schema_of_kinds(fact_kinds(spark, sf_dir), kind == "refined", kind == "rooted"))
     return _SCHEMAS[key]
 
 

@@ -160,11 +160,12 @@ def similarity_matrix(chain: DataFrame, preds: DataFrame) -> DataFrame:
 
 
 def row_features(sm: DataFrame, preds: DataFrame, cols: list[str] | None = None) -> DataFrame:
-    """(p, features): rows of the matrix over sorted columns, 0 where absent."""
-    names = cols or sorted(r["p"] for r in preds.select("p").distinct().collect())  # schema-level: at most thousands
-    rows = sm.groupBy("p1").agg(F.map_from_entries(F.collect_list(F.struct("p2", "sm"))).alias("m"))
-    vector = F.transform(F.array(*[F.lit(n) for n in names]), lambda n: F.coalesce(F.element_at("m", n), F.lit(0.0)))
-    return preds.select("p").distinct().join(rows, F.col("p") == F.col("p1"), "left").select("p", vector.alias("features"))
+    """(p, features): rows of the matrix over sorted columns, 0 where absent. Cells are joined, so a row costs as much as it has columns."""
+    each = preds.select("p").distinct()
+    names = each.agg(F.array_sort(F.collect_list("p")).alias("names")) if cols is None else each.limit(1).select(F.array(*[F.lit(c) for c in cols]).alias("names"))
+    cells = each.crossJoin(F.broadcast(names)).select(F.col("p").alias("p1"), F.posexplode("names").alias("at", "p2"))
+    met = cells.join(sm.select("p1", "p2", "sm"), ["p1", "p2"], "left").select("p1", F.struct("at", F.coalesce("sm", F.lit(0.0)).alias("x")).alias("cell"))
+    return met.groupBy(F.col("p1").alias("p")).agg(F.transform(F.array_sort(F.collect_list("cell")), lambda c: c["x"]).alias("features"))
 
 
 def dissimilarity(sm: DataFrame, preds: DataFrame, kind: str = "one_minus", eps: float = 1e-3) -> DataFrame:

@@ -13,6 +13,7 @@ from ..operators import silhouette as sil
 from ..operators.ontology import incidence, neighbourhood, schema, schema_sql
 from ..plans import weaver
 from ..settle import settle
+from ..sources.tables import stamp
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 ORACLES: dict[str, str] = {}
@@ -30,8 +31,8 @@ def query(name: str, sql: str | None = None):  # noqa: ANN201
 
 
 def once(spark: SparkSession, key: tuple, make: Callable):  # noqa: ANN201
-    """Schema-level results that several queries use, made once a session."""
-    key = (spark.sparkContext.applicationId, *key)
+    """Schema-level results that several queries use, made once a session and state of the tables; a key begins with their folder."""
+    key = (spark.sparkContext.applicationId, stamp(spark, key[0]), *key)
     if key not in _MADE:
         _MADE[key] = make()
     return _MADE[key]
@@ -52,19 +53,19 @@ def preds(s: SparkSession, d: str, kind: str = "base") -> DataFrame:
 
 
 def share(s: SparkSession, d: str, kind: str = "base") -> DataFrame:
-    return once(s, (d, kind, "share"), lambda: settle(similarity.share_scores(neighbourhood(edges(s, d, kind)), symmetric=True).coalesce(1)))
+    return once(s, (d, kind, "share"), lambda: settle(similarity.share_scores(neighbourhood(edges(s, d, kind)), symmetric=True)))
 
 
 def chain(s: SparkSession, d: str, kind: str = "base") -> DataFrame:
-    return once(s, (d, kind, "chain"), lambda: settle(similarity.chain_scores(share(s, d, kind)).coalesce(1)))
+    return once(s, (d, kind, "chain"), lambda: settle(similarity.chain_scores(share(s, d, kind))))
 
 
 def matrix(s: SparkSession, d: str, kind: str = "base") -> DataFrame:
-    return once(s, (d, kind, "sm"), lambda: settle(similarity.similarity_matrix(chain(s, d, kind), preds(s, d, kind)).coalesce(1)))
+    return once(s, (d, kind, "sm"), lambda: settle(similarity.similarity_matrix(chain(s, d, kind), preds(s, d, kind))))
 
 
 def features(s: SparkSession, d: str, kind: str = "base") -> DataFrame:
-    return once(s, (d, kind, "rows"), lambda: settle(similarity.row_features(matrix(s, d, kind), preds(s, d, kind)).coalesce(1)))
+    return once(s, (d, kind, "rows"), lambda: settle(similarity.row_features(matrix(s, d, kind), preds(s, d, kind))))
 
 
 def fixed(s: SparkSession, d: str) -> DataFrame:

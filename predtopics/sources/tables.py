@@ -17,6 +17,13 @@ def load_table(spark: SparkSession, sf_dir: str, name: str, columns: list[str] |
     return df.select(*columns) if columns else df
 
 
+def stamp(spark: SparkSession, sf_dir: str) -> int:
+    """A number that changes when a table of the folder is written anew: from names, lengths and times of what lies in it."""
+    at = spark._jvm.org.apache.hadoop.fs.Path(sf_dir)
+    found = at.getFileSystem(spark._jsc.hadoopConfiguration()).listStatus(at)
+    return hash(tuple(sorted((f.getPath().getName(), f.getLen(), f.getModificationTime()) for f in found)))
+
+
 def register(spark: SparkSession, sf_dir: str, prefix: str = "") -> None:
     """All tables as temporary views."""
     for name in NAMES:
