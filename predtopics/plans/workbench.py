@@ -30,6 +30,20 @@ class Workbench:
         size = self.members.groupBy("topic").agg(F.count("*").alias("n"))
         return tree.topic_labels(self.members, self.deg).join(size, "topic")
 
+    def all_queries(self, n: int = 10, beta: float = 0.2, max_preds: int = 4) -> dict[str, list[patterns.QueryGraph]]:
+        """What ``queries`` gives for each topic, by three jobs for all of them; walks and graphs are schema-level."""
+        walks: dict[tuple[str, str], list[tuple[int, str]]] = {}
+        for r in weaver.weave_all(self.members, self.sm, self.deg, n, (beta,), max_preds).collect():
+            walks.setdefault((r["topic"], r["seed"]), []).append((r["step"], r["p"]))
+        rows: dict[str, list[tuple]] = {}
+        for r in weaver.topic_graph(self.edges, self.members).collect():
+            rows.setdefault(r["topic"], []).append((r["sc"], r["p"], r["oc"]))
+        made: dict[str, list[patterns.QueryGraph]] = {}
+        for r in weaver.seeds(self.members, self.deg, n).orderBy("topic", "rank").collect():
+            if (r["topic"], r["p"]) in walks:
+                made.setdefault(r["topic"], []).append(weaver.to_query_graph([p for _, p in sorted(walks[r["topic"], r["p"]])], rows[r["topic"]]))
+        return made
+
     def queries(self, topic: str, n: int = 10, beta: float = 0.2, max_preds: int = 4) -> list[patterns.QueryGraph]:
         """Query graphs of a topic's n best seeds: step two."""
         mine = self.members.where(F.col("topic") == topic)

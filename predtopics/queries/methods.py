@@ -419,6 +419,28 @@ query(
     "weave_fixed",
     "WITH RECURSIVE " + sql("SELECT topic, p FROM reach", *TOPICS, PDEG, "seed AS (SELECT topic, f.p FROM fixed f JOIN pdeg ON pdeg.p = f.p QUALIFY row_number() OVER (PARTITION BY topic ORDER BY io DESC, f.p) = 1)", "hop AS MATERIALIZED (SELECT a.topic, sm.p1, sm.p2 FROM sm JOIN fixed a ON a.p = sm.p1 JOIN fixed b ON b.p = sm.p2 AND b.topic = a.topic WHERE sm.p1 <> sm.p2 AND sm.sm > 0.2)", "reach AS (SELECT topic, p FROM seed UNION SELECT r.topic, h.p2 FROM reach r JOIN hop h ON h.topic = r.topic AND h.p1 = r.p)")[len("WITH "):],
 )(lambda s, d: weaver.weave_all(fixed(s, d), matrix(s, d), graph.predicate_degree(edges(s, d))).select("topic", "p"))
+
+
+def _reach_sql(members: str, seeds: int, betas: str, *blocks: str) -> str:
+    """What walks from the topics' best seeds reach, by seed and threshold; the order of steps aside."""
+    seed = f"seed AS (SELECT topic, f.p FROM {members} f JOIN pdeg ON pdeg.p = f.p QUALIFY row_number() OVER (PARTITION BY topic ORDER BY io DESC, f.p) <= {seeds})"
+    hop = f"hop AS MATERIALIZED (SELECT a.topic, sm.p1, sm.p2, sm.sm FROM sm JOIN {members} a ON a.p = sm.p1 JOIN {members} b ON b.p = sm.p2 AND b.topic = a.topic WHERE sm.p1 <> sm.p2)"
+    reach = f"reach AS (SELECT topic, p AS seed, beta, p FROM seed, (SELECT unnest({betas}) AS beta) UNION SELECT r.topic, r.seed, r.beta, h.p2 FROM reach r JOIN hop h ON h.topic = r.topic AND h.p1 = r.p AND h.sm > r.beta)"
+    return "WITH RECURSIVE " + sql("SELECT topic, seed, CAST(beta AS DOUBLE) AS beta, p FROM reach", *TOPICS, PDEG, *blocks, seed, hop, reach)[len("WITH ") :]
+
+
+MIXED = ("lang", "text", "role", "conv", "source")
+query("weave_reach", _reach_sql("fixed", 10, "[0.1, 0.2, 0.4]"))(lambda s, d: QUERIES["weave_steps"](s, d).select("topic", "seed", "beta", "p"))
+query("weave_cross_domain_reach", _reach_sql("mixed", 1, "[0.05]", f"mixed AS (SELECT DISTINCT 'mixed' AS topic, p FROM edges WHERE p IN {MIXED})"))(lambda s, d: cross_domain(s, d).select("topic", "seed", "beta", "p"))
+
+
+@query("weave_cross_domain")
+def cross_domain(s: SparkSession, d: str) -> DataFrame:
+    """A walk over one topic of predicates that several namespaces have: lang, text and role."""
+    members = s.createDataFrame([("mixed", p) for p in MIXED], "topic string, p string")
+    return weaver.weave_all(members, matrix(s, d), graph.predicate_degree(edges(s, d)), 1, (0.05,))
+
+
 query("weave_steps")(lambda s, d: weaver.weave_all(fixed(s, d), matrix(s, d), graph.predicate_degree(edges(s, d)), 10, (0.1, 0.2, 0.4)))
 query("degree_query", sql("SELECT topic, CAST(row_number() OVER (PARTITION BY topic ORDER BY io DESC, f.p) AS INT) AS step, f.p FROM fixed f JOIN pdeg ON pdeg.p = f.p QUALIFY step <= 3", FIXED, PDEG))(lambda s, d: weaver.degree_query(fixed(s, d), graph.predicate_degree(edges(s, d))))
 query("normalise_terms")(lambda s, d: normalise.normalise_terms(edges(s, d), 0.6))
