@@ -74,3 +74,29 @@ def test_edges(spark):
     assert sorted((r.doc_id or 0, len(r.spans)) for r in got.collect()) == [(0, 1), (1, 0), (1, 0)]
     assert secrets.find_secrets(frame.limit(0)).count() == 0
     assert hashlib.sha256(b"").hexdigest()
+
+
+def test_long_candidates_and_many_matches_take_time_in_proportion(spark):
+    import random
+    import time
+
+    rng = random.Random(5)
+    letters = "ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789"
+    blob = "".join(rng.choice("ab1") for _ in range(199_960)) + "".join(rng.choice(letters) for _ in range(40))
+    dull = "a1" * 100_000
+    path = "some/path/" * 20_000 + "v1"
+    many = " ".join(f"token={'%08x' % rng.getrandbits(32)} " + "".join(rng.choice(letters) for _ in range(24)) for _ in range(10_000))
+    texts = [blob, dull, path, many]
+    frame = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").repartition(4)
+    began = time.time()
+    got = {r.doc_id: r for r in secrets.find_secrets(frame).withColumn("clean", secrets.redacted(F.col("text"), F.col("spans"))).collect()}
+    assert time.time() - began < 60
+    for i, text in enumerate(texts):
+        want = all_spans(text)
+        assert [tuple(x) for x in got[i].spans] == want
+        out, at = [], 0
+        for a, _, b, _ in want:
+            out += [text[at:a] + "[SECRET]"] if a >= at else []
+            at = max(at, b)
+        assert got[i].clean == "".join(out) + text[at:]
+    assert "entropy" in {x.kind for x in got[0].spans} and not got[2].spans and len(got[3].spans) > 19_000
