@@ -3,7 +3,13 @@
 A page is cut into blocks at block-level tags; a block knows the elements around it. A linear classifier over the block's
 surroundings and words gives the cost of calling it content and of calling it boilerplate; these are the capacities to the two
 terminals. Blocks that follow each other, and blocks under one parent, are tied by edges whose capacity falls with their
-distance in the element tree. The cheapest labelling is a minimum cut, found by blocking flows over short paths.
+distance in the element tree and is of the order of a block's doubt, so blocks that are unclear by themselves go with their
+neighbours. The cheapest labelling is a minimum cut, found by blocking flows over short paths.
+
+The classifier is a logistic regression, fitted on at most ``SAMPLE`` pages chosen by a hash: blocks inside an article or main element, and
+blocks inside elements that the markup sets apart (navigation, footer, aside and the like), are its examples. Each stands twice among them,
+with and without what is known of its surroundings, so that the words count by themselves on pages that mark nothing. A normal prior around
+``PRIOR`` keeps the weights of what the sample does not show.
 """
 
 from __future__ import annotations
@@ -11,9 +17,11 @@ from __future__ import annotations
 import html
 import math
 import re
+from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass, field
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -32,10 +40,15 @@ WORD = re.compile(r"[A-Z]?[a-z0-9]+|[A-Z]+")
 AGAINST = frozenset("ad ads adv advert adverts advertisement advertising sponsor sponsored banner promo promotion sidebar aside rail menu nav navbar navigation navi breadcrumb breadcrumbs footer foot header masthead topbar toolbar cookie cookies consent gdpr notice notification alert popup modal overlay dialog comment comments disqus reply replies respond discussion share sharing social follow subscribe newsletter signup login search form related recommended recommend more widget pagination pager tags tagcloud copyright legal disclaimer skip contentinfo complementary complaint".split())
 FOR = frozenset("article main content post entry story body text articlebody maincontent".split())
 HIDDEN = re.compile(r"(?i)display\s*:\s*none|visibility\s*:\s*hidden")
-#: Weights of the classifier: log-odds for content.
-BIAS, MAIN, PARAGRAPH, HEADING, LENGTH, STOPS, LINKS, UNLIKE, PAGE_HEADER, BURIED = -1.2, 4.5, 1.6, 0.4, 0.35, 0.4, -2.5, -12.0, -8.0, -15.0
-#: Capacity between neighbours in the page, and between neighbours under one parent; both fall with distance in the tree.
-ADJACENT, SIBLING = 1.2, 0.8
+#: Log-odds for content before any page is seen, by feature: always; inside an article or main element; in a paragraph; in a heading; log2 of the
+#: words, up to 6; ends like a sentence; linked part of the words; elements around it that speak against, page headers, and hidden ones.
+PRIOR = {"bias": -1.0, "main": 2.2, "paragraph": 0.8, "heading": 0.4, "length": 0.3, "stops": 0.3, "links": -1.5, "against": -6.0, "page_header": -4.0, "hidden": -8.0}
+#: Features of a block's surroundings, which its second example goes without.
+AROUND = ("main", "against", "page_header", "hidden")
+#: Pages that the fit sees, its steps, and how firmly weights are held to the prior.
+SAMPLE, STEPS, FIRMNESS = 300, 200, 0.05
+#: Capacity between neighbours in the page, and between neighbours under one parent; both fall with distance in the tree and end at FAR.
+ADJACENT, SIBLING, FAR = 3.0, 0.8, 32
 OUTSIDE = frozenset("nav footer aside form menu dialog button select label fieldset address".split())
 
 
@@ -48,7 +61,11 @@ class Element:
     favour: bool = False
     hidden: bool = False
     main: bool = False
-    unlike: float = 0.0
+    marked: bool = False
+    apart: bool = False
+    n_against: int = 0
+    n_header: int = 0
+    n_hidden: int = 0
 
 
 @dataclass
@@ -62,7 +79,7 @@ class Block:
 
 
 def _open(tag: str, attributes: str, parent: Element) -> Element:
-    e = Element(tag, parent, parent.depth + 1, main=parent.main, unlike=parent.unlike)
+    e = Element(tag, parent, parent.depth + 1, main=parent.main, marked=parent.marked, apart=parent.apart, n_against=parent.n_against, n_header=parent.n_header, n_hidden=parent.n_hidden)
     if attributes.strip():
         for name, value in NAMED.findall(attributes):
             name, value = name.lower(), value.strip("\"'")
@@ -74,12 +91,11 @@ def _open(tag: str, attributes: str, parent: Element) -> Element:
                 e.favour |= bool(words & FOR) or value.lower() in FOR
     if tag in ("article", "main") or (e.favour and not e.against and tag not in INLINE):
         e.main = True
-    if tag in OUTSIDE or (e.against and not (tag in ("article", "main", "body", "html"))):
-        e.unlike += UNLIKE
-    if tag == "header" and not parent.main:
-        e.unlike += PAGE_HEADER
-    if e.hidden:
-        e.unlike += BURIED
+    e.marked |= tag in ("article", "main")
+    e.apart |= tag in OUTSIDE
+    e.n_against += tag in OUTSIDE or (e.against and tag not in ("article", "main", "body", "html"))
+    e.n_header += tag == "header" and not parent.main
+    e.n_hidden += e.hidden
     return e
 
 
@@ -88,6 +104,7 @@ def blocks_of(page: str) -> list[Block]:
     root = Element("#", None, 0)
     stack, out, at, n = [root], [], 0, len(page)
     buffer: list[str] = []
+    opened: Counter[str] = Counter()  # how many elements of a tag are open, so that a stray end tag costs nothing
     linked = heading = 0
 
     def flush() -> None:
@@ -102,6 +119,11 @@ def blocks_of(page: str) -> list[Block]:
                 out.append(Block(text, holder, linked, bool(heading)))
         linked = 0
 
+    def shut(k: int) -> None:
+        for e in stack[k:]:
+            opened[e.tag] -= 1
+        del stack[k:]
+
     while at < n:
         found = TOKEN.search(page, at)
         end = found.start() if found else n
@@ -117,16 +139,16 @@ def blocks_of(page: str) -> list[Block]:
         if not tag:
             continue
         if found[1] or found[4]:
-            if tag in ("br", "p") and not any(e.tag == tag for e in stack):
+            if tag in ("br", "p") and not opened[tag]:
                 buffer.append(" ")
                 continue
-            for k in range(len(stack) - 1, 0, -1):
+            for k in range(len(stack) - 1, 0, -1) if opened[tag] else ():
                 if stack[k].tag == tag:
                     if tag not in INLINE or any(e.tag not in INLINE for e in stack[k:]):
                         if tag in INLINE:  # an inline end never closes a block around it
                             break
                         flush()
-                    del stack[k:]
+                    shut(k)
                     break
             if tag in ("h1", "h2", "h3", "h4", "h5", "h6"):
                 heading = 0
@@ -151,28 +173,64 @@ def blocks_of(page: str) -> list[Block]:
                 while k > 0 and stack[k].tag in INLINE:
                     k -= 1
                 if stack[k].tag in CLOSED_BY and tag in CLOSED_BY[stack[k].tag]:
-                    del stack[k:]
+                    shut(k)
                 else:
                     break
             heading = tag in ("h1", "h2", "h3", "h4", "h5", "h6")
-        if len(stack) < 400:
-            stack.append(_open(tag, attributes, stack[-1]))
+        stack.append(_open(tag, attributes, stack[-1]))
+        opened[tag] += 1
     flush()
     return out
 
 
-def score(block: Block) -> float:
-    """Log-odds that a block is content."""
+def features(block: Block) -> list[float]:
+    """What the classifier sees of a block, in the order of PRIOR."""
     words = block.text.count(" ") + 1
-    e, odds = block.parent, BIAS + LENGTH * math.log2(1 + words)
-    odds += MAIN * e.main + e.unlike + PARAGRAPH * (e.tag in ("p", "blockquote", "pre")) + HEADING * block.heading
-    odds += STOPS * (block.text[-1] in ".!?…。:;\"”»") + LINKS * min(1.0, block.linked / words)
-    return max(-30.0, min(30.0, odds))
+    e = block.parent
+    told = [1.0, e.main, e.tag in ("p", "blockquote", "pre"), block.heading, min(6.0, math.log2(1 + words)), block.text[-1] in ".!?…。:;\"”»", min(1.0, block.linked / words), min(e.n_against, 3), min(e.n_header, 2), min(e.n_hidden, 2)]
+    return [float(x) for x in told]
+
+
+def score(block: Block, weights: list[float]) -> float:
+    """Log-odds that a block is content."""
+    return sum(w * x for w, x in zip(weights, features(block)))
+
+
+def examples(blocks: list[Block]) -> list[tuple[list[float], float]]:
+    """(features, label) of the blocks that the page's own elements tell to be article or not."""
+    out = []
+    around = [n for n, k in enumerate(PRIOR) if k in AROUND]
+    for b in blocks:
+        if b.parent.apart or b.parent.marked:
+            x = features(b)
+            y = float(not (b.parent.apart or b.parent.n_against or b.parent.n_hidden))
+            out += [(x, y), ([0.0 if n in around else v for n, v in enumerate(x)], y)]
+    return out
+
+
+def regression(x: np.ndarray, y: np.ndarray) -> list[float]:
+    """Weights of least loss: the mean log-loss of the examples, and half of FIRMNESS times the squared distance to the prior."""
+    prior = np.array(list(PRIOR.values()))
+    w = prior.copy()
+    for _ in range(STEPS if len(x) else 0):  # Newton steps, halved until the loss falls
+        p = 1 / (1 + np.exp(-np.clip(x @ w, -50, 50)))
+        slope = x.T @ (p - y) / len(x) + FIRMNESS * (w - prior)
+        bend = (x * (p * (1 - p))[:, None]).T @ x / len(x) + FIRMNESS * np.eye(len(w))
+        step = np.linalg.solve(bend, slope)
+        loss = lambda v: np.logaddexp(0, np.where(y > 0, -(x @ v), x @ v)).mean() + FIRMNESS / 2 * ((v - prior) ** 2).sum()
+        size = 1.0
+        while size > 1e-6 and loss(w - size * step) > loss(w):
+            size /= 2
+        w = w - size * step
+        if np.abs(size * step).max() < 1e-9:
+            break
+    return w.tolist()
 
 
 def tree_distance(a: Element, b: Element) -> int:
+    """Steps between two elements, FAR at most."""
     d = 0
-    while a is not b:
+    while a is not b and d < FAR:
         if a.depth >= b.depth:
             a = a.parent
         else:
@@ -240,13 +298,14 @@ def minimum_cut(terminal: list[float], edges: list[tuple[int, int, float]]) -> l
                     break
 
 
-def label(blocks: list[Block]) -> list[Block]:
+def label(blocks: list[Block], weights: list[float] | None = None) -> list[Block]:
     """Blocks with their labels."""
+    weights = weights or list(PRIOR.values())
     edges, last = [], {}
     for n, b in enumerate(blocks):
-        b.log_odds = score(b)
-        if n:
-            edges.append((n - 1, n, ADJACENT / (1 + tree_distance(blocks[n - 1].parent, b.parent)) ** 2))
+        b.log_odds = score(b, weights)
+        if n and (d := tree_distance(blocks[n - 1].parent, b.parent)) < FAR:
+            edges.append((n - 1, n, ADJACENT / (1 + d) ** 2))
         under = b.parent.parent or b.parent
         if id(under) in last and last[id(under)] != n - 1:
             edges.append((last[id(under)], n, SIBLING / 4))
@@ -256,31 +315,50 @@ def label(blocks: list[Block]) -> list[Block]:
     return blocks
 
 
-def main_text(page: str | None) -> str:
-    return " ".join(b.text for b in label(blocks_of(page or "")) if b.content)
+def main_text(page: str | None, weights: list[float] | None = None) -> str:
+    return " ".join(b.text for b in label(blocks_of(page or ""), weights) if b.content)
+
+
+def _learner(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    for batch in batches:
+        for page in batch.column(0):
+            told = examples(blocks_of(page.as_py() or ""))
+            yield pa.RecordBatch.from_arrays([pa.array([x for x, _ in told], pa.list_(pa.float64())), pa.array([y for _, y in told], pa.float64())], names=["x", "y"])
+
+
+def fitted(pages: DataFrame, id_col: str = "page_id", html_col: str = "html", sample: int = SAMPLE) -> list[float]:
+    """The classifier's weights, fitted on at most ``sample`` pages: those of least hash of id. Without examples: the prior."""
+    rows = pages.where(F.col(html_col).isNotNull()).select(F.pmod(F.xxhash64(F.col(id_col).cast("string")), F.lit(1_000_000)).alias("h"), F.col(html_col).cast("string").alias("html"))
+    n = rows.count()
+    if not n:
+        return list(PRIOR.values())
+    few = rows.where(F.col("h") < min(1_000_000, int(1_500_000 * sample / n) + 1)).orderBy("h", "html").limit(sample).select("html")
+    got = few.mapInArrow(_learner, "x array<double>, y double").orderBy("y", "x").toPandas()  # in an order of their own, so that sums come out the same
+    return regression(np.array(got["x"].tolist(), np.float64).reshape(-1, len(PRIOR)), got["y"].to_numpy(np.float64))
 
 
-def _extractor(names: list[str]):  # noqa: ANN202
+def _extractor(names: list[str], weights: list[float] | None):  # noqa: ANN202
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for at in range(0, len(batch), 256):
                 part = batch.slice(at, 256)
-                texts = [main_text(x.as_py()) for x in part.column(part.num_columns - 1)]
+                texts = [main_text(x.as_py(), weights) for x in part.column(part.num_columns - 1)]
                 yield pa.RecordBatch.from_arrays([*part.columns[:-1], pa.array(texts, pa.string())], names=[*names, "text"])
 
     return run
 
 
-def extract(pages: DataFrame, keep: tuple[str, ...] = ("page_id", "url"), html_col: str = "html") -> DataFrame:
-    """The ``keep`` columns and text, the main text of each whole page, its blocks joined by one space.
+def extract(pages: DataFrame, keep: tuple[str, ...] = ("page_id", "url"), html_col: str = "html", weights: list[float] | None = None) -> DataFrame:
+    """The ``keep`` columns and text, the main text of each whole page, its blocks joined by one space, by a classifier of these weights (or the prior's).
 
     Null and empty pages and pages without content have an empty text; repeated rows and null ids stay; broken
     markup is read as far as it goes; an empty frame gives an empty one. Other columns are ignored.
     """
     schema = ", ".join(f"`{k}` {pages.schema[k].dataType.simpleString()}" for k in keep) + ", text string"
-    return pages.select(*keep, F.col(html_col).cast("string").alias("__html")).mapInArrow(_extractor(list(keep)), schema)
+    return pages.select(*keep, F.col(html_col).cast("string").alias("__html")).mapInArrow(_extractor(list(keep), weights), schema)
 
 
 def op9_html_text(spark: SparkSession, sf_dir: str) -> DataFrame:
-    found = extract(table(spark, sf_dir, "pages", "page_id", "url", "html"))
+    pages = table(spark, sf_dir, "pages", "page_id", "url", "html")
+    found = extract(pages, weights=fitted(pages))
     return found.select("page_id", "url", "text", F.length("text").cast("long").alias("n_chars"))

@@ -71,3 +71,35 @@ def test_edges(spark):
     by = {r.page_id: r.text for r in got}
     assert [by[i] for i in (0, 1, 2, 6, 8)] == [""] * 5 and by[10] == "deep" and len(by[11]) == 399_999
     assert ht.extract(frame.limit(0)).count() == 0
+
+
+def test_neighbours_decide_where_a_block_is_unclear():
+    text = "A long paragraph of running text, with many words in it, that goes on. " * 5
+    page = f"<body><div><a href=a>Top</a></div><div><p>{text}</p><h2>Part two</h2><p>{text}</p></div><div>Imprint</div></body>"
+    blocks = {b.text: b for b in ht.label(ht.blocks_of(page))}
+    assert blocks["Part two"].log_odds < 0 and blocks["Part two"].content  # by itself it is left out; between paragraphs it stays
+    alone = {b.text: b for b in ht.label(ht.blocks_of("<body><div><a href=a>Top</a></div><h2>Part two</h2><div><a href=b>More</a></div></body>"))}
+    assert not any(b.content for b in alone.values())
+    links = "".join(f"<div><a href={i}>Link {i}</a></div>" for i in range(3))
+    among = {b.text: b for b in ht.label(ht.blocks_of(f"<body>{links}<div>See you.</div>{links}</body>"), [-0.5 if k == "bias" else v for k, v in ht.PRIOR.items()])}
+    assert among["See you."].log_odds > 0 and not among["See you."].content  # and the other way round
+
+
+def test_elements_at_any_depth_are_seen():
+    deep = "<article>" + "<div>" * 2000 + "<p>Some words of the article, as they are.</p><aside><p>An advert that says to buy this now.</p></aside>" + "</div>" * 2000 + "<p>The last words.</p></article>"
+    assert ht.main_text(deep) == "Some words of the article, as they are. The last words."
+    assert ht.main_text("<div>" * 60_000 + "<article><p>Words." + "</span>" * 60_000) == "Words."
+
+
+def test_fitted_weights(spark, sf_dir):
+    pages = spark.read.parquet(f"{sf_dir}/pages.parquet")
+    weights = ht.fitted(pages)
+    assert weights == ht.fitted(pages.repartition(5)) and weights != list(ht.PRIOR.values())
+    x = np.array([e for r in pages.collect() for e, _ in ht.examples(ht.blocks_of(r.html))])
+    y = np.array([v for r in pages.collect() for _, v in ht.examples(ht.blocks_of(r.html))])
+    w, prior = np.array(weights), np.array(list(ht.PRIOR.values()))
+    slope = x.T @ (1 / (1 + np.exp(-x @ w)) - y) / len(x) + ht.FIRMNESS * (w - prior)
+    assert np.abs(slope).max() < 1e-6  # the least loss
+    assert ht.fitted(pages.limit(0)) == list(ht.PRIOR.values())
+    want = {r.page_id: article(r.html) for r in pages.collect()}
+    assert {r.page_id: r.text for r in ht.op9_html_text(spark, sf_dir).collect()} == want
