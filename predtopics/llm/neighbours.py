@@ -9,8 +9,8 @@ all rows are indexed. Queries that find fewer than ``k`` rows so, though more ex
 still do are compared with all rows.
 
 Buckets are dealt to shards by hash; a shard that holds more than ``BLOCK`` rows is split by vector, and its queries go
-to every part. In a shard, rows are held (at most about a block) while queries stream past; for each query the best ``k`` of the rows
-in its buckets leave the shard, so the number of rows that leave does not depend on the size of buckets.
+to every part. In a shard, rows are held in the order of their buckets (at most about a block) while queries stream past; a query is
+multiplied with the rows in its buckets alone, and the best ``k`` of them leave the shard, so the number of rows that leave does not depend on the size of buckets.
 """
 
 from __future__ import annotations
@@ -157,39 +157,39 @@ def _query_rows(h: Hashing, shards: int):  # noqa: ANN202
     return run
 
 
-def _best(q_id: np.ndarray, q: np.ndarray, buckets: list[np.ndarray], codes: np.ndarray, ids: np.ndarray, x: np.ndarray, k: int) -> tuple[list, list, list]:
-    """Best k rows of a shard for each of some queries, among the rows in its buckets."""
-    known, inverse = np.unique(codes, return_inverse=True)
-    names, owner = np.unique(ids, return_inverse=True)
-    visited = np.zeros((len(q), len(known)), bool)
-    for i, b in enumerate(buckets):
-        at = np.searchsorted(known, b)
-        ok = at < len(known)
-        at, b = at[ok], b[ok]
-        visited[i, at[known[at] == b]] = True
-    rough = unit(q) @ unit(x).T
-    rough[~visited[:, inverse]] = -np.inf
-    rough[q_id[:, None] == ids[None, :]] = -np.inf
-    out_q, out_v, out_s = [], [], []
-    for i in range(len(q)):
-        r = rough[i]
-        some = int((r > -np.inf).sum())
-        if not some:
-            continue
-        best = r
-        if len(names) < len(ids):  # repeated ids count once
-            best = np.full(len(names), -np.inf)
-            np.maximum.at(best, owner, r)
-            some = int((best > -np.inf).sum())
-        least = np.partition(best, len(best) - min(k, some))[len(best) - min(k, some)]
-        near = np.flatnonzero(r >= least - 1e-9)
-        exact = cosines(q[i], x[near])
-        order = np.lexsort((ids[near], -exact))
-        order = order[np.sort(np.unique(ids[near][order], return_index=True)[1])][:k]
-        out_q += [q_id[i]] * len(order)
-        out_v += ids[near][order].tolist()
-        out_s += exact[order].tolist()
-    return out_q, out_v, out_s
+class Shard:
+    """The rows of a shard in the order of their buckets, so that those of a bucket are a range."""
+
+    def __init__(self, codes: np.ndarray, ids: np.ndarray, x: np.ndarray) -> None:
+        order = np.argsort(codes, kind="stable")
+        self.codes, self.ids, self.x = codes[order], ids[order], x[order]
+        self.scale = 1 / np.sqrt((self.x * self.x).sum(axis=1))
+        self.repeated = len(np.unique(ids)) < len(ids)
+
+    def within(self, buckets: np.ndarray) -> np.ndarray:
+        """Places of the rows in some distinct buckets."""
+        low, high = np.searchsorted(self.codes, buckets, "left"), np.searchsorted(self.codes, buckets, "right")
+        size = high - low
+        return np.repeat(low - (np.cumsum(size) - size), size) + np.arange(size.sum())
+
+    def best(self, q_id: int, q: np.ndarray, buckets: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray]:
+        """Ids and cosines of the best k rows in a query's buckets; no others are looked at."""
+        at = self.within(buckets)
+        at = at[self.ids[at] != q_id]
+        if not len(at):
+            return self.ids[:0], self.scale[:0]
+        rough = (self.x[at] @ q) * self.scale[at] / np.sqrt((q * q).sum())
+        each = rough
+        if self.repeated:  # repeated ids count once
+            names, owner = np.unique(self.ids[at], return_inverse=True)
+            each = np.full(len(names), -np.inf)
+            np.maximum.at(each, owner, rough)
+        least = np.partition(each, -min(k, len(each)))[-min(k, len(each))]
+        near = at[rough >= least - 1e-9]
+        exact = cosines(q, self.x[near])
+        order = np.lexsort((self.ids[near], -exact))
+        order = order[np.sort(np.unique(self.ids[near][order], return_index=True)[1])][:k]
+        return self.ids[near][order], exact[order]
 
 
 def _search(dim: int, k: int):  # noqa: ANN202
@@ -214,13 +214,13 @@ def _search(dim: int, k: int):  # noqa: ANN202
                 if not ids:
                     continue
                 if ready is None:
-                    ready = np.concatenate(codes), np.concatenate(ids), np.concatenate(vecs)
+                    ready = Shard(np.concatenate(codes), np.concatenate(ids), np.concatenate(vecs))
+                    codes, vecs = [], []
                 q_id, q, lists = b.column(5).to_numpy(), _matrix(b.column(6), dim), b.column(4)
-                for at in range(0, len(b), 64):
-                    some = [np.asarray(lists[i].values) for i in range(at, min(len(b), at + 64))]
-                    out = _best(q_id[at : at + 64], q[at : at + 64], some, *ready, k)
-                    if out[0]:
-                        yield pa.RecordBatch.from_arrays([pa.array(out[0], pa.int64()), pa.array(out[1], pa.int64()), pa.array(out[2], pa.float64())], names=["query_id", "vec_id", "score"])
+                found = [ready.best(q_id[i], q[i], np.asarray(lists[i].values), k) for i in range(len(b))]
+                names = np.repeat(q_id, [len(v) for v, _ in found])
+                if len(names):
+                    yield pa.RecordBatch.from_arrays([pa.array(names, pa.int64()), pa.array(np.concatenate([v for v, _ in found]), pa.int64()), pa.array(np.concatenate([s for _, s in found]), pa.float64())], names=["query_id", "vec_id", "score"])
 
     return run
 
