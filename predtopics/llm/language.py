@@ -6,7 +6,7 @@ probabilities are the mean over all its windows, weighted by their bytes, so who
 
 Applied, a filter bank of one width is a single matrix product over the window's strided byte vectors, for many windows at once.
 Training (on the driver, or wherever ``train`` is called) sees at most ``SAMPLE`` labelled rows of each language, chosen by a
-hash of the id, and of each at most ``TRAIN_CHARS`` characters: bounded whatever the table's size.
+hash of the id, and of each ``TRAIN_WINDOWS`` stretches spread over the whole text: bounded whatever the table's size.
 """
 
 from __future__ import annotations
@@ -17,14 +17,14 @@ from dataclasses import dataclass, field
 import numpy as np
 import pyarrow as pa
 import regex
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import table
+from .common import sized, table
 
 WINDOW, WIDTHS, FILTERS, DEPTH = 256, (2, 3, 5), 24, 8
-#: Labelled rows of a language that training sees, and characters of each.
-SAMPLE, TRAIN_CHARS = 600, 4096
+#: Labelled rows of a language that training sees, stretches of each, and characters of a stretch (as many bytes at least as a window has).
+SAMPLE, TRAIN_WINDOWS, STRETCH = 600, 16, 256
 EPOCHS, BATCH, RATE, SEED = 6, 64, 0.004, 7
 LETTER = regex.compile(r"\p{L}")
 
@@ -135,21 +135,26 @@ def fit(texts: list[str], labels: list[str], epochs: int = EPOCHS, seed: int = S
     return net
 
 
+def spread_out(text: Column, stretches: int = TRAIN_WINDOWS, size: int = STRETCH) -> Column:
+    """All of a short text; of a longer one stretches of its characters, evenly spread from its begin to its end."""
+    step = (F.length(text) - size) / F.lit(stretches - 1)
+    parts = F.transform(F.sequence(F.lit(0), F.lit(stretches - 1)), lambda i: F.substring(text, F.floor(i * step).cast("int") + 1, F.lit(size)))
+    return F.when(F.length(text) <= stretches * size, text).otherwise(F.array_join(parts, " "))
+
+
 def train(labelled: DataFrame, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang", sample: int = SAMPLE) -> ByteNet:
     """Fit on at most ``sample`` rows of each language, those of smallest hash of the id; rows without text or language take no part."""
     rows = labelled.where(F.col(text_col).isNotNull() & F.col(lang_col).isNotNull()).select(F.col(lang_col).cast("string").alias("lang"), F.xxhash64(F.col(id_col).cast("string")).alias("h"), F.col(text_col).alias("text"))
-    per = rows.groupBy("lang").count().collect()  # one row a language
-    shares = {r["lang"]: min(1.0, 1.3 * sample / r["count"]) for r in per}
-    taken = None
-    for lang, share in shares.items():  # a threshold of the hash leaves little to sort
-        part = rows.where((F.col("lang") == lang) & (F.pmod("h", F.lit(1_000_000)) < int(share * 1_000_000) + 1)).select("lang", "h", F.substring("text", 1, TRAIN_CHARS).alias("text"))
-        taken = part if taken is None else taken.unionAll(part)
-    if taken is None:
-        return ByteNet.fresh(["und"], np.random.default_rng(SEED))
+    per = rows.groupBy("lang").count()  # one row a language
+    share = (per["count"].cast("double") / (1.3 * sample)).alias("of")  # a threshold of the hash leaves little to sort
+    near = rows.join(sized(per.select(F.col("lang").alias("l"), share)), F.col("lang") == F.col("l"))
+    taken = near.where(F.pmod("h", F.lit(1_000_000)) * F.col("of") <= 1_000_000).select("lang", "h", spread_out(F.col("text")).alias("text"))
     from pyspark.sql import Window as W
 
     rank = F.row_number().over(W.partitionBy("lang").orderBy("h", "text"))
     got = taken.withColumn("r", rank).where(F.col("r") <= sample).orderBy("lang", "r").collect()
+    if not got:
+        return ByteNet.fresh(["und"], np.random.default_rng(SEED))
     return fit([r["text"] for r in got], [r["lang"] for r in got])
 
 

@@ -41,3 +41,30 @@ def test_edges(spark):
     assert got == [(0, "und", False), (1, "und", False), (1, "und", False), (2, "und", False), (3, "de", True), (4, "en", True)]
     assert language.identify(frame.limit(0), net).count() == 0
     assert language.train(frame.selectExpr("doc_id", "text", "cast(null as string) as lang")).langs == ["und"]
+
+
+def test_prediction_is_the_mean_of_windows_by_their_bytes():
+    rng = np.random.default_rng(2)
+    net = language.ByteNet.fresh(["a", "b", "c"], rng)
+    for text in ("one two", "é" * 300 + " words", "x" * 256, "long text " * 90):
+        data, total = text.encode(), np.zeros(3)
+        for at in range(0, len(data), language.WINDOW):
+            piece = data[at : at + language.WINDOW]
+            vec = net.vectors[list(piece.ljust(language.WINDOW, b"\0"))].astype(np.float64)
+            pooled = []
+            for w in language.WIDTHS:
+                seen = np.array([vec[i : i + w].ravel() @ net.filters[w].astype(np.float64) for i in range(language.WINDOW - w + 1)])
+                pooled.append(np.maximum(seen.max(axis=0) + net.bias[w], 0))
+            logits = np.concatenate(pooled) @ net.out + net.out_bias
+            p = np.exp(logits - logits.max())
+            total += p / p.sum() * len(piece)
+        (lang,), (score,) = language.predict(net, [text])
+        assert net.langs.index(lang) == total.argmax() and abs(score - total.max() / len(data)) < 1e-4
+
+
+def test_training_sees_the_whole_of_a_long_text(spark):
+    text = "".join(f"{i:05d}" for i in range(20_000))
+    got = spark.createDataFrame([(text,), ("short",), ("",)], "text string").select(language.spread_out(language.F.col("text")).alias("t")).collect()
+    parts = got[0].t.split(" ")
+    assert len(parts) == language.TRAIN_WINDOWS and parts[0] == text[: language.STRETCH] and parts[-1] == text[-language.STRETCH :] and all(p in text for p in parts)
+    assert [r.t for r in got[1:]] == ["short", ""]
