@@ -31,7 +31,7 @@ from .memo import Memo
 WHITE = "\t-\r \x85\xa0\u1680\u2000-\u200a\u2028\u2029\u202f\u205f\u3000"
 PIECES = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
 #: Bytes in which a worker remembers repeated parts of texts, and those of them that are pieces.
-MEMO, PIECE_MEMO = 96 << 20, 40 << 20
+MEMO, PIECE_MEMO = 64 << 20, 24 << 20
 #: Below this code point all Unicode versions agree on letters and numbers; others are left to the library's own splitter.
 AGREED = "\u0557"
 
