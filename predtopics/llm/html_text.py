@@ -6,7 +6,7 @@ terminals. Blocks that follow each other, and blocks under one parent, are tied
 distance in the element tree and is of the order of a block's doubt, so blocks that are unclear by themselves go with their
 neighbours. The cheapest labelling is a minimum cut, found by blocking flows over short paths.
 
-The classifier is a logistic regression, fitted on at most ``SAMPLE`` pages chosen by a hash: blocks inside an article or main element, and
+The classifier is a logistic regression, fitted on at most ``SAMPLE`` pages chosen by a hash and ``PER_PAGE`` blocks of each: blocks inside an article or main element, and
 blocks inside elements that the markup sets apart (navigation, footer, aside and the like), are its examples. Each stands twice among them,
 with and without what is known of its surroundings, so that the words count by themselves on pages that mark nothing. A normal prior around
 ``PRIOR`` keeps the weights of what the sample does not show.
@@ -45,8 +45,8 @@ HIDDEN = re.compile(r"(?i)display\s*:\s*none|visibility\s*:\s*hidden")
 PRIOR = {"bias": -1.0, "main": 2.2, "paragraph": 0.8, "heading": 0.4, "length": 0.3, "stops": 0.3, "links": -1.5, "against": -6.0, "page_header": -4.0, "hidden": -8.0}
 #: Features of a block's surroundings, which its second example goes without.
 AROUND = ("main", "against", "page_header", "hidden")
-#: Pages that the fit sees, its steps, and how firmly weights are held to the prior.
-SAMPLE, STEPS, FIRMNESS = 300, 200, 0.05
+#: Pages that the fit sees, blocks of each (spread over the page), its steps, and how firmly weights are held to the prior.
+SAMPLE, PER_PAGE, STEPS, FIRMNESS = 300, 400, 200, 0.05
 #: Capacity between neighbours in the page, and between neighbours under one parent; both fall with distance in the tree and end at FAR.
 ADJACENT, SIBLING, FAR = 3.0, 0.8, 32
 OUTSIDE = frozenset("nav footer aside form menu dialog button select label fieldset address".split())
@@ -322,7 +322,8 @@ def main_text(page: str | None, weights: list[float] | None = None) -> str:
 def _learner(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
         for page in batch.column(0):
-            told = examples(blocks_of(page.as_py() or ""))
+            blocks = blocks_of(page.as_py() or "")
+            told = examples(blocks[:: max(1, -(-len(blocks) // PER_PAGE))])
             yield pa.RecordBatch.from_arrays([pa.array([x for x, _ in told], pa.list_(pa.float64())), pa.array([y for _, y in told], pa.float64())], names=["x", "y"])
 
 

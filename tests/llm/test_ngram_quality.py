@@ -96,3 +96,19 @@ def test_thresholds_are_the_plain_quantile_of_all_trusted_texts_unseen(spark, sf
     for lang in {r.lang for r in got.values()}:
         own = sorted(r.perplexity for r in got.values() if r.lang == lang and r.trusted and r.perplexity is not None)
         assert own and {r.threshold for r in got.values() if r.lang == lang} == {own[math.ceil(0.8 * len(own)) - 1]}
+
+
+def test_labelled_good_text_stays_and_labelled_bad_text_goes(spark):
+    sf_dir = "/root/testdata/sf0.01"
+    got = nq.op2_quality(spark, sf_dir).toPandas().merge(spark.read.parquet(f"{sf_dir}/labels.parquet").toPandas(), on="doc_id")
+    calm = got[got["toxic"] == 0]
+    assert calm[calm["quality"] == 1]["keep"].mean() > 0.99
+    assert calm[calm["quality"] == 0]["keep"].mean() < 0.1
+
+
+def test_all_trusted_text_in_one_fold_trains_on_itself(spark):
+    frame = spark.createDataFrame([(1, "en", "some words here"), (2, "en", "zzqqxx")], "doc_id long, lang string, text string")
+    got = {r.doc_id: r for r in nq.classify(frame, frame.where("doc_id = 1").select("doc_id")).collect()}
+    for i, want in zip((1, 2), brute(["some words here"], ["some words here", "zzqqxx"], nq.ORDER)):
+        assert got[i].perplexity == pytest.approx(want, rel=1e-4)
+    assert got[1].keep and not got[2].keep and got[1].threshold == got[2].threshold == got[1].perplexity
