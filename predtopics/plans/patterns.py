@@ -115,14 +115,57 @@ def _condition(f: Filter) -> Column:
     return {"=": a == b, "!=": a != b, "<": a < b, "<=": a <= b, ">": a > b, ">=": a >= b}[f.op]
 
 
-def evaluate(facts: DataFrame, q: QueryGraph, types: DataFrame | None = None, allow_cross: bool = False) -> DataFrame:
+def functional(facts: DataFrame, q: QueryGraph) -> frozenset[str]:
+    """Predicates of the query of which no subject has a second fact, repeats included: one aggregation of the facts."""
+    seen = facts.where(F.col("p").isin(*{x.p for x in q.patterns})).groupBy("s", "p").agg(F.count("*").alias("n")).groupBy("p").agg(F.max("n").alias("n"))
+    return frozenset(r["p"] for r in seen.where("n = 1").collect())
+
+
+def _star(facts: DataFrame, group: list[Pattern], fold: bool = False) -> DataFrame:
+    """Bindings of functional patterns of one subject: one grouping instead of a join each. fold: the subject's bindings are counted as __n."""
+    preds, s = sorted({x.p for x in group}), group[0].s
+    rows = facts.where(F.col("p").isin(*preds))
+    rows = rows.groupBy("s").agg(*[F.max(F.when(F.col("p") == p, F.col("o"))).alias(f"__{n}") for n, p in enumerate(preds)])
+    rows = rows.where(F.forall(F.array(*[f"__{n}" for n in range(len(preds))]), lambda o: o.isNotNull()))
+    at = {s: F.col("s")}
+    for x in group:
+        o = F.col(f"__{preds.index(x.p)}")
+        if x.o in at or not x.o.startswith("?"):
+            rows = rows.where(o == at.get(x.o, F.lit(x.o)))
+        else:
+            at[x.o] = o
+    rows = rows if s.startswith("?") else rows.where(F.col("s") == s)
+    rows = rows.select(*[c.alias(v[1:]) for v, c in at.items() if v.startswith("?")], *([] if len(at) > 1 or s.startswith("?") else [F.lit(1).alias("__hit")]))
+    return rows.groupBy(*[v[1:] for v in at if v != s]).agg(F.count("*").alias("__n")) if fold else rows
+
+
+def _told(q: QueryGraph, single: frozenset[str]) -> bool:
+    """Whether what is selected tells all other variables, by functional predicates: then no two bindings give one answer."""
+    if any(x.optional or x.p not in single for x in q.patterns):
+        return False
+    known = set(q.select)
+    while more := {x.o for x in q.patterns if x.o.startswith("?") and x.o not in known and (x.s in known or not x.s.startswith("?"))}:
+        known |= more
+    return known >= {v for x in q.patterns for v in x.variables()} | {v for v, _ in q.types}
+
+
+def evaluate(facts: DataFrame, q: QueryGraph, types: DataFrame | None = None, allow_cross: bool = False, single: frozenset[str] = frozenset(), fold: str | None = None) -> DataFrame:
     """Answers of a query graph over facts (s, p, o); types: (s, class) rows, else the facts' own s_class.
 
     Each pattern is one filtered scan; required ones are joined in order, filters apply as soon as their variables are bound,
     optional groups are left joins. A variable that an optional group leaves open cannot be joined on by a later group.
+    single: predicates that are functional in these facts. Required patterns of them are one scan a subject, and where
+    the selected variables tell all others through them, no answer is made twice and none is compared.
+    fold: a variable that is only the subject of required functional patterns; its bindings with the same objects answer alike, so
+    answers have these objects in its place and __n, the number of its bindings.
     """
     if crosses(q) and not allow_cross:
         raise ValueError("the patterns fall into parts without a common variable; allow_cross=True takes their product")
+    if fold:
+        mine = [x for x in q.patterns if fold in x.variables()]
+        if not mine or any(x.optional or x.p not in single or x.s != fold or x.o == fold for x in mine) or fold in {v for v, _ in q.types} | {v for f in q.filters for v in f.variables()}:
+            raise ValueError("only the subject of required functional patterns, without types and filters of its own, can be folded")
+        q = replace(q, select=(*(v for v in q.select if v != fold), *dict.fromkeys(x.o for x in mine if x.o.startswith("?") and x.o not in q.select)))
     out, todo = None, list(q.filters)
 
     def filtered(df: DataFrame) -> DataFrame:
@@ -131,8 +174,12 @@ def evaluate(facts: DataFrame, q: QueryGraph, types: DataFrame | None = None, al
             todo.remove(f)
         return df
 
-    for x in (x for x in q.patterns if not x.optional):
-        out = filtered(_join(out, filtered(_scan(facts, x))))
+    required: dict[object, list[Pattern]] = {}
+    for n, x in enumerate(x for x in q.patterns if not x.optional):
+        required.setdefault(x.s if x.p in single else n, []).append(x)
+    for group in required.values():
+        scan = _star(facts, group, group[0].s == fold) if group[0].p in single else _scan(facts, group[0])
+        out = filtered(_join(out, filtered(scan)))
     for v, concept in q.types:
         rows = types.where(F.col("class") == concept).select(F.col("s").alias(v[1:])) if types is not None else facts.where(F.col("s_class") == concept).select(F.col("s").alias(v[1:]))
         out = out.join(rows, v[1:], "left_semi") if out is not None and v[1:] in out.columns else _join(out, rows.distinct())
@@ -150,13 +197,49 @@ def evaluate(facts: DataFrame, q: QueryGraph, types: DataFrame | None = None, al
         opened |= names - sure
     out = filtered(out)
     if q.count:
-        return out.agg(F.count("*").alias(q.count))
-    out = out.select(*[v[1:] for v in q.select])
-    out = out.distinct() if q.distinct else out
+        return out.agg((F.coalesce(F.sum("__n"), F.lit(0)) if fold else F.count("*")).alias(q.count))
+    out = out.select(*[v[1:] for v in q.select], *(["__n"] if fold else []))
+    out = out.distinct() if q.distinct and not (_told(q, single) and not fold) else out
     out = out.orderBy(*[F.desc(v[2:]) if v[0] == "-" else F.col(v[1:]) for v in q.order]) if q.order else out
     return out.limit(q.limit) if q.limit is not None else out
 
 
+def counted(facts: DataFrame, q: QueryGraph, keys: list[str], name: str = "relations", types: DataFrame | None = None) -> DataFrame:
+    """(keys, name): how many answers of a query, in which all variables are selected, there are for each binding of the keys.
+
+    No answer is made: other variables are summed out one at a time, so joins have a row for each binding of what is left, with the
+    number of answers it stands for. Parts without a common variable multiply.
+    """
+    every = {v[1:] for x in q.patterns for v in x.variables()} | {v[1:] for v, _ in q.types}
+    if q.filters or q.count or q.limit is not None or any(x.optional for x in q.patterns) or not (q.distinct and every == {v[1:] for v in q.select}):
+        raise ValueError("only required patterns with all variables selected can be counted without their answers")
+    held = [_scan(facts, x).drop("__hit").distinct() if x.variables() else _scan(facts, x).limit(1).select() for x in q.patterns]
+    for v, concept in q.types:
+        rows = types.where(F.col("class") == concept) if types is not None else facts.where(F.col("s_class") == concept)
+        held.append(rows.select(F.col("s").alias(v[1:])).distinct())
+    held = [df.withColumn("__n", F.lit(1).cast("long")) for df in held]
+
+    def product(some: list[DataFrame]) -> DataFrame:
+        out, rest = some[0], list(some[1:])
+        while rest:
+            right = next((r for r in rest if set(r.columns) & set(out.columns) - {"__n"}), rest[0])
+            rest = [r for r in rest if r is not right]
+            right = right.withColumnRenamed("__n", "__m")
+            on = [c for c in right.columns if c in out.columns]
+            out = (out.join(right, on) if on else out.crossJoin(right)).withColumn("__n", F.col("__n") * F.col("__m")).drop("__m")
+        return out
+
+    open_ = every - set(keys)
+    while open_:
+        wide = {v: set().union(*[set(df.columns) for df in held if v in df.columns]) for v in open_}
+        v = min(open_, key=lambda v: (len(wide[v]), v))
+        made = product([df for df in held if v in df.columns])
+        left = [c for c in made.columns if c not in (v, "__n")]
+        held = [df for df in held if v not in df.columns] + [made.groupBy(*left).agg(F.sum("__n").alias("__n")).where("__n > 0")]
+        open_.remove(v)
+    return product(sorted(held, key=lambda df: len(df.columns) == 1)).select(*keys, F.col("__n").alias(name))
+
+
 def answer_stats(answers: DataFrame) -> DataFrame:
     """(rows, and for each variable its distinct values and the share of rows that bind it)."""
     cols = [x for c in answers.columns for x in (F.count_distinct(c).alias(f"{c}_distinct"), F.avg(F.col(c).isNotNull().cast("double")).alias(f"{c}_bound"))]
