@@ -35,7 +35,7 @@ query("stream_sliding", f"SELECT {_T.format('a')} AS \"start\", {_T.format('a +
 query(
     "stream_session",
     f"SELECT {_T.format('min(ts)')} AS \"start\", {_T.format('max(ts) + INTERVAL 30 MINUTES')} AS \"end\", user_id, count(*) AS n FROM (SELECT *, sum(new) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS UNBOUNDED PRECEDING) AS g FROM (SELECT *, CASE WHEN ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) < INTERVAL 30 MINUTES THEN 0 ELSE 1 END AS new FROM events)) GROUP BY user_id, g",
-)(lambda s, d: _told(ev.drain(ev.windowed(ev.source(s, d), "session"), "complete")))
+)(lambda s, d: _told(ev.drain_sessions(ev.source(s, d))))
 query("stream_dedup_watermark", "SELECT DISTINCT user_id, event_type FROM events")(lambda s, d: ev.drain(ev.first_seen_links(ev.source(s, d))).select("user_id", "event_type"))
 query("stream_static_join", "SELECT event_id, 'kind_' || event_type AS p, 'Event' AS concept, user_id FROM events")(
     lambda s, d: ev.drain(ev.join_static(ev.source(s, d), load_table(s, d, "events", ["event_type"]).distinct().select("event_type", F.concat(F.lit("kind_"), "event_type").alias("p"), F.lit("Event").alias("concept"))))

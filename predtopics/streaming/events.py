@@ -34,6 +34,27 @@ def drain(stream: DataFrame, mode: str = "append") -> DataFrame:
     return spark.table(name)
 
 
+def drain_sessions(stream: DataFrame, gap: str = "30 minutes") -> DataFrame:
+    """Session windows, as ``windowed`` has them, over all input that is there, read from the state that the stream leaves in the shared folder.
+
+    In complete mode the state holds every session, late rows included, so it is the result; a table in memory would
+    bring as many rows to the driver as there are sessions.
+    """
+    spark, at = stream.sparkSession, f"{shared_dir(stream.sparkSession)}/stream-{uuid.uuid4().hex}"
+    windowed(stream, "session", gap=gap).writeStream.format("noop").option("checkpointLocation", f"{at}/state").outputMode("complete").trigger(availableNow=True).start().awaitTermination()
+    if not _batches(spark, f"{at}/state"):
+        return spark.createDataFrame([], "start timestamp, end timestamp, user_id long, n long")
+    w = F.col("value.session_window")
+    return spark.read.format("statestore").load(f"{at}/state").select(w["start"].alias("start"), w["end"].alias("end"), F.col("value.user_id").alias("user_id"), F.col("value.count").alias("n"))
+
+
+def _batches(spark: SparkSession, state: str) -> int:
+    """Batches that a stream has ended."""
+    at = spark._jvm.org.apache.hadoop.fs.Path(f"{state}/commits")
+    fs = at.getFileSystem(spark._jsc.hadoopConfiguration())
+    return len([f for f in fs.listStatus(at) if f.getPath().getName().isdigit()]) if fs.exists(at) else 0
+
+
 def windowed(stream: DataFrame, kind: str = "tumbling", length: str = "1 day", slide: str = "6 hours", gap: str = "30 minutes") -> DataFrame:
     """(start, end, event_type, n): counts by tumbling or sliding window; by user for session windows."""
     if kind == "session":

@@ -38,3 +38,53 @@ def test_endpoint_query_groups_before_it_joins(spark, sf_dir):
 
     plan = kinds(own.QUERIES["endpoint_query"](spark, sf_dir))
     assert plan.index("Aggregate") > plan.index("Join")  # no aggregate above the product of line items
+
+
+@pytest.mark.parametrize("strict", [True, False])
+def test_functional_predicates_change_no_answer(spark, strict):
+    from predtopics.queries import workloads as w
+
+    rows = [("p1", "A", "t", "1"), ("p2", "A", "t", "1"), ("p3", "A", "t", "2"), ("p4", "B", None, "1"), ("p5", "B", "t", "1")]
+    facts = spark.createDataFrame([(s, p, o, "Part") for s, *v in rows for p, o in zip(("brand", "type", "size"), v) if o], "s string, p string, o string, s_class string")
+    q = patterns.prune_optional(w.q4_graph(strict))
+    single = patterns.functional(facts, q)
+    want = patterns.evaluate(facts, q, w.small_parts(facts), allow_cross=True)
+    got = patterns.evaluate(facts, q, w.small_parts(facts), allow_cross=True, single=single)
+    assert single == {"brand", "type", "size"} and "Aggregate [part#" in kinds(want) and want.count()
+    assert sorted(map(tuple, got.collect())) == sorted(map(tuple, want.collect()))
+    assert len([x for x in kinds(got).split("\n") if "Aggregate" in x and "part2#" in x and "max(" not in x]) == (0 if strict else 1)  # no answers are compared, only the class of small parts
+    twice = facts.unionByName(facts.where("s = 'p2' and p = 'brand'").withColumn("o", patterns.F.lit("B")))
+    single = patterns.functional(twice, q)
+    assert single == {"type", "size"}
+    got = patterns.evaluate(twice, q, w.small_parts(twice), allow_cross=True, single=single).collect()
+    assert sorted(map(tuple, got)) == sorted(map(tuple, patterns.evaluate(twice, q, w.small_parts(twice), allow_cross=True).collect()))
+
+
+def test_folded_answers_stand_for_all(spark):
+    from predtopics.queries import workloads as w
+
+    facts = spark.createDataFrame([(f"p{k}", p, o, "Part") for k in range(30) for p, o in (("brand", f"b{k % 2}"), ("type", "t"), ("size", str(k % 3)))], "s string, p string, o string, s_class string")
+    for q in (w.q4_graph(False), patterns.prune_optional(w.q4_graph(False))):
+        got = patterns.evaluate(facts, q, w.small_parts(facts), allow_cross=True, single=patterns.functional(facts, q), fold="?part")
+        assert got.count() == 2 * 10 and got.agg(patterns.F.sum("__n")).first()[0] == 100 == patterns.evaluate(facts, q, w.small_parts(facts), allow_cross=True).count()
+    with pytest.raises(ValueError):
+        patterns.evaluate(facts, w.q4_graph(True), single=frozenset({"brand", "type", "size"}), fold="?part")
+
+
+def test_sessions_do_not_come_to_the_driver(spark, sf_dir, tmp_path):
+    from predtopics import queries as own
+    from predtopics.streaming import events as ev
+
+    got = own.QUERIES["stream_session"](spark, sf_dir)
+    assert "LocalRelation" not in kinds(got) and "StateScan" in got._jdf.queryExecution().executedPlan().toString() + kinds(got) or "statestore" in kinds(got).lower() or "RelationV2" in kinds(got)
+    spark.read.parquet(f"{sf_dir}/events.parquet").limit(0).write.parquet(str(tmp_path / "events.parquet"))
+    assert ev.drain_sessions(ev.source(spark, str(tmp_path))).count() == 0
+    rows = spark.sql("select * from values (1L, timestamp_ntz'2024-01-02 10:00:00', 7L), (2L, timestamp_ntz'2024-01-02 10:29:59', 7L), (3L, timestamp_ntz'2024-01-01 00:00:00', 7L) t(event_id, ts, user_id)").selectExpr("*", "'a' as event_type", "1.0D as value", "'' as props")
+    for n, some in enumerate((rows.where("event_id < 3"), rows.where("event_id = 3"))):
+        some.coalesce(1).write.parquet(str(tmp_path / "late" / f"{n}"))
+    (tmp_path / "two" / "events.parquet").mkdir(parents=True)
+    for n in range(2):
+        for f in (tmp_path / "late" / str(n)).glob("*.parquet"):
+            (tmp_path / "two" / "events.parquet" / f"{n}.parquet").write_bytes(f.read_bytes())
+    got = ev.drain_sessions(ev.source(spark, str(tmp_path / "two"), files=1)).selectExpr("user_id", "n").collect()
+    assert sorted(map(tuple, got)) == [(7, 1), (7, 2)]  # the late row is a session of its own
