@@ -88,3 +88,62 @@ def test_sessions_do_not_come_to_the_driver(spark, sf_dir, tmp_path):
             (tmp_path / "two" / "events.parquet" / f"{n}.parquet").write_bytes(f.read_bytes())
     got = ev.drain_sessions(ev.source(spark, str(tmp_path / "two"), files=1)).selectExpr("user_id", "n").collect()
     assert sorted(map(tuple, got)) == [(7, 1), (7, 2)]  # the late row is a session of its own
+
+
+@pytest.fixture(scope="module")
+def copies(spark):
+    """Vectors with 40 copies of one, a null one, one with a null component, and a null label; blocks of 8 rows."""
+    import random
+
+    rng = random.Random(5)
+    rows = [(k, [1.0, 0.5, 0.25] if k < 40 else [rng.gauss(0, 1) for _ in range(3)], k % 2) for k in range(100)]
+    rows += [(100, None, 0), (101, [1.0, None, 0.0], 1), (102, [1.0, 0.0, 0.0], None)]
+    return spark.createDataFrame(rows, "id long, v array<float>, label int")
+
+
+def plainly(rows, a, b):
+    import numpy as np
+
+    whole = lambda v: v is not None and None not in v
+    x, y = rows[a].v, rows[b].v
+    if not (whole(x) and whole(y)):
+        return None
+    x, y = np.array(x, float), np.array(y, float)
+    return float(x @ y / np.sqrt((x @ x) * (y @ y)))
+
+
+def test_blocks_give_all_cosines_of_a_label(copies, monkeypatch):
+    from predtopics.operators import vectors
+
+    rows = {r.id: r for r in copies.collect()}
+    monkeypatch.setattr(vectors.dealt, "__defaults__", (8,))
+    made = vectors.pair_cosines(copies, "label")
+    assert "aggregate(zip_with" not in kinds(made)
+    got = {(r.a, r.b): r.cos for r in made.collect()}
+    assert got.keys() == {(a, b) for a in rows for b in rows if a < b and rows[a].label is not None and rows[a].label == rows[b].label}
+    assert all((c is None) == (plainly(rows, *k) is None) and (c is None or abs(c - plainly(rows, *k)) < 1e-5) for k, c in got.items())
+
+
+def test_blocks_give_the_nearest_with_ties_to_the_smaller_id(copies, monkeypatch):
+    from predtopics.operators import relational, vectors
+
+    rows = {r.id: r for r in copies.where("label is not null").collect()}
+    monkeypatch.setattr(vectors.dealt, "__defaults__", (8,))
+    got = {(r.a, r["rank"]): r.b for r in relational.topk(vectors.nearest(copies, "label", 5), ["label", "a"], [patterns.F.desc("cos"), patterns.F.col("b")], 5).collect()}
+    for a in rows:
+        others = [b for b in rows if b != a and rows[b].label == rows[a].label]
+        far = {b: -2.0 if (c := plainly(rows, a, b)) is None else round(c, 12) for b in others}
+        assert [got.pop((a, k + 1)) for k in range(5)] == sorted(others, key=lambda b: (-far[b], b))[:5]
+    assert not got
+
+
+def test_links_of_copies_and_of_blocks_that_pivots_hold_apart(copies):
+    from predtopics.operators import normalise, vectors
+
+    whole = copies.where("id < 100")
+    rows = {r.id: r.v for r in whole.collect()}
+    want = {(a, b) for a in rows for b in rows if sum((x - y) ** 2 for x, y in zip(rows[a], rows[b])) ** 0.5 <= 0.5}
+    assert {(r.id1, r.id2) for r in normalise.link_terms(whole, whole, 0.5).collect()} == want
+    far = whole.withColumn("far", patterns.F.expr("array(sqrt(aggregate(v, 0d, (s, x) -> s + x * x)))"))
+    assert {(r.id1, r.id2) for r in vectors.within(far, far, 0.5, 1, rows=8).collect()} == want
+    assert normalise.link_terms(whole.limit(0), whole, 0.5).count() == 0
