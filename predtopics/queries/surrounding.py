@@ -148,7 +148,7 @@ query("fn_struct", "SELECT n_nationkey, n_name || '/' || n_regionkey AS told FRO
 query("fn_json", "SELECT event_id, CAST(json_extract_string(props, '$.k') AS INT) AS k FROM events", lambda s, d: load(s, d, "events", ["event_id", "props"]).select("event_id", F.from_json("props", "k int")["k"].alias("k")))
 query("fn_variant", "SELECT event_id, CAST(json_extract_string(props, '$.k') AS INT) AS k FROM events", lambda s, d: load(s, d, "events", ["event_id", "props"]).select("event_id", F.variant_get(F.parse_json("props"), "$.k", "int").alias("k")))
 query("fn_vector_cosine", "SELECT a.vec_id AS a, b.vec_id AS b, round(list_cosine_similarity(CAST(a.embedding AS DOUBLE[]), CAST(b.embedding AS DOUBLE[])), 5) AS cos FROM embeddings a JOIN embeddings b ON a.label = b.label AND a.vec_id < b.vec_id", lambda s, d: vectors.pair_cosines(load(s, d, "embeddings").select("label", C("vec_id").alias("id"), C("embedding").alias("v")), "label"))
-query("fn_vector_nearest", "SELECT label, a, CAST(row_number() OVER (PARTITION BY label, a ORDER BY cos DESC, b) AS INT) AS rank, b, round(cos, 5) AS cos FROM (SELECT x.label, x.vec_id AS a, y.vec_id AS b, list_cosine_similarity(CAST(x.embedding AS DOUBLE[]), CAST(y.embedding AS DOUBLE[])) AS cos FROM embeddings x JOIN embeddings y ON x.label = y.label AND x.vec_id <> y.vec_id) QUALIFY rank <= 5", lambda s, d: relational.topk((lambda e: e.select(C("vec_id").alias("a"), C("embedding").alias("x"), "label").join(e.select(C("vec_id").alias("b"), C("embedding").alias("y"), "label"), "label").where("a <> b").select("label", "a", "b", normalise.cosine(C("x"), C("y")).alias("cos")))(load(s, d, "embeddings")), ["label", "a"], [F.desc("cos"), C("b")], 5).select("label", "a", "rank", "b", F.round("cos", 5).alias("cos")))
+query("fn_vector_nearest", "SELECT label, a, CAST(row_number() OVER (PARTITION BY label, a ORDER BY cos DESC, b) AS INT) AS rank, b, round(cos, 5) AS cos FROM (SELECT x.label, x.vec_id AS a, y.vec_id AS b, list_cosine_similarity(CAST(x.embedding AS DOUBLE[]), CAST(y.embedding AS DOUBLE[])) AS cos FROM embeddings x JOIN embeddings y ON x.label = y.label AND x.vec_id <> y.vec_id) QUALIFY rank <= 5", lambda s, d: relational.topk(vectors.nearest(load(s, d, "embeddings").select("label", C("vec_id").alias("id"), C("embedding").alias("v")), "label", 5), ["label", "a"], [F.desc("cos"), C("b")], 5).select("label", "a", "rank", "b", F.round("cos", 5).alias("cos")))
 query("fn_conditional", "SELECT o_orderkey, CASE WHEN o_totalprice > 200000 THEN 'high' WHEN o_totalprice > 100000 THEN 'mid' ELSE 'low' END AS band, nullif(o_orderstatus, 'P') AS status FROM orders", lambda s, d: load(s, d, "orders").select("o_orderkey", F.when(C("o_totalprice") > 200000, "high").when(C("o_totalprice") > 100000, "mid").otherwise("low").alias("band"), F.nullif("o_orderstatus", F.lit("P")).alias("status")))
 
 # sub-queries, samples, functions of the user ------------------------------------------------------------------------------------
