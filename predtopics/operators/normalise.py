@@ -10,6 +10,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..settle import settle
+from . import vectors
 
 
 def cosine(a, b):  # noqa: ANN001, ANN201
@@ -37,15 +38,14 @@ def normalise_terms(edges: DataFrame, min_cos: float = 0.9, size: int = 16, seed
 def link_terms(a: DataFrame, b: DataFrame, radius: float, pivots: int = 4, seed: int = 1) -> DataFrame:
     """(id1, id2, d) with distance up to radius, of (id, v) rows: by the triangle inequality only pairs whose distances to all pivots differ by radius or less are measured.
 
-    Rows meet in cells of the first pivot's distance, radius wide, and their neighbours.
+    Rows meet in blocks, which are ranges of the first pivot's distance; blocks that the pivots hold apart do not meet.
     """
     dist = lambda x, y: F.sqrt(F.aggregate(F.zip_with(x, y, lambda s, t: F.pow(s.cast("double") - t.cast("double"), 2.0)), F.lit(0.0), lambda s, t: s + t))
-    chosen = a.orderBy(F.xxhash64("id", F.lit(seed))).limit(pivots).collect()
-    at = lambda df: df.select("id", "v", F.array(*[dist(F.col("v"), F.array(*[F.lit(float(x)) for x in r["v"]])) for r in chosen]).alias("far")).withColumn("cell", F.floor(F.element_at("far", 1) / radius))
-    left = at(a).select(F.col("id").alias("id1"), F.col("v").alias("v1"), F.col("far").alias("f1"), F.explode(F.array(*[F.col("cell") + k for k in (-1, 0, 1)])).alias("cell"))
-    right = at(b).select(F.col("id").alias("id2"), F.col("v").alias("v2"), F.col("far").alias("f2"), "cell")
-    near = F.forall(F.zip_with("f1", "f2", lambda x, y: F.abs(x - y)), lambda e: e <= radius)
-    return left.join(right, "cell").where(near).withColumn("d", dist(F.col("v1"), F.col("v2"))).where(F.col("d") <= radius).select("id1", "id2", "d")
+    chosen = a.where(F.col("v").isNotNull()).orderBy(F.xxhash64("id", F.lit(seed))).limit(pivots).collect()
+    if not chosen:
+        return a.limit(0).select(F.col("id").alias("id1")).crossJoin(b.limit(0).select(F.col("id").alias("id2"))).withColumn("d", F.lit(0.0))
+    at = lambda df: df.select("id", "v", F.array(*[dist(F.col("v"), F.array(*[F.lit(float(x)) for x in r["v"]])) for r in chosen]).alias("far"))
+    return vectors.within(at(a), at(b), radius, len(chosen))
 
 
 def contract_same(links: DataFrame) -> DataFrame:
