@@ -147,3 +147,22 @@ def test_links_of_copies_and_of_blocks_that_pivots_hold_apart(copies):
     far = whole.withColumn("far", patterns.F.expr("array(sqrt(aggregate(v, 0d, (s, x) -> s + x * x)))"))
     assert {(r.id1, r.id2) for r in vectors.within(far, far, 0.5, 1, rows=8).collect()} == want
     assert normalise.link_terms(whole.limit(0), whole, 0.5).count() == 0
+
+
+@pytest.mark.parametrize("lg_k", [4, 12])
+def test_shares_of_sketches_are_the_sketches_own(spark, lg_k):
+    from predtopics.operators import sketches
+
+    F = patterns.F
+    nbr = spark.range(6000).selectExpr("concat('p', id % 23) as p", "cast(pmod(xxhash64(id), 900) as string) as concept").unionByName(spark.sql("select 'one' as p, '5' as concept union all select 'two', '5' union all select 'two', '6' union all select 'none', null")).distinct()
+    sk = nbr.groupBy("p").agg(F.theta_sketch_agg("concept", lg_k).alias("k"))
+    for r in sk.selectExpr("p", "k", "theta_sketch_estimate(k) as n").collect():
+        held, theta = sketches.retained(bytes(r.k))
+        assert r.n == int(len(held) / (theta / sketches.WHOLE) + 0.5) and len(set(held.tolist())) == len(held) and (held < theta).all()
+    a, b = sk.selectExpr("p as p1", "k as k1"), sk.selectExpr("p as p2", "k as k2")
+    want = a.join(b, F.expr("p1 < p2")).selectExpr("p1", "p2", "theta_sketch_estimate(k1)", "theta_sketch_estimate(k2)", "theta_sketch_estimate(theta_intersection(k1, k2)) as n12").where("n12 > 0").collect()
+    made = sketches.share_scores_theta(nbr, lg_k, rows=7)
+    assert "theta_intersection" not in kinds(made)
+    got = made.collect()
+    assert sorted(tuple(r)[:5] for r in got) == sorted(map(tuple, want))
+    assert all(r.share == r.n12 * r.n12 / (r.n1 * r.n2) for r in got)
