@@ -1,9 +1,10 @@
 """License scans by conditional compression.
 
-Sentences with license words are joined into candidate blocks. Each block, and each of its sentences and lines, is held against every
-template by exact differences of wording: it must hold one of the template's statements word for word (white space, marks and case
-aside) but for words that no license turns on, so a version or a clause that differs is another license. What holds a license is
-compressed with zstandard, plainly and with every template as a raw dictionary; the share of bytes that a template saves ranks the licenses.
+Sentences with license words are joined into candidate blocks. Each block, and each of its sentences and lines, is compressed with zstandard,
+plainly and with every template as a raw dictionary; the share of bytes that a template saves chooses the licenses and ranks them. Long
+ones are compressed window by window, so that what is around a statement does not dilute it. What a template saves nothing of is none
+of its license; the others are confirmed, best first, by exact differences of wording: the text must hold one of the template's statements
+word for word (white space, marks and case aside) but for words that no license turns on, so a version or a clause that differs is another license.
 """
 
 from __future__ import annotations
@@ -21,6 +22,8 @@ from pyspark.sql import functions as F
 from .common import table
 
 LEVEL = 3
+#: Words of a window; statements have half as many at most, added words included.
+WINDOW = 72
 #: Words that make a sentence a candidate.
 MARKER = r"(?i)licen[sc]|copyright|spdx|all rights reserved|public domain|redistribut|permission|warrant|\bCC[- ]?(?:BY|0)|\bA?L?GPL|\bunlicense"
 SENTENCE_END = re.compile(r"(?<=[.!?;])\s+(?!\d)|\n+")
@@ -68,17 +71,29 @@ def words(text: str) -> list[str]:
 def _ready() -> list[tuple[Template, zstandard.ZstdCompressor]]:
     out = []
     for name, statements in STATEMENTS.items():
-        text = ". ".join(statements).encode()
+        text = " . ".join(" ".join(words(s)) for s in statements).encode()
         held = zstandard.ZstdCompressionDict(text, dict_type=zstandard.DICT_TYPE_RAWCONTENT)
+        held.precompute_compress(level=LEVEL)
         out.append((Template(name, text, tuple(tuple(words(s)) for s in statements)), zstandard.ZstdCompressor(level=LEVEL, dict_data=held, write_checksum=False, write_content_size=False)))
     return out
 
 
+def windows(told: list[str]) -> list[str]:
+    """Words in windows that overlap by more than a statement with its added words."""
+    if len(told) <= WINDOW:
+        return [" ".join(told)]
+    return list(dict.fromkeys(" ".join(told[at : at + WINDOW]) for at in range(0, len(told) - WINDOW // 2, WINDOW // 2)))
+
+
 def reductions(block: str) -> list[tuple[float, str]]:
-    """(share of compressed bytes saved, license), best first, ties by name."""
-    data = block.encode()
-    plain = len(zstandard.ZstdCompressor(level=LEVEL, write_checksum=False, write_content_size=False).compress(data))
-    return sorted(((1 - len(c.compress(data)) / plain, t.name) for t, c in _ready()), key=lambda r: (-r[0], r[1]))
+    """(share of compressed bytes saved, license), best first, ties by name; of a long block's windows the largest share. Compressed are words, as wording is compared."""
+    plain, best = zstandard.ZstdCompressor(level=LEVEL, write_checksum=False, write_content_size=False), {}
+    for window in windows(words(block)):
+        data = window.encode()
+        size = len(plain.compress(data))
+        for t, c in _ready():
+            best[t.name] = max(best.get(t.name, -1.0), 1 - len(c.compress(data)) / size)
+    return sorted(((r, name) for name, r in best.items()), key=lambda r: (-r[0], r[1]))
 
 
 def differences(block: list[str], statement: tuple[str, ...], begins: frozenset[int] = frozenset()) -> Iterator[tuple[list[str], list[str], list[str]]]:
@@ -106,14 +121,15 @@ TURNING = frozenset(w for s in STATEMENTS.values() for t in s for w in words(t))
 GIVING = frozenset("license licensed released under spdx".split())
 
 
-def confirmed(block: str) -> list[str]:
-    """Licenses of which the block holds a statement."""
+def confirmed(block: str, among: list[str]) -> list[str]:
+    """Licenses of ``among`` of which the block holds a statement, in that order."""
     told, begins = [], []
     for line in block.split("\n"):
         begins.append(len(told))
         told += words(line)
     known, lines = set(told), frozenset(begins)
-    return [t.name for t, _ in _ready() if any(_holds(told, s, lines) for s in t.statements if known.issuperset(w for w in s if w not in FREE))]
+    held = {t.name: t.statements for t, _ in _ready()}
+    return [name for name in among if any(_holds(told, s, lines) for s in held[name] if known.issuperset(w for w in s if w not in FREE))]
 
 
 def _holds(told: list[str], statement: tuple[str, ...], begins: frozenset[int]) -> bool:
@@ -149,7 +165,7 @@ def blocks(text: str, sentence_end: re.Pattern[str] = SENTENCE_END) -> list[tupl
 
 
 def scan(text: str) -> list[dict]:
-    """Confirmed licenses of a text: start, end (code points of the block), license, reduction.
+    """Licenses of a text, chosen by compression and confirmed by wording: start, end (code points of the block), license, reduction.
 
     What only the whole of wrapped sentences around a block confirms has their start and end.
     """
@@ -165,8 +181,8 @@ def scan(text: str) -> list[dict]:
             block = text[start:end]
             named: dict[str, float] = {}
             for part in dict.fromkeys([block, *SENTENCE_END.split(block), *WRAPPED_END.split(block)]):
-                if sure := set(confirmed(part)) - named.keys():
-                    named |= {name: reduction for reduction, name in reductions(part) if name in sure}
+                saved = {name: reduction for reduction, name in reductions(part) if reduction > 0 and name not in named}
+                named |= {name: saved[name] for name in confirmed(part, list(saved))}
             if (start, end) not in inner:
                 named = {n: r for n, r in named.items() if n not in told}
             told |= named.keys()

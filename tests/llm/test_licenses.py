@@ -70,3 +70,16 @@ def test_wrapped_statements_are_whole(name, width, mark):
 def test_a_wrapped_version_is_another_license():
     assert names("This work is licensed under the GNU General Public License,\nversion 2.") == {"GPL-2.0"}
     assert names("Licensed under the Apache License, Version\n1.1.") == names("Licensed under CC\nBY-XX 9.0") == set()
+
+
+def test_compression_chooses_what_wording_confirms(monkeypatch):
+    text = "Thond edat. Released under the MIT License. Thond edat."
+    assert names(text) == {"MIT"}
+    monkeypatch.setattr(li, "reductions", lambda block: [(0.5, "Apache-2.0"), (0.0, "MIT")])
+    assert names(text) == set()  # what saves nothing is not chosen, whatever its wording
+
+
+@pytest.mark.parametrize("text", ["ALL RIGHTS RESERVED", "RELEASED UNDER THE MIT LICENSE", "license " * 5000 + "Licensed under the ISC License " + "license " * 5000])
+def test_no_wording_is_lost_to_case_or_length(text):
+    assert len(names(text)) == 1
+    assert max(len(s) for t, _ in li._ready() for s in t.statements) + 3 <= li.WINDOW // 2
