@@ -166,3 +166,19 @@ def test_shares_of_sketches_are_the_sketches_own(spark, lg_k):
     got = made.collect()
     assert sorted(tuple(r)[:5] for r in got) == sorted(map(tuple, want))
     assert all(r.share == r.n12 * r.n12 / (r.n1 * r.n2) for r in got)
+
+
+def test_builtin_predicates_are_counted_in_the_tables(spark, sf_dir):
+    import glob
+
+    import duckdb
+
+    from predtopics import queries as own
+
+    con = duckdb.connect()
+    for name in ("documents", "pages"):
+        assert glob.glob(f"{sf_dir}/{name}.parquet")
+        con.execute(f"CREATE VIEW {name} AS SELECT * FROM '{sf_dir}/{name}.parquet'")
+    got = own.QUERIES["builtin_predicates"](spark, sf_dir)
+    assert len(got.inputFiles()) == 2
+    assert sorted(map(tuple, got.collect())) == sorted(con.sql(own.ORACLES["builtin_predicates"]).fetchall())
