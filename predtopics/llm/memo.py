@@ -27,9 +27,17 @@ class Memo(dict):
         value = self.old.get(piece)
         if value is None:
             value = self.make(piece)
-        self.used += ENTRY + len(piece) + len(value)
-        if self.used > self.half:
-            self.old, self.used = dict(self), 0
-            self.clear()
+        self._hold(ENTRY + len(piece) + len(value))
         self[piece] = value
         return value
+
+    def fill(self, pieces: list, values: list) -> None:
+        """Take new pieces, none beyond LONG, with the values made of them."""
+        self._hold(ENTRY * len(pieces) + sum(map(len, pieces)) + sum(map(len, values)))
+        self.update(zip(pieces, values))
+
+    def _hold(self, size: int) -> None:
+        self.used += size
+        if self.used > self.half:
+            self.old, self.used = dict(self), size
+            self.clear()

@@ -1,5 +1,7 @@
 import random
 
+import numpy as np
+import pytest
 from tokenizers import Tokenizer
 
 from predtopics.llm import bpe
@@ -49,3 +51,40 @@ def test_whole_table(spark, sf_dir):
     got = {r.doc_id: (r.ids, r.text) for r in bpe.decode(bpe.encode(docs)).collect()}
     for r in docs.collect():
         assert got[r.doc_id] == (library.encode(r.text, add_special_tokens=False).ids, r.text)
+
+
+def test_new_short_pieces_are_merged_together():
+    path = bpe.default_vocabulary()
+    own, library, rng, alone = bpe.ByteBpe(path), Tokenizer.from_file(path), random.Random(5), []
+    heap = own.merge
+    own.merge = lambda piece: alone.append(piece) or heap(piece)
+    words = ["".join(rng.choice("abcdefghijklmnop é") for _ in range(rng.randrange(1, 15))) for _ in range(10_000)]
+    texts = [" ".join(words[n : n + 100]) for n in range(0, len(words), 100)]
+    got = own.encode_many(texts)
+    assert not alone
+    for text, ids in zip(texts, got):
+        assert np.frombuffer(ids, "<i4").tolist() == library.encode(text, add_special_tokens=False).ids
+
+
+@pytest.mark.parametrize("memo", [bpe.MEMO, 100_000, 50])
+def test_many_texts_at_once_equal_the_librarys(memo):
+    path = bpe.default_vocabulary()
+    own, library = bpe.ByteBpe(path, memo=memo), Tokenizer.from_file(path)
+    every = "".join(map(chr, range(ord(bpe.AGREED) + 1)))
+    texts = [*samples(), every, " ".join(every), "'".join(every), *(f"x{c}y '{c}s 1{c}2 <|endoftext|>{c}" for c in every)]
+    for _ in range(2):
+        got = own.encode_many(texts)
+        for text, ids in zip(texts, got):
+            assert np.frombuffer(ids, "<i4").tolist() == library.encode(text, add_special_tokens=False).ids, repr(text[:80])
+        assert own.memo.used <= memo // 2 + bpe.ROWS * 400
+
+
+def test_texts_of_many_lists_of_ids():
+    path = bpe.default_vocabulary()
+    own, library = bpe.ByteBpe(path), Tokenizer.from_file(path)
+    ids = own.encode("日本🎉 a").tolist()
+    lists = [[], *(ids[a:b] for a in range(len(ids)) for b in range(a, len(ids) + 1)), []]
+    for some in (lists, [[]], [ids], []):
+        ends = np.cumsum([0, *map(len, some)])
+        got = own.vocabulary.texts(np.array(sum(some, []), np.int32), ends).to_pylist()
+        assert got == [library.decode(x, skip_special_tokens=False) for x in some]
