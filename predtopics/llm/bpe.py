@@ -27,7 +27,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from tokenizers import Tokenizer
 
-from .common import table
+from .common import lean, table
 from .memo import LONG, Memo
 
 #: White space as the pattern of byte-level BPE has it.
@@ -324,7 +324,7 @@ def strings(path: str) -> Words:
         return Words(vocabulary_strings(json.load(f)))
 
 
-def parts(batch: pa.RecordBatch, rows: int = 512, most: int = 1 << 20) -> Iterator[pa.RecordBatch]:
+def parts(batch: pa.RecordBatch, rows: int = 512, most: int = 1 << 18) -> Iterator[pa.RecordBatch]:
     """A batch in slices of a bounded number of rows and, besides the first row's, of characters in the last column."""
     size = pc.fill_null(pc.binary_length(batch.column(batch.num_columns - 1)), 0).to_numpy(zero_copy_only=False)
     end = np.cumsum(size)
@@ -359,7 +359,7 @@ def encode(docs: DataFrame, path: str | None = None, id_col: str = "doc_id", tex
     """
     kind = docs.schema[id_col].dataType.simpleString()
     names = ["doc_id", "ids", "text"] if back else ["doc_id", "ids"]
-    run = _encoder(path or default_vocabulary(), names, back)
+    run = lean(_encoder(path or default_vocabulary(), names, back), tokenizer)
     schema = f"doc_id {kind}, ids array<int>" + (", text string" if back else "")
     return docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).cast("string").alias("text")).mapInArrow(run, schema)
 

@@ -2,8 +2,11 @@
 
 from __future__ import annotations
 
+import ctypes
+import gc
 import tempfile
-from functools import reduce
+from collections.abc import Callable, Iterator
+from functools import cache, reduce
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -14,6 +17,48 @@ BROADCAST_ROWS = 200_000
 HOT_PART = 1000
 
 
+#: Caches that the task before has left in this worker.
+_LEFT: list[Callable] = []
+
+
+@cache
+def _trim() -> Callable | None:
+    """The C library's function that gives freed memory back, if it has one."""
+    return getattr(ctypes.CDLL(None), "malloc_trim", None)
+
+
+def begin_task(keeps: Callable | None = None) -> None:
+    """Drop what other operators' tasks have left in this worker; ``keeps`` is the cache of this one's."""
+    other = [left for left in _LEFT if left is not keeps]
+    for left in other:
+        left.cache_clear()
+    if other:
+        gc.collect()  # what they held may refer to itself
+    _LEFT[:] = [keeps] if keeps else []
+
+
+def end_task() -> None:
+    """Give freed memory back to the system."""
+    if _trim():
+        _trim()(0)
+
+
+def lean(run: Callable[[Iterator], Iterator], keeps: Callable | None = None) -> Callable[[Iterator], Iterator]:
+    """``run`` for workers that stay for the tasks of later stages: these find neither its caches nor memory that it has freed.
+
+    ``keeps`` is a cached function whose values the next task of the same operator finds. A worker's memory is the executor's, beside that of the JVM.
+    """
+
+    def whole(batches: Iterator) -> Iterator:
+        begin_task(keeps)
+        try:
+            yield from run(batches)
+        finally:
+            end_task()
+
+    return whole
+
+
 def table(spark: SparkSession, sf_dir: str, name: str, *columns: str) -> DataFrame:
     df = spark.read.parquet(f"{sf_dir}/{name}.parquet")
     return df.select(*columns) if columns else df

@@ -20,7 +20,7 @@ import regex
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import sized, table
+from .common import lean, sized, table
 
 WINDOW, WIDTHS, FILTERS, DEPTH = 256, (2, 3, 5), 24, 8
 #: Labelled rows of a language that training sees, stretches of each, and characters of a stretch (as many bytes at least as a window has).
@@ -158,7 +158,7 @@ def train(labelled: DataFrame, id_col: str = "doc_id", text_col: str = "text", l
     return fit([r["text"] for r in got], [r["lang"] for r in got])
 
 
-def predict(net: ByteNet, texts: list[str | None], most: int = 512) -> tuple[list[str], list[float]]:
+def predict(net: ByteNet, texts: list[str | None], most: int = 64) -> tuple[list[str], list[float]]:
     """(language, score) of whole texts. ``und`` with score 0 where there is no letter."""
     rows, owner, weight, known = [], [], [], []
     for n, text in enumerate(texts):
@@ -183,13 +183,15 @@ def predict(net: ByteNet, texts: list[str | None], most: int = 512) -> tuple[lis
     return [net.langs[b] if k else "und" for b, k in zip(best, known)], [float(p[n, b]) if k else 0.0 for n, (b, k) in enumerate(zip(best, known))]
 
 
-def _applier(net: ByteNet, names: list[str]):  # noqa: ANN202
+def _applier(net: ByteNet, names: list[str], text_at: int):  # noqa: ANN202
+    """The columns ``names`` of each batch with the prediction for the one at ``text_at``, which may be one of them or stand behind them."""
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for at in range(0, len(batch), 256):
                 part = batch.slice(at, 256)
-                lang, score = predict(net, part.column(part.num_columns - 1).to_pylist())
-                yield pa.RecordBatch.from_arrays([*part.columns[:-1], pa.array(lang, pa.string()), pa.array(score, pa.float64())], names=[*names, "lang_pred", "score"])
+                lang, score = predict(net, part.column(text_at).to_pylist())
+                yield pa.RecordBatch.from_arrays([*part.columns[: len(names)], pa.array(lang, pa.string()), pa.array(score, pa.float64())], names=[*names, "lang_pred", "score"])
 
     return run
 
@@ -201,7 +203,9 @@ def identify(docs: DataFrame, net: ByteNet, keep: tuple[str, ...] = ("doc_id",),
     sorts first; repeated rows and null ids stay; an empty frame gives an empty one.
     """
     schema = ", ".join(f"`{k}` {docs.schema[k].dataType.simpleString()}" for k in keep) + ", lang_pred string, score double"
-    return docs.select(*keep, F.col(text_col).cast("string").alias("__text")).mapInArrow(_applier(net, list(keep)), schema)
+    if text_col in keep and docs.schema[text_col].dataType.simpleString() == "string":  # so that no text goes to a worker twice
+        return docs.select(*keep).mapInArrow(lean(_applier(net, list(keep), keep.index(text_col))), schema)
+    return docs.select(*keep, F.col(text_col).cast("string").alias("__text")).mapInArrow(lean(_applier(net, list(keep), len(keep))), schema)
 
 
 def op5_language(spark: SparkSession, sf_dir: str) -> DataFrame:

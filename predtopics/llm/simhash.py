@@ -21,7 +21,7 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import checkpoint, components, join_unique, table
+from .common import checkpoint, components, join_unique, lean, table
 
 #: Members of a bucket that one task compares with each other.
 BLOCK = 2048
@@ -61,7 +61,7 @@ def _fingerprints(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]
 def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(doc_id, fp) with fp the fingerprint's bits as a signed long."""
     kind = docs.schema[id_col].dataType.simpleString()
-    return docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).alias("text")).mapInArrow(_fingerprints, f"doc_id {kind}, fp long")
+    return docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).alias("text")).mapInArrow(lean(_fingerprints), f"doc_id {kind}, fp long")
 
 
 def _entries(prints: DataFrame) -> DataFrame:
@@ -181,7 +181,7 @@ def _pair(key, pdf):  # noqa: ANN001
 
 def links(prints: DataFrame) -> DataFrame:
     """Distinct fingerprints (fp) -> links (a, b) whose classes are those of all links at RADIUS or fewer bits."""
-    found = checkpoint(_entries(prints).repartition("key").sortWithinPartitions("key").mapInArrow(_scan, "kind int, a long, b long, block int"))
+    found = checkpoint(_entries(prints).repartition("key").sortWithinPartitions("key").mapInArrow(lean(_scan), "kind int, a long, b long, block int"))
     out = found.where("kind = 0").select("a", "b")
     long = found.where("kind = 1").select(F.col("a").alias("key"), F.col("b").alias("fp"), "block")
     if not long.isEmpty():
