@@ -13,6 +13,7 @@ shards of bounded size, so no shard or task holds more than ``SHARD_IDS`` ids be
 
 from __future__ import annotations
 
+import json
 import re
 import uuid
 import zlib
@@ -28,13 +29,25 @@ from pyspark.sql import functions as F
 from pyspark.sql import Window as W
 from tokenizers import Tokenizer
 
+from .bpe import byte_alphabet
 from .common import shared_dir, sized, table
 from .memo import Memo
 
 #: Bytes in which a worker remembers repeated parts of texts.
 MEMO = 192 << 20
-#: A part that is a word with marks behind it; no token crosses from an ASCII letter to an ASCII mark other than an apostrophe.
-MARKED = re.compile(rb"([a-z\x80-\xff]*[a-z])([!-&(-/:-@\[-`{-~]+)")
+#: Letters a-z and those of U+00C0 to U+00FF, none of which composes with another, in UTF-8.
+LETTERS = rb"(?:[a-z]|\xc3[\x80-\x96\x98-\xb6\xb8-\xbf])+"
+WORD = re.compile(LETTERS)
+#: A part that is a word with marks behind it; no token crosses from a letter to an ASCII mark other than an apostrophe.
+MARKED = re.compile(rb"(" + LETTERS + rb"|[a-z\x80-\xff]*[a-z])([!-&(-/:-@\[-`{-~]+)")
+#: How a tokenizer takes texts apart if a part of nothing but letters is, in lower case, one word of its model.
+WHOLE_WORDS = (
+    {"type": "Sequence", "normalizers": [{"type": "NFC"}, {"type": "Replace", "pattern": {"Regex": r"\s+"}, "content": " "}, {"type": "Lowercase"}]},
+    {"type": "Sequence", "pretokenizers": [
+        {"type": "Split", "pattern": {"Regex": r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+"}, "behavior": "Removed", "invert": True},
+        {"type": "ByteLevel", "add_prefix_space": False, "trim_offsets": True, "use_regex": False},
+    ]},
+)
 #: Ids after which a shard is closed.
 SHARD_IDS = 2_000_000
 #: Bits of a level for each key that has come to it.
@@ -51,7 +64,8 @@ def default_vocabulary() -> str:
 class LibraryIds:
     """The library's ids of whole texts, by way of their parts between ASCII white space, which no token crosses.
 
-    For a tokenizer that lower-cases and drops white space, as the default one does.
+    For a tokenizer that lower-cases and drops white space, as the default one does. Parts of letters alone, by far the most,
+    are given to the library's model at once: the steps before it, and the making of offsets and masks, cost several times what the model does.
     """
 
     def __init__(self, path: str, end_id: int | None, memo: int = MEMO) -> None:
@@ -62,8 +76,23 @@ class LibraryIds:
         self.end = b"" if end_id is None else np.array([end_id], f"<u{self.width}").tobytes()
         self.kind = "H" if self.width == 2 else "I"
         self.memo = Memo(self._one, memo)
+        self.whole = self._steps() == WHOLE_WORDS and self.library.post_processor is None
+        self.shown = str.maketrans({b: c for c, b in byte_alphabet().items()})
+        self.tokenize = self.library.model.tokenize
+
+    def _steps(self) -> tuple:
+        """The steps before the model, as the tokenizer's file has them."""
+        return tuple(step and json.loads(step.__getstate__()) for step in (self.library.normalizer, self.library.pre_tokenizer))
+
+    def _word(self, part: bytes) -> bytes:
+        word = part.decode().lower()
+        if not part.isascii():
+            word = word.encode().decode("latin-1").translate(self.shown)
+        return array(self.kind, [token.id for token in self.tokenize(word)]).tobytes()
 
     def _one(self, part: bytes) -> bytes:
+        if self.whole and (part.isalpha() or WORD.fullmatch(part)):
+            return self._word(part)
         if cut := MARKED.fullmatch(part):
             return self.memo[cut[1]] + self.memo[cut[2]]
         return array(self.kind, self.library.encode(part.decode(), add_special_tokens=False).ids).tobytes()
