@@ -3,10 +3,17 @@
 from __future__ import annotations
 
 from dataclasses import dataclass, field, replace
+from functools import reduce
+from operator import mul
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from ..settle import settle, small
+
+#: Pairs of a product in a task, of bindings that stand for others.
+PAIRS = 500_000
+
 
 @dataclass(frozen=True)
 class Pattern:
@@ -121,8 +128,8 @@ def functional(facts: DataFrame, q: QueryGraph) -> frozenset[str]:
     return frozenset(r["p"] for r in seen.where("n = 1").collect())
 
 
-def _star(facts: DataFrame, group: list[Pattern], fold: bool = False) -> DataFrame:
-    """Bindings of functional patterns of one subject: one grouping instead of a join each. fold: the subject's bindings are counted as __n."""
+def _star(facts: DataFrame, group: list[Pattern]) -> DataFrame:
+    """Bindings of functional patterns of one subject: one grouping instead of a join each."""
     preds, s = sorted({x.p for x in group}), group[0].s
     rows = facts.where(F.col("p").isin(*preds))
     rows = rows.groupBy("s").agg(*[F.max(F.when(F.col("p") == p, F.col("o"))).alias(f"__{n}") for n, p in enumerate(preds)])
@@ -135,37 +142,64 @@ def _star(facts: DataFrame, group: list[Pattern], fold: bool = False) -> DataFra
         else:
             at[x.o] = o
     rows = rows if s.startswith("?") else rows.where(F.col("s") == s)
-    rows = rows.select(*[c.alias(v[1:]) for v, c in at.items() if v.startswith("?")], *([] if len(at) > 1 or s.startswith("?") else [F.lit(1).alias("__hit")]))
-    return rows.groupBy(*[v[1:] for v in at if v != s]).agg(F.count("*").alias("__n")) if fold else rows
+    return rows.select(*[c.alias(v[1:]) for v, c in at.items() if v.startswith("?")], *([] if len(at) > 1 or s.startswith("?") else [F.lit(1).alias("__hit")]))
 
 
 def _told(q: QueryGraph, single: frozenset[str]) -> bool:
-    """Whether what is selected tells all other variables, by functional predicates: then no two bindings give one answer."""
-    if any(x.optional or x.p not in single for x in q.patterns):
+    """Whether what is selected tells all other variables, by functional predicates: then no two bindings give one answer.
+
+    Optional groups without a variable of their own are left aside: their bindings are distinct, so they make no second one.
+    """
+    must = [x for x in q.patterns if not x.optional]
+    bound = {v for x in must for v in x.variables()} | {v for v, _ in q.types}
+    if any(x.p not in single for x in must) or not q.distinct or not bound >= {v for x in q.patterns for v in x.variables()}:
         return False
     known = set(q.select)
-    while more := {x.o for x in q.patterns if x.o.startswith("?") and x.o not in known and (x.s in known or not x.s.startswith("?"))}:
+    while more := {x.o for x in must if x.o.startswith("?") and x.o not in known and (x.s in known or not x.s.startswith("?"))}:
         known |= more
-    return known >= {v for x in q.patterns for v in x.variables()} | {v for v, _ in q.types}
+    return known >= bound
+
+
+def _foldable(q: QueryGraph, v: str) -> None:
+    mine = [x for x in q.patterns if v in x.variables()]
+    if not q.distinct or q.count or q.limit is not None:
+        raise ValueError("only distinct answers, all of them, can be folded")
+    if v not in q.select or v in {w for f in q.filters for w in f.variables()} or any(x.s != v or x.o == v for x in mine) or not (any(not x.optional for x in mine) or v in {w for w, _ in q.types}):
+        raise ValueError("only a selected variable that is required or has a class, is nothing but a subject and has no filter can be folded")
 
 
-def evaluate(facts: DataFrame, q: QueryGraph, types: DataFrame | None = None, allow_cross: bool = False, single: frozenset[str] = frozenset(), fold: str | None = None) -> DataFrame:
+def alike(facts: DataFrame, q: QueryGraph, v: str, types: DataFrame | None = None) -> DataFrame:
+    """(v, __n): one of the subjects that have the same facts of the query's predicates for v and the same of its classes, and their number.
+
+    They give the same answers but for their names, so that one stands for all; whether predicates are functional does not matter.
+    """
+    _foldable(q, v)
+    mine, concepts = [x for x in q.patterns if v in x.variables()], sorted({c for w, c in q.types if w == v})
+    linked = F.col("p").isin(*sorted({x.p for x in mine}))
+    rows = facts.select("s", F.when(linked, F.struct("p", "o")).alias("__link"), (F.col("s_class") if concepts and types is None else F.lit(None).cast("string")).alias("__class"))
+    if concepts and types is not None:
+        rows = rows.unionByName(types.select("s", F.lit(None).cast(rows.schema["__link"].dataType).alias("__link"), F.col("class").alias("__class")))
+    rows = rows.withColumn("__class", F.when(F.col("__class").isin(*concepts), F.col("__class"))).where("__link is not null or __class is not null")
+    one = rows.groupBy("s").agg(*[F.sort_array(F.collect_set(c)).alias(c) for c in ("__link", "__class")])
+    return one.groupBy("__link", "__class").agg(F.min("s").alias(v[1:]), F.count("*").alias("__n")).select(v[1:], "__n")
+
+
+def evaluate(facts: DataFrame, q: QueryGraph, types: DataFrame | None = None, allow_cross: bool = False, single: frozenset[str] = frozenset(), fold: str | dict[str, DataFrame] | None = None) -> DataFrame:
     """Answers of a query graph over facts (s, p, o); types: (s, class) rows, else the facts' own s_class.
 
     Each pattern is one filtered scan; required ones are joined in order, filters apply as soon as their variables are bound,
     optional groups are left joins. A variable that an optional group leaves open cannot be joined on by a later group.
     single: predicates that are functional in these facts. Required patterns of them are one scan a subject, and where
     the selected variables tell all others through them, no answer is made twice and none is compared.
-    fold: a variable that is only the subject of required functional patterns; its bindings with the same objects answer alike, so
-    answers have these objects in its place and __n, the number of its bindings.
+    fold: a variable, of whose bindings one stands for all that answer alike (see alike), or what alike gives of each of several
+    variables, written, of this query or of one with more patterns; answers have __n, the number of answers that each stands for.
     """
     if crosses(q) and not allow_cross:
         raise ValueError("the patterns fall into parts without a common variable; allow_cross=True takes their product")
-    if fold:
-        mine = [x for x in q.patterns if fold in x.variables()]
-        if not mine or any(x.optional or x.p not in single or x.s != fold or x.o == fold for x in mine) or fold in {v for v, _ in q.types} | {v for f in q.filters for v in f.variables()}:
-            raise ValueError("only the subject of required functional patterns, without types and filters of its own, can be folded")
-        q = replace(q, select=(*(v for v in q.select if v != fold), *dict.fromkeys(x.o for x in mine if x.o.startswith("?") and x.o not in q.select)))
+    fold = {fold: settle(alike(facts, q, fold, types))} if isinstance(fold, str) else fold or {}
+    for v in fold:
+        _foldable(q, v)
+    ones = {v[1:]: small(df.withColumnRenamed("__n", f"__n_{v[1:]}")) for v, df in fold.items()}
     out, todo = None, list(q.filters)
 
     def filtered(df: DataFrame) -> DataFrame:
@@ -174,15 +208,29 @@ def evaluate(facts: DataFrame, q: QueryGraph, types: DataFrame | None = None, al
             todo.remove(f)
         return df
 
+    def folded(df: DataFrame) -> DataFrame:
+        """Rows of the bindings that stand for others, with their number where it is not there yet."""
+        for v in [v for v in ones if v in df.columns]:
+            df = df.join(ones[v].select(v) if out is not None and v in out.columns else ones[v], v)
+        return df
+
+    def met(df: DataFrame) -> DataFrame:
+        """Joined to what is there. A product of what stands for others is of few bytes, so it is written and dealt to tasks by its pairs instead."""
+        keys = [v for v in ones if out is not None and v in out.columns]
+        if not keys or set(df.columns) & set(out.columns):
+            return _join(out, df)
+        left, right = settle(out), settle(df)
+        return _join(left.repartition(max(1, -(-left.count() * right.count() // PAIRS)), *keys), small(right))
+
     required: dict[object, list[Pattern]] = {}
     for n, x in enumerate(x for x in q.patterns if not x.optional):
         required.setdefault(x.s if x.p in single else n, []).append(x)
     for group in required.values():
-        scan = _star(facts, group, group[0].s == fold) if group[0].p in single else _scan(facts, group[0])
-        out = filtered(_join(out, filtered(scan)))
+        scan = _star(facts, group) if group[0].p in single else _scan(facts, group[0])
+        out = met(filtered(folded(scan)))
     for v, concept in q.types:
         rows = types.where(F.col("class") == concept).select(F.col("s").alias(v[1:])) if types is not None else facts.where(F.col("s_class") == concept).select(F.col("s").alias(v[1:]))
-        out = out.join(rows, v[1:], "left_semi") if out is not None and v[1:] in out.columns else _join(out, rows.distinct())
+        out = out.join(rows, v[1:], "left_semi") if out is not None and v[1:] in out.columns else met(folded(rows).distinct())
     sure = set(out.columns) if out is not None else set()
     opened: set[str] = set()
     for g in sorted({x.optional for x in q.patterns if x.optional}):
@@ -193,13 +241,14 @@ def evaluate(facts: DataFrame, q: QueryGraph, types: DataFrame | None = None, al
         side = None
         for x in group:
             side = _join(side, _scan(facts, x))
-        out = _join(out, side.distinct() if q.distinct else side, "left")
+        side = side.distinct() if q.distinct else side
+        out = _join(out, small(settle(folded(side))) if ones else side, "left")
         opened |= names - sure
     out = filtered(out)
     if q.count:
-        return out.agg((F.coalesce(F.sum("__n"), F.lit(0)) if fold else F.count("*")).alias(q.count))
-    out = out.select(*[v[1:] for v in q.select], *(["__n"] if fold else []))
-    out = out.distinct() if q.distinct and not (_told(q, single) and not fold) else out
+        return out.agg(F.count("*").alias(q.count))
+    out = out.select(*[v[1:] for v in q.select], *([reduce(mul, [F.col(f"__n_{v}") for v in ones]).alias("__n")] if ones else []))
+    out = out.distinct() if q.distinct and not _told(q, single) else out
     out = out.orderBy(*[F.desc(v[2:]) if v[0] == "-" else F.col(v[1:]) for v in q.order]) if q.order else out
     return out.limit(q.limit) if q.limit is not None else out
 

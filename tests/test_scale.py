@@ -71,6 +71,30 @@ def test_folded_answers_stand_for_all(spark):
         patterns.evaluate(facts, w.q4_graph(True), single=frozenset({"brand", "type", "size"}), fold="?part")
 
 
+def test_one_stands_for_all_that_answer_alike(spark):
+    from predtopics.queries import workloads as w
+
+    F, q = patterns.F, w.q4_graph(False, whole=True)
+    rows = [(f"p{k}", p, o, "Part") for k in range(40) for p, o in (("brand", f"b{k % 2}"), ("type", "t"), ("size", str(k % 3)), ("name", f"n{k}")) if (p, k) not in {("brand", 38), ("size", 39)}]
+    rows += [("p3", "brand", "b0", "Part"), ("p9", "brand", "b0", "Part"), ("p4", "type", "t", "Part"), ("only", "name", "n", "Part"), ("x", "size", "1", "Other")]
+    facts = spark.createDataFrame(rows, "s string, p string, o string, s_class string")
+    single = patterns.functional(facts, q)
+    assert single == {"size"}  # two brands of p3 and p9, and a link of p4 twice, undo nothing
+    fold = {v: patterns.settle(patterns.alike(facts, q, v)) for v in ("?part", "?part2")}
+    got = {v: sorted(r["__n"] for r in df.collect()) for v, df in fold.items()}
+    assert got["?part2"] == [1, 1, 1, 1, 2, 4, 6, 6, 6, 7, 7]  # without brand, without size, without links and x, which is no part; two brands; others
+    for form in (q, patterns.prune_optional(q)):
+        want = patterns.evaluate(facts, form, allow_cross=True).count()
+        some = patterns.evaluate(facts, form, allow_cross=True, single=single, fold=fold)
+        assert some.agg(F.sum("__n")).first()[0] == want == 38 * 41 and some.count() == some.select("part", "part2").distinct().count() < 100
+    small, types = w.q4_graph(False), w.small_parts(facts)  # classes that are told aside, of which x has one
+    want = patterns.evaluate(facts, small, types, allow_cross=True).count()
+    assert patterns.evaluate(facts, small, types, allow_cross=True, single=single, fold="?part2").agg(F.sum("__n")).first()[0] == want > 0
+    for bad in (patterns.replace(q, limit=3), patterns.replace(q, distinct=False), patterns.replace(q, select=("?part2",))):
+        with pytest.raises(ValueError):
+            patterns.evaluate(facts, bad, allow_cross=True, single=single, fold="?part")
+
+
 def test_sessions_do_not_come_to_the_driver(spark, sf_dir, tmp_path):
     from predtopics import queries as own
     from predtopics.streaming import events as ev

@@ -55,3 +55,18 @@ def test_composites_are_of_brand_type_and_size(spark, sf_dir):
     want = {f"{r.p_brand}/{r.p_type}/{r.p_size}" for r in part.collect() if r.p_partkey in sold}
     got = own.QUERIES["share_composite_theta"](spark, sf_dir).select("p1", "p2").collect()
     assert got and {p for r in got for p in r} <= want
+
+
+def test_q4_forms_are_compared_over_all_parts(spark, sf_dir, monkeypatch):
+    from dataclasses import replace
+
+    from predtopics.plans import patterns
+    from predtopics.plans.patterns import Filter
+
+    part = spark.read.parquet(f"{sf_dir}/part.parquet")
+    n, small = part.count(), part.where("p_size = 1").count()
+    made = own.QUERIES["q4_pruned_equals_full"](spark, sf_dir)
+    assert tuple(made.first()) == (n * n, n * n, 0)
+    assert str(made._jdf.queryExecution().optimizedPlan()).count("LeftOuter") == 3  # optional groups are joined, not left out by the planner
+    monkeypatch.setattr(patterns, "prune_optional", lambda q, f=patterns.prune_optional: replace(f(q), filters=(Filter("?size", "=", "1"),)))
+    assert tuple(own.QUERIES["q4_pruned_equals_full"](spark, sf_dir).first()) == (n * n, small * n, n * n - small * n)  # a wrong pruning is told
